@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -32,8 +33,8 @@ from .textkit import blocks, utf8
 TOKENIZER = "word_bpe_49k.json"
 END_ID = 1
 POOL_TOKENS = 1 << 20
-CACHED_WORDS = 400_000
-CACHED_STEMS = 600_000
+CACHED_WORDS = 600_000
+CACHED_STEMS = 1_200_000
 
 
 @dataclass(frozen=True)
@@ -66,7 +67,9 @@ class Packer:
         self.pool: dict[tuple[int, int], list[Piece]] = {}
         self.tokens = 0
         self.need = np.zeros(3)
-        self._shapes: np.ndarray | None = None
+        self._row: dict[tuple[int, int], int] = {}  # of each shape seen
+        self._shapes = np.zeros((64, 3))
+        self._held = np.zeros(64, bool)
 
     def add(self, key, length: int, loss: int | None = None) -> Iterator[list[Piece]]:
         """Takes an example; yields the sequences it fills alone."""
@@ -83,10 +86,13 @@ class Packer:
         if not self.cut and (piece.length > self.limits.tokens or piece.loss > self.limits.loss):
             raise ValueError(f"{piece} exceeds a sequence and may not be cut")
         shape = (piece.length, piece.loss)
-        if shape not in self.pool:
-            self.pool[shape] = []
-            self._shapes = None
-        self.pool[shape].append(piece)
+        row = self._row.setdefault(shape, len(self._row))
+        if row == len(self._held):
+            self._shapes = np.vstack([self._shapes, np.zeros_like(self._shapes)])
+            self._held = np.r_[self._held, np.zeros_like(self._held)]
+        self._shapes[row] = piece.length, 1, piece.loss
+        self._held[row] = True
+        self.pool.setdefault(shape, []).append(piece)
         self.tokens += piece.length
         self.need += (piece.length, 1, piece.loss)
 
@@ -95,28 +101,29 @@ class Packer:
         piece = held.pop()
         if not held:
             del self.pool[shape]
-            self._shapes = None
+            self._held[self._row[shape]] = False
         self.tokens -= piece.length
         return piece
 
     def _next(self, left: np.ndarray) -> tuple[tuple[int, int], bool] | None:
         """The shape to place and whether it fits whole."""
-        if self._shapes is None:
-            self._shapes = np.array([(t, 1, x) for t, x in self.pool], float).reshape(-1, 3)
-            self._keys = list(self.pool)
-        if not len(self._shapes):
+        rows = np.flatnonzero(self._held)
+        if not len(rows):
             return None
+        shapes = self._shapes[rows]
         cap = np.array([self.limits.tokens, self.limits.segments, self.limits.loss], float)
-        weight = self.need / cap
-        score = self._shapes @ (weight * left / cap**2)
-        fits = (self._shapes <= left).all(axis=1)
-        if fits.any():
-            return self._keys[int(np.argmax(np.where(fits, score, -1.0)))], True
-        if not self.cut or left[0] < 1 or left[1] < 1:
-            return None
-        # only pieces that bear loss throughout, or nowhere, have a known loss after a cut
-        plain = (self._shapes[:, 2] == 0) | ((self._shapes[:, 2] == self._shapes[:, 0]) & (left[2] >= 1))
-        return (self._keys[int(np.argmax(np.where(plain, score, -1.0)))], False) if plain.any() else None
+        score = shapes @ (self.need / cap * left / cap**2)
+        fits = (shapes[:, 0] <= left[0]) & (shapes[:, 2] <= left[2]) & (left[1] >= 1)
+        whole = fits.any()
+        if not whole:
+            if not self.cut or left[0] < 1 or left[1] < 1:
+                return None
+            # only pieces that bear loss throughout, or nowhere, have a known loss after a cut
+            fits = (shapes[:, 2] == 0) | ((shapes[:, 2] == shapes[:, 0]) & (left[2] >= 1))
+            if not fits.any():
+                return None
+        t, _, x = shapes[np.argmax(np.where(fits, score, -1.0))]
+        return (int(t), int(x)), bool(whole)
 
     def fill(self) -> list[Piece]:
         """One sequence of waiting pieces."""
@@ -201,7 +208,7 @@ class WordEncoder:
         self.marks = {"": b""} | dict(zip(",.", self._encode([",", "."]), strict=True))
 
     def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.array(x.ids, "<u4").tobytes() for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", x.ids).tobytes() for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         # capital sigma folds by its neighbours in Python, not in the vocabulary's rules
