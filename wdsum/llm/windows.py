@@ -23,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .stored import stored
 from .textkit import BYTE_CODES, U64, Rolling, anchored_cells, blocks, merge_spans, mix, utf8, word_codes, words
 
 NULL_ID = -(1 << 63)
@@ -67,10 +68,19 @@ def cells(identified_docs: DataFrame, unit: str, n: int, k: int) -> DataFrame:
 
 
 def shared_cells(found: DataFrame) -> DataFrame:
-    """Different cells whose key occurs more than once: (key, print, n, first_doc, kinds)."""
-    kind = found.groupBy("key", "print").agg(F.count(F.lit(1)).alias("n"), F.min("doc").alias("first_doc"))
-    shared = kind.groupBy("key").agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("kinds")).where("total > 1").select("key", "kinds")
-    return kind.join(shared, "key")
+    """Cells whose key occurs in others too, stored: found's columns and
+
+    ``mixed`` (cells of different print have the key) and ``first_doc``, the
+    smallest document with the key.
+    """
+    by_key = found.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("print").alias("lo"), F.max("print").alias("hi"), F.min("doc").alias("first_doc"))
+    return stored(found.join(by_key.where("n > 1").select("key", (F.col("lo") != F.col("hi")).alias("mixed"), "first_doc"), "key"))
+
+
+def by_print(shared: DataFrame) -> DataFrame:
+    """Mixed cells with ``first_doc`` now the smallest document with the same key and print, and ``n`` such cells."""
+    mixed = shared.where("mixed").drop("first_doc", "mixed")
+    return mixed.join(mixed.groupBy("key", "print").agg(F.min("doc").alias("first_doc"), F.count(F.lit(1)).alias("n")), ["key", "print"])
 
 
 def packed(start, end):
@@ -154,10 +164,12 @@ def repeated_word_windows(docs: DataFrame, n: int = 20, k: int = 6, id_col: str
     """
     texts = identified(docs, id_col, text_col)
     found = cells(texts, "word", n, k)
-    met = found.join(shared_cells(found).where("n > 1 or kinds > 1"), ["key", "print"])
-    whole = met.where("doc != first_doc").select("doc", "tag", packed("s0", F.col("s1").cast("long") + n).alias("span"))
+    shared = shared_cells(found)
+    mixed = by_print(shared)
+    span = packed("s0", F.col("s1").cast("long") + n).alias("span")
+    whole = [x.where("doc != first_doc").select("doc", "tag", span) for x in (shared.where("not mixed"), mixed)]
     # a first occurrence may hold windows that a different, earlier cell holds too
-    asked = met.where("doc = first_doc and kinds > 1").groupBy("doc", "tag").agg(F.collect_list(F.struct("key", "s0", "s1")).alias("cells"))
+    asked = mixed.where("doc = first_doc").groupBy("doc", "tag").agg(F.collect_list(F.struct("key", "s0", "s1")).alias("cells"))
     rows = _window_rows(texts.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "cells"), n)
     first = rows.groupBy("key", "window").agg(F.min("doc").alias("first_doc"), F.max("doc").alias("last_doc")).where("first_doc != last_doc").drop("last_doc")
     single = rows.join(first, ["key", "window"]).where("doc != first_doc").select("doc", "tag", packed("s", F.col("s").cast("long") + n).alias("span"))
@@ -185,4 +197,4 @@ def repeated_word_windows(docs: DataFrame, n: int = 20, k: int = 6, id_col: str
                     column_.append(value)
         return out
 
-    return removal(texts, whole.unionByName(single), finish, "n_words long, n_removed long, n_spans long, kept_sha256 string")
+    return removal(texts, whole[0].unionByName(whole[1]).unionByName(single), finish, "n_words long, n_removed long, n_spans long, kept_sha256 string")
