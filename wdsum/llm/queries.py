@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import fingerprints, html_text, packing, quality, suffixes, urls, windows
+from . import decontamination, fingerprints, html_text, packing, quality, suffixes, urls, windows
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -35,9 +35,13 @@ def op8_word_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return windows.repeated_word_windows(table(spark, sf_dir, "documents"))
 
 
+def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op4_html_text, op5_quality, op7_fingerprints, op8_word_windows, op10_urls)}
+QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op4_html_text, op5_quality, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
 ORACLES: dict[str, str] = {}
