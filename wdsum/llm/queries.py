@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, fingerprints, html_text, packing, quality, suffixes, urls, windows
+from . import context_tree, decontamination, fingerprints, html_text, packing, quality, suffixes, urls, windows
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,6 +27,10 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op6_context_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return context_tree.score_documents(table(spark, sf_dir, "documents"))
+
+
 def op7_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.fingerprint_versions(table(spark, sf_dir, "documents"))
 
@@ -43,5 +47,5 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op4_html_text, op5_quality, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
+QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op4_html_text, op5_quality, op6_context_tree, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
 ORACLES: dict[str, str] = {}
