@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import context_tree, decontamination, fingerprints, html_text, packing, quality, suffixes, urls, windows
+from . import context_tree, decontamination, fingerprints, html_text, jaccard, packing, quality, suffixes, urls, windows
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,6 +19,10 @@ def op2_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.remove_repeats(table(spark, sf_dir, "documents"))
 
 
+def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op4_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(table(spark, sf_dir, "pages"))
 
@@ -47,5 +51,5 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op4_html_text, op5_quality, op6_context_tree, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
+QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op3_jaccard_join, op4_html_text, op5_quality, op6_context_tree, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
 ORACLES: dict[str, str] = {}
