@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .stored import stored
 from .textkit import BYTE_CODES, U64, Rolling, anchored_cells, merge_spans, mix
-from .windows import by_print, cells, identified, list_parts, packed, removal, shared_cells, symbols, unpack
+from .windows import NULL_ID, by_document, by_print, cells, identified, list_parts, packed, removal, shared_cells, symbols, unpack
 
 #: bytes of context in one suffix array, and representatives of one key
 BATCH_BYTES, GROUP = 1 << 20, 1024
@@ -327,3 +327,42 @@ def merged_spans(column: pa.Array, spans: list[np.ndarray], n: int, k: int) -> I
         cut = np.searchsorted(c["text"][again], np.arange(j - i + 1))
         for t in range(j - i):
             yield unpack(np.concatenate([spans[i + t], own[cut[t] : cut[t + 1]]]) if cut[t] < cut[t + 1] else spans[i + t])
+
+
+def cut_repeats(docs: DataFrame, n: int = 400, k: int = 128, id_col: str = "doc_id", text_col: str = "text", chars_col: str = "n_chars") -> DataFrame:
+    """``docs``, all rows and columns, without the characters that lie wholly in a repeat of ``n`` bytes.
+
+    A character that is only partly in a repeat stays; ``chars_col``, if there,
+    is the new number of characters; null texts stay null.
+    """
+    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    key = identified(docs, id_col, text_col)
+    tagged = docs.withColumns({"_doc": F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), "_tag": F.hash(text)})
+    spans = by_document(repeat_spans(key, n, k)).select(F.col("doc").alias("_doc"), F.col("tag").alias("_tag"), F.col("spans").alias("_spans"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            names = b.schema.names
+            at = names.index(text_col)
+            column = b.column(at)
+            lo, hi, values = list_parts(b.column(len(names) - 1))
+            values = values.to_numpy(zero_copy_only=False)
+            filled = column.fill_null("")
+            texts: list[str | None] = []
+            for raw, there, (a, e) in zip(_raws(filled), column.is_valid().to_pylist(), merged_spans(filled, [values[x:y] for x, y in zip(lo, hi, strict=True)], n, k), strict=True):
+                out, last = [], 0
+                for x, y in zip(a.tolist(), e.tolist(), strict=True):
+                    while x < y and raw[x] & 0xC0 == 0x80:  # inside a character
+                        x += 1
+                    while y > x and y < len(raw) and raw[y] & 0xC0 == 0x80:
+                        y -= 1
+                    out.append(raw[last:x])
+                    last = y
+                texts.append((b"".join(out) + raw[last:]).decode() if there else None)
+            columns = dict(zip(names[:-1], b.columns, strict=False))
+            columns[text_col] = pa.array(texts, column.type)
+            if chars_col in columns:
+                columns[chars_col] = pa.array([None if t is None else len(t) for t in texts], pa.int64()).cast(columns[chars_col].type)
+            yield pa.record_batch(list(columns.values()), names=list(columns))
+
+    return tagged.join(spans, ["_doc", "_tag"], "left").select(*docs.columns, "_spans").mapInArrow(run, docs.schema)
