@@ -1,4 +1,4 @@
-"""The experiments' streams on the given tables: (by..., x, w[, order columns])."""
+"""The experiments' streams on the given tables: (stream, x, w[, order columns])."""
 
 from __future__ import annotations
 
@@ -26,9 +26,9 @@ def edges(spark: SparkSession, sf_dir: str, kind: str = "portable") -> DataFrame
 
 
 def ratings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Customers' largest quantity of each part: many streams, ``by`` customer."""
+    """Customers' largest quantity of each part: many streams, ``stream`` customer."""
     sold = table(spark, sf_dir, "orders").join(table(spark, sf_dir, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey"))
-    return sold.groupBy(F.col("o_custkey").alias("by"), F.col("l_partkey").cast("string").alias("x")).agg(F.max("l_quantity").alias("w"))
+    return sold.groupBy(F.col("o_custkey").alias("stream"), F.col("l_partkey").cast("string").alias("x")).agg(F.max("l_quantity").alias("w"))
 
 
 def orders(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -36,26 +36,26 @@ def orders(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def documents(spark: SparkSession, sf_dir: str, english: bool | None = None) -> DataFrame:
-    """Words of documents by tf-idf: in English, in other languages, or all; ``by`` document."""
+    """Words of documents by tf-idf: in English, in other languages, or all; ``stream`` document."""
     d = table(spark, sf_dir, "documents")
     if english is not None:
         d = d.where((F.col("lang") == "en") == english)
-    return tfidf(d, "doc_id", "text").withColumnRenamed("doc_id", "by")
+    return tfidf(d, "doc_id", "text").withColumnRenamed("doc_id", "stream")
 
 
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = table(spark, sf_dir, "conversations").groupBy("conv_id").agg(F.concat_ws(" ", F.array_sort(F.collect_list("text"))).alias("text"))
-    return tfidf(said, "conv_id", "text").withColumnRenamed("conv_id", "by")
+    return tfidf(said, "conv_id", "text").withColumnRenamed("conv_id", "stream")
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tfidf(table(spark, sf_dir, "pages").select("page_id", F.regexp_replace("html", "<[^>]*>", " ").alias("text")), "page_id", "text").withColumnRenamed("page_id", "by")
+    return tfidf(table(spark, sf_dir, "pages").select("page_id", F.regexp_replace("html", "<[^>]*>", " ").alias("text")), "page_id", "text").withColumnRenamed("page_id", "stream")
 
 
 def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Positive entries of the embeddings, ``by`` vector."""
-    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("by"), F.posexplode("embedding").alias("i", "v"))
-    return e.where("v > 0").select("by", F.col("i").cast("string").alias("x"), F.col("v").cast("double").alias("w"))
+    """Positive entries of the embeddings, ``stream`` vector."""
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("stream"), F.posexplode("embedding").alias("i", "v"))
+    return e.where("v > 0").select("stream", F.col("i").cast("string").alias("x"), F.col("v").cast("double").alias("w"))
 
 
 def synthetic(spark: SparkSession, sf_dir: str, kind: str = "uniform", scale: float = 1.0, size: int | None = None) -> DataFrame:
@@ -79,15 +79,15 @@ def texts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def votes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Customers vote for order priorities with their balance, if positive; ``by`` priority."""
+    """Customers vote for order priorities with their balance, if positive; ``stream`` priority."""
     cast = table(spark, sf_dir, "orders").join(table(spark, sf_dir, "customer"), F.col("o_custkey") == F.col("c_custkey"))
-    return cast.where("c_acctbal > 0").select(F.col("o_orderpriority").alias("by"), F.col("o_custkey").cast("string").alias("x"), F.col("c_acctbal").alias("w"))
+    return cast.where("c_acctbal > 0").select(F.col("o_orderpriority").alias("stream"), F.col("o_custkey").cast("string").alias("x"), F.col("c_acctbal").alias("w"))
 
 
 def daily_users(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Users seen on each day, weighed by their balance, if positive; ``by`` day."""
+    """Users seen on each day, weighed by their balance, if positive; ``stream`` day."""
     seen = table(spark, sf_dir, "events").join(table(spark, sf_dir, "customer"), F.col("user_id") == F.col("c_custkey"))
-    return seen.where("c_acctbal > 0").select(F.date_format("ts", "yyyy-MM-dd").alias("by"), F.col("user_id").cast("string").alias("x"), F.col("c_acctbal").alias("w"), "ts", "event_id")
+    return seen.where("c_acctbal > 0").select(F.date_format("ts", "yyyy-MM-dd").alias("stream"), F.col("user_id").cast("string").alias("x"), F.col("c_acctbal").alias("w"), "ts", "event_id")
 
 
 def links(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -99,4 +99,4 @@ def links(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def monitoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events by type, weighed by their value, in order of arrival."""
-    return table(spark, sf_dir, "events").select(F.col("event_type").alias("by"), F.col("event_id").cast("string").alias("x"), F.col("value").alias("w"), "ts", "event_id")
+    return table(spark, sf_dir, "events").select(F.col("event_type").alias("stream"), F.col("event_id").cast("string").alias("x"), F.col("value").alias("w"), "ts", "event_id")
