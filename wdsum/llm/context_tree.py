@@ -31,7 +31,7 @@ from .textkit import U64, blocks, lower_ascii, mix, utf8, word_codes, words
 
 DEPTH = 6
 #: bytes of text scored together
-CHUNK_BYTES = 32 << 20
+CHUNK_BYTES = 24 << 20
 END, SPACE = 0x0A, 0x20
 GRAM, WORD = 0, 1
 #: the key of the end token among words
@@ -181,7 +181,7 @@ def word_keys(codes: np.ndarray) -> np.ndarray:
 class Tally:
     """Sums of counts by key, compacted now and then."""
 
-    def __init__(self, limit: int = 1 << 21):
+    def __init__(self, limit: int = 1 << 19):
         self.parts: list[tuple[np.ndarray, np.ndarray]] = []
         self.size, self.limit = 0, limit
 
@@ -193,7 +193,7 @@ class Tally:
         if self.size > self.limit:
             self.parts = [self.all()]
             self.size = len(self.parts[0][0])
-            self.limit = max(self.limit, 2 * self.size)
+            self.limit = max(self.limit, self.size + self.size // 2)
 
     def all(self) -> tuple[np.ndarray, np.ndarray]:
         """Different keys in order, and their counts."""
@@ -402,6 +402,7 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         else:  # the sign tells whether the word is known
             values = np.log10((counts + 1) / (train_tokens + different + 1))
             values = np.where(counts > 0, values, -values)
+        values = values.astype(np.float32)  # six digits of each token's share
         found = [pack(values[np.searchsorted(every, w)]) for w in wanted]
         return pa.table([asked.column("chunk").combine_chunks(), pa.array([kind] * len(wanted), pa.int64()), asked.column("keys").combine_chunks().cast(pa.binary()), pa.array(found, pa.binary())], names=["chunk", "kind", "keys", "values"])
 
@@ -410,7 +411,7 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         for kind in (GRAM, WORD):
             part = answers.filter(pc.equal(answers.column("kind"), kind))
             keys = np.concatenate([np.zeros(0, U64), *(unpack_keys(x) for x in part.column("keys").to_pylist())])
-            values = np.concatenate([np.zeros(0), *(unpack(x, np.float64) for x in part.column("values").to_pylist())])
+            values = np.concatenate([np.zeros(0), *(unpack(x, np.float32) for x in part.column("values").to_pylist())])
             tables.append((Lookup(keys), values))
         data, at = utf8(texts.column("text"))
         columns: list[list[np.ndarray]] = [[] for _ in range(5)]
