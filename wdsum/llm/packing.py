@@ -19,7 +19,7 @@ from __future__ import annotations
 import os
 import zlib
 from array import array
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -33,8 +33,8 @@ from .textkit import blocks, utf8
 TOKENIZER = "word_bpe_49k.json"
 END_ID = 1
 POOL_TOKENS = 1 << 20
-CACHED_WORDS = 600_000
-CACHED_STEMS = 1_200_000
+CACHED_WORDS = 250_000
+CACHED_STEMS = 400_000
 
 
 @dataclass(frozen=True)
@@ -171,31 +171,41 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
-class Kept:
-    """A map that forgets: entries not asked for during a whole generation go."""
+# byte-level vocabularies show bytes that are no printable Latin-1 characters by those from U+0100 on, in order
+_HIDDEN = [*range(0x00, 0x21), *range(0x7F, 0xA1), 0xAD]
+_SHOWN = {b: chr(0x100 + k) for k, b in enumerate(_HIDDEN)}
+#: marks without the apostrophe, which may begin a suffix, and "<", which begins special tokens
+_MARKS = '!"#$%&()*+,-./:;=>?@[\\]^_`{|}~'
 
-    def __init__(self, size: int):
-        self.size, self.new, self.old = size, {}, {}
 
-    def missing(self, keys: set[str]) -> list[str]:
-        """Keys to compute; the others are in ``new`` from now on."""
-        if len(self.new) > self.size:
-            self.new, self.old = {}, self.new
-        out = []
-        for k in keys.difference(self.new):
-            if k in self.old:
-                self.new[k] = self.old[k]
-            else:
-                out.append(k)
-        return out
+class Kept(dict):
+    """A map that fills itself and forgets: entries not asked for during a whole generation go."""
+
+    def __init__(self, make: Callable[[str], bytes], size: int, old: dict[str, bytes] | None = None):
+        self.make, self.size, self.old = make, size, old or {}
+
+    def __missing__(self, key: str) -> bytes:
+        found = self.old.pop(key, None)
+        if found is None:
+            found = self.make(key)
+        if len(key) <= 100:
+            self[key] = found
+        return found
+
+    def renewed(self) -> Kept:
+        """Itself, or an empty generation before which this one is."""
+        if len(self) <= self.size:
+            return self
+        self.old = {}
+        return Kept(self.make, self.size, self)
 
 
 class WordEncoder:
     """Ids of whole texts, one space-delimited word at a time.
 
     The vocabulary's own rules drop white space, fold case code point by code
-    point and never join across white space, nor letters with a comma or full
-    stop, so a text's ids are its words' ids in order. Words repeat, so their
+    point and never join across white space, nor letters with marks other than
+    an apostrophe, so a text's ids are its words' ids in order. Words repeat, so their
     ids are kept, within a bound.
     """
 
@@ -204,28 +214,30 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.words, self.stems = Kept(CACHED_WORDS), Kept(CACHED_STEMS)
-        self.marks = {"": b""} | dict(zip(",.", self._encode([",", "."]), strict=True))
+        self.merge = self.tokenizer.model.tokenize
+        self.marks = Kept(self._any, 10_000)
+        self.stems = Kept(self._letters, CACHED_STEMS)
+        self.words = Kept(self._word, CACHED_WORDS)
+
+    def _any(self, text: str) -> bytes:
+        return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _letters(self, stem: str) -> bytes:
+        """Ids of letters below U+0100 in lower case, which the rules before the merges leave as they are."""
+        return array("I", [t.id for t in self.merge(stem if stem.isascii() else stem.encode().decode("latin-1").translate(_SHOWN))]).tobytes()
 
-    def _encode(self, texts: list[str]) -> list[bytes]:
-        return [array("I", x.ids).tobytes() for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+    def _word(self, word: str) -> bytes:
+        stem = word.rstrip(_MARKS)
+        mark = word[len(stem) :]
+        if stem.isalpha() and (stem.isascii() or max(stem) < "\u0100") and stem == stem.lower():
+            return self.stems[stem] + self.marks[mark] if mark else self.stems[stem]
+        return self._any(word)
 
     def __call__(self, texts: list[str]) -> list[bytes]:
+        get = self.words.__getitem__
         # capital sigma folds by its neighbours in Python, not in the vocabulary's rules
-        split = [(t if "\u03a3" in t else t.lower()).replace("\n", " ").split(" ") for t in texts]
-        missing = self.words.missing(set().union(*split))
-        cut = [(w, w[:-1], w[-1:]) if w[-1:] in self.marks and w[:-1].isalpha() else (w, w, "") for w in missing]
-        stems = self.stems.missing({stem for _, stem, _ in cut})
-        self.stems.new.update(zip(stems, self._encode(stems), strict=True))
-        ids = self.stems.new
-        self.words.new.update((w, ids[stem] + self.marks[mark]) for w, stem, mark in cut)
-        get = self.words.new.__getitem__
-        out = [b"".join(map(get, ws)) for ws in split]
-        for w in missing:
-            if len(w) > 200:
-                self.words.new.pop(w)
-                self.stems.new.pop(w, None)
-                self.stems.new.pop(w[:-1], None)
+        out = [b"".join(map(get, (t if "\u03a3" in t else t.lower()).replace("\n", " ").split(" "))) for t in texts]
+        self.words, self.stems = self.words.renewed(), self.stems.renewed()
         return out
 
 
