@@ -97,32 +97,32 @@ def dense_by_stream(spark, d):
     return S.float_estimate(S.dense_registers(W.ratings(spark, d), M16, ["stream"]), M16, ["stream"]).select("stream", F.round("est", 3).alias("est"))
 
 
-_FEW = f"SELECT * FROM {Q.once(Q.PARTS)} WHERE x::BIGINT <= 200"
-_ORDERED = f"""(WITH e AS ({_FEW}), k AS (SELECT x, w, k, -ln({Q.uniform('x', 'k', 1)}) / (w * (64 - k + 1)) AS s, {Q.bits("'p0:' || x || ':' || k")} AS p FROM e, (SELECT unnest(range(1, 65)) AS k)),
+_ONCE = f"SELECT * FROM {Q.once(Q.PARTS)}"
+_ORDERED = f"""(WITH e AS ({_ONCE}), k AS (SELECT x, w, k, -ln({Q.uniform('x', 'k', 1)}) / (w * (64 - k + 1)) AS s, {Q.bits("'p0:' || x || ':' || k")} AS p FROM e, (SELECT unnest(range(1, 65)) AS k)),
   v AS (SELECT x, k, sum(s) OVER (PARTITION BY x ORDER BY k) AS r FROM k), o AS (SELECT x, k AS j, row_number() OVER (PARTITION BY x ORDER BY p, k) AS k FROM k)
   SELECT x, k::INT AS k, r, j::INT AS j FROM v JOIN o USING (x, k))"""
 
 
-def _few(spark, d):
-    return resolve(W.parts(spark, d), "x", "w").where(F.col("x").cast("long") <= 200)
+def _once(spark, d):
+    return resolve(W.parts(spark, d), "x", "w")
 
 
 @query(f"SELECT x, k, round(r * 1e6, 4) AS r6 FROM {_ORDERED}")
 def ordered_values(spark, d):
-    return S.ordered_rows_sql(_few(spark, d), M).select("x", "k", F.round(F.col("r") * 1e6, 4).alias("r6"))
+    return S.ordered_rows_sql(_once(spark, d), M).select("x", "k", F.round(F.col("r") * 1e6, 4).alias("r6"))
 
 
 @query(f"SELECT x, k, j FROM {_ORDERED}")
 def ordered_permutation(spark, d):
-    return S.ordered_rows_sql(_few(spark, d), M).select("x", "k", "j")
+    return S.ordered_rows_sql(_once(spark, d), M).select("x", "k", "j")
 
 
 @query(f"SELECT j, round(min(r) * 1e9, 2) AS r9 FROM {_ORDERED} GROUP BY j")
 def ordered_registers_sql(spark, d):
-    return S.ordered_registers_sql(_few(spark, d), M).select("j", F.round(F.col("r") * 1e9, 2).alias("r9"))
+    return S.ordered_registers_sql(_once(spark, d), M).select("j", F.round(F.col("r") * 1e9, 2).alias("r9"))
 
 
-_SWAPS = f"""WITH RECURSIVE e AS (SELECT DISTINCT l_partkey::VARCHAR AS x FROM lineitem WHERE l_partkey <= 100),
+_SWAPS = f"""WITH RECURSIVE e AS (SELECT DISTINCT l_partkey::VARCHAR AS x FROM lineitem),
   s AS (SELECT x, 0 AS k, [1, 2, 3, 4, 5, 6, 7, 8] AS p FROM e UNION ALL
         SELECT x, k + 1, list_transform(range(1, 9), lambda i: CASE WHEN i = k + 1 THEN p[h] WHEN i = h THEN p[k + 1] ELSE p[i] END)
         FROM (SELECT x, k, p, k + 1 + {Q.bits("'w0:' || x || ':' || (k + 1)")} % (8 - k) AS h FROM s WHERE k < 8))
@@ -132,7 +132,7 @@ _SWAPS = f"""WITH RECURSIVE e AS (SELECT DISTINCT l_partkey::VARCHAR AS x FROM l
 @query(_SWAPS)
 def ordered_shuffle_small(spark, d):
     """Swap placement of eight values, folded inside the row."""
-    x = table(spark, d, "lineitem").where("l_partkey <= 100").select(F.col("l_partkey").cast("string").alias("x")).distinct()
+    x = table(spark, d, "lineitem").select(F.col("l_partkey").cast("string").alias("x")).distinct()
 
     def step(p, k):
         h = (k + hash_bits("portable", 0, "w", F.col("x"), k) % (9 - k)).cast("int")
@@ -159,9 +159,9 @@ def ordered_lazy_equals_eager(spark, d):
 # integer registers ------------------------------------------------------------
 
 
-@query(f"SELECT x, j::INT AS j, {Q.bucket(Q.value('x', 'w', 'j'), portable(4))} AS y FROM ({_FEW}), (SELECT unnest([1, 2, 3, 4]) AS j)")
+@query(f"SELECT x, j::INT AS j, {Q.bucket(Q.value('x', 'w', 'j'), portable(4))} AS y FROM ({_ONCE}), (SELECT unnest([1, 2, 3, 4]) AS j)")
 def logbucket_values(spark, d):
-    rows = _few(spark, d).withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(4))))
+    rows = _once(spark, d).withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(4))))
     return rows.select("x", "j", R.truncate(R.bucket(exponential(F.col("x"), F.col("w"), F.col("j"), 0, "portable")), portable(4)).alias("y"))
 
 

@@ -1 +1,238 @@
-"""To come."""
+"""Queries of accuracy and cost measures, and of the applications."""
+
+from __future__ import annotations
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from ..functions import estimators as E
+from ..functions.registers import histogram
+from ..operators import exact, experiments, live, metrics
+from ..operators import sketches as S
+from ..plans import planner
+from ..sources import workloads as W
+from ..sources.weights import first_arrivals, resolve
+from ..spec import SketchSpec
+from . import registry as Q
+from .core import M16, ORDER, M
+from .registry import portable, query
+
+SEEDS = range(4)
+METHODS = ("dense_exp", "logbucket", "logbucket_live")
+
+
+def _many(stream: str, seeds=SEEDS) -> str:
+    """SQL of a stream once for each seed, elements with the seed in front."""
+    return f"SELECT * REPLACE (stream || '/' || x AS x) FROM ({stream}), (SELECT unnest({list(seeds)}) AS stream)"
+
+
+def _run_sql(method: str, stream: str, order: str, m: int, seeds=SEEDS) -> str:
+    """SQL of (stream: the seed, est)."""
+    spec, many = portable(m), _many(stream, seeds)
+    if method == "dense_exp":
+        return f"SELECT stream, {m - 1} / sum(r) AS est FROM {Q.dense(many, spec, True)} GROUP BY stream"
+    if method == "logbucket":
+        return f"SELECT stream, c AS est FROM {Q.mle(Q.hist(Q.integers(many, spec, True), spec, 'stream'), spec, 'stream')}"
+    return f"SELECT stream, max(est) AS est FROM {Q.live_steps(many, order, spec, 'stream')} GROUP BY stream"
+
+
+def _rrmse_sql(stream: str, order: str, sizes, methods=METHODS, extra: str = "") -> str:
+    truth = f"(SELECT sum(w) AS exact FROM {Q.once(stream)})"
+    parts = [f"SELECT {extra}'{x}' AS method, {m}::INT AS m, round(sqrt(avg(pow(est - exact, 2))) / avg(exact), 6) AS rrmse FROM ({_run_sql(x, stream, order, m)}), {truth}" for x in methods for m in sizes]
+    return " UNION ALL ".join(parts)
+
+
+def _first_parts(spark, d):
+    return first_arrivals(W.parts(spark, d).select("x", "w", *(c for c in W.ARRIVAL)), "x", "w", W.ARRIVAL)
+
+
+_FIRST_PARTS = f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY {ORDER}) AS k FROM ({Q.PARTS})) WHERE k = 1"
+
+
+def _rounded(df):
+    return df.withColumn("rrmse", F.round("rrmse", 6))
+
+
+@query(_rrmse_sql(_FIRST_PARTS, ORDER, (16, 64)))
+def metric_rrmse_m(spark, d):
+    r = experiments.runs(_first_parts(spark, d), METHODS, (16, 64), SEEDS, portable(16), W.ARRIVAL)
+    return _rounded(metrics.rrmse(r, ["method", "m"]))
+
+
+def _uniform_sql(size: int | None) -> str:
+    return f"SELECT event_id::VARCHAR AS x, {Q.uniform('event_id', '1', 7919)} AS w, ts, event_id FROM events {f'WHERE event_id < {size}' if size else ''}"
+
+
+SIZES = (100, 1000, None)
+
+
+@query(" UNION ALL ".join(_rrmse_sql(_uniform_sql(n), "ts, event_id", (16,), ("logbucket", "logbucket_live"), f"{n or 0}::INT AS size, ") for n in SIZES))
+def metric_rrmse_size(spark, d):
+    """Error by the number of elements (0: all): the sweep's streams are the first arrivals."""
+    out = None
+    for n in SIZES:
+        r = experiments.runs(W.synthetic(spark, d, "uniform", size=n), ("logbucket", "logbucket_live"), (16,), SEEDS, portable(16), ["ts", "event_id"])
+        one = _rounded(metrics.rrmse(r, ["method", "m"])).withColumn("size", F.lit(n or 0))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def metric_rrmse_bits(spark, d):
+    """Error by bits and by the largest weight, inside and outside the range."""
+    out = None
+    for b in (4, 5, 6, 7, 8):
+        for scale in (1e-10, 1e-5, 1.0, 1e5, 1e10):
+            for method in ("logbucket_routed", "logbucket_live"):
+                r = experiments.runs(W.synthetic(spark, d, "uniform", scale), (method,), (64,), range(2), SketchSpec(64, b), ["ts", "event_id"])
+                one = metrics.rrmse(r, ["method"]).select("method", F.lit(b).alias("b"), F.lit(scale).alias("scale"), "rrmse", F.lit(E.range_bound(b, m=64)[0]).alias("least"), F.lit(E.range_bound(b, m=64)[1]).alias("most"))
+                out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _aare_sql(method: str, m: int) -> str:
+    spec = portable(m)
+    if method == "dense_exp":
+        est = f"SELECT stream, {m - 1} / sum(r) AS est FROM {Q.dense(Q.RATINGS, spec, True)} GROUP BY stream"
+    else:
+        est = f"SELECT stream, c AS est FROM {Q.mle(Q.hist(Q.integers(Q.RATINGS, spec, True), spec, 'stream'), spec, 'stream')}"
+    return f"SELECT '{method}' AS method, {m}::INT AS m, round(avg(abs(est - exact) / exact), 6) AS aare FROM ({est}) JOIN (SELECT stream, sum(w) AS exact FROM {Q.once(Q.RATINGS, True)} GROUP BY stream) USING (stream)"
+
+
+@query(" UNION ALL ".join(_aare_sql(x, m) for x in METHODS[:2] for m in (16, 64)))
+def metric_aare_m(spark, d):
+    r = experiments.by_stream(W.ratings(spark, d), METHODS[:2], (16, 64), portable(16))
+    return metrics.aare(r, ["method", "m"]).withColumn("aare", F.round("aare", 6))
+
+
+_RUNS = f"(SELECT * FROM ({_run_sql('dense_exp', _FIRST_PARTS, ORDER, 64)}), (SELECT sum(w) AS exact FROM {Q.once(Q.PARTS)}))"
+
+
+@query(f"SELECT 'dense_exp' AS method, round(avg((est - exact) / exact), 6) AS bias, round(stddev_samp((est - exact) / exact) / sqrt(count(*)), 6) AS bias_se FROM {_RUNS}")
+def metric_bias(spark, d):
+    r = experiments.runs(_first_parts(spark, d), ("dense_exp",), (64,), SEEDS, portable(64))
+    return metrics.bias(r, ["method"]).select("method", F.round("bias", 6).alias("bias"), F.round("bias_se", 6).alias("bias_se"))
+
+
+@query()
+def metric_coverage(spark, d):
+    r = experiments.runs(_first_parts(spark, d), ("logbucket", "logbucket_routed"), (64,), range(40))
+    return metrics.coverage(r, ["method"])
+
+
+@query("SELECT method, m::INT AS m, b::INT AS b, CASE method WHEN 'dense_exp' THEN 64 * m WHEN 'logbucket' THEN m * b ELSE m * b + (1 << b) * log2(m) END::BIGINT AS bits FROM (SELECT unnest(['dense_exp', 'logbucket', 'logbucket_live']) AS method), (SELECT unnest([64, 256, 1024, 4096]) AS m), (SELECT unnest([4, 5, 6, 7, 8]) AS b)")
+def metric_memory(spark, d):
+    rows = [(x, m, b, metrics.memory_bits(x, m, b)) for x in METHODS for m in (64, 256, 1024, 4096) for b in (4, 5, 6, 7, 8)]
+    return spark.createDataFrame(rows, "method string, m int, b int, bits long")
+
+
+@query("SELECT method, m::INT AS m, round(CASE method WHEN 'dense_exp' THEN sqrt(1 / (m - 2)) WHEN 'logbucket' THEN sqrt(ln(2) / (pi() * pi() / 6 - 1) / m) ELSE sqrt(ln(2) / m) END, 6) AS error FROM (SELECT unnest(['dense_exp', 'logbucket', 'logbucket_live']) AS method), (SELECT unnest([64, 128, 256, 512, 1024, 2048, 4096]) AS m)")
+def metric_theory(spark, d):
+    rows = [(x, m, round(metrics.predicted_error(x, m), 6)) for x in METHODS for m in (64, 128, 256, 512, 1024, 2048, 4096)]
+    return spark.createDataFrame(rows, "method string, m int, error double")
+
+
+_T5 = portable(64, 5)
+_TEXT5 = "SELECT text AS x, 0.0001 * n_chars AS w FROM documents"
+
+
+@query(f"SELECT round(1 - count(*) FILTER (y > {_T5.low} AND y < {_T5.high}) / 64, 9) AS truncated FROM {Q.integers(_TEXT5, _T5)}")
+def truncation_rate(spark, d):
+    rows = W.texts(spark, d).select("x", (F.lit(0.0001) * F.col("w")).alias("w"))
+    return metrics.truncation_rate(S.integer_registers(resolve(rows, "x", "w"), _T5), _T5.low, _T5.high, 64).select(F.round("truncated", 9).alias("truncated"))
+
+
+# cost ---------------------------------------------------------------------------
+
+
+@query()
+def work_draws(spark, d):
+    """Random draws of each method by m; the dense plan takes m for each arrival, routed ones take one."""
+    parts, out = W.parts(spark, d), None
+    for m in (64, 256, 1024):
+        for name, floats, stop in (("ordered_exp", True, True), ("logbucket", False, True), ("no_stop", False, False)):
+            one = S.work_counters(parts, SketchSpec(m), floats=floats, early_stop=stop).select(F.lit(name).alias("method"), F.lit(m).alias("m"), "arrivals", "draws", "refreshes")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(f"SELECT count(*) AS rises FROM {Q.live_steps(Q.PARTS, ORDER, M)}")
+def work_rises(spark, d):
+    return live.trajectory(W.parts(spark, d), W.ARRIVAL, M).agg(F.count(F.lit(1)).alias("rises"))
+
+
+@query()
+def work_newton_iters(spark, d):
+    """Newton steps of every customer's sketch."""
+    h = histogram(S.integer_registers(W.ratings(spark, d), M16, ["stream"]), ["stream"], M16)
+    return h.select(E.newton(F.col("hist"), M16)["iterations"].alias("iterations")).groupBy("iterations").agg(F.count(F.lit(1)).alias("streams"))
+
+
+@query()
+def work_ascending_weights(spark, d):
+    """Weights that grow with time keep the early stop from working; one register for each arrival doesn't mind."""
+    out = None
+    for name, order in (("ascending", F.col("w")), ("descending", F.desc("w"))):
+        rows = W.synthetic(spark, d, "uniform").select("x", (F.pow("w", 8) * 1e6).alias("w")).repartition(1).sortWithinPartitions(order)
+        one = S.work_counters(rows, SketchSpec(256)).select(F.lit(name).alias("arrivals_in"), "arrivals", "draws")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def plan_choice(spark, d):
+    rows = []
+    for name, df, by in (("parts", W.parts(spark, d), None), ("ratings", W.ratings(spark, d), ["stream"]), ("monitoring", W.monitoring(spark, d), ["stream"])):
+        for m in (16, 1024):
+            s = planner.stats(df, by)
+            rows.append((name, m, s.arrivals, s.streams, planner.choose_plan(SketchSpec(m), s)))
+    return spark.createDataFrame(rows, "stream string, m int, arrivals long, streams long, plan string")
+
+
+# applications ---------------------------------------------------------------------
+
+
+def _beside(df, spec=M, by: list[str] | None = None, digits: int = 1):
+    """Exact sum and routed sketch of each stream."""
+    keys = by or []
+    once = resolve(df, "x", "w", by=by)
+    est = S.integer_estimate(S.routed_registers(once, spec, by), spec, by, routed=True).select(*keys, F.round("est", digits).alias("est"))
+    total = exact.weighted_distinct(df, by=by).select(*keys, F.round("exact", 3).alias("exact"), "n")
+    return total.join(est, keys) if by else total.crossJoin(F.broadcast(est))
+
+
+def _beside_sql(stream: str, spec=M, by: bool = False, digits: int = 1) -> str:
+    key = "stream, " if by else ""
+    est = f"(SELECT {key}round({spec.m} * c, {digits}) AS est FROM {Q.mle(Q.hist(Q.routed(stream, spec, by), spec, 'stream' if by else ''), spec, 'stream' if by else '')})"
+    total = f"(SELECT {key}round(sum(w), 3) AS exact, count(*) AS n FROM {Q.once(stream, by)} {'GROUP BY stream' if by else ''})"
+    return f"SELECT * FROM {total} JOIN {est} USING (stream)" if by else f"SELECT * FROM {total}, {est}"
+
+
+query(_beside_sql(Q.TEXTS), "app_distinct_size")(lambda spark, d: _beside(W.texts(spark, d)))
+query(_beside_sql(Q.DAILY, M16, True), "app_weighted_dau")(lambda spark, d: _beside(W.daily_users(spark, d), M16, ["stream"]))
+
+
+@query(f"SELECT stream, exact, n, rank() OVER (ORDER BY exact DESC)::INT AS place FROM (SELECT stream, round(sum(w), 3) AS exact, count(*) AS n FROM {Q.once(Q.VOTES, True)} GROUP BY stream)")
+def app_vote_winner(spark, d):
+    """Options by the weight of their voters; the options are few, so one task ranks them."""
+    total = exact.weighted_distinct(W.votes(spark, d), by=["stream"]).select("stream", F.round("exact", 3).alias("exact"), "n")
+    return total.withColumn("place", F.rank().over(Window.orderBy(F.desc("exact"))))
+
+
+_HOUR_STEPS = Q.live_steps(Q.MONITORING, "ts, event_id", M16, "stream")
+_ANOMALY = f"""WITH h AS (SELECT stream, date_trunc('hour', ts) AS hour, max(est) AS est FROM {_HOUR_STEPS} GROUP BY ALL),
+  g AS (SELECT *, est - coalesce(lag(est) OVER (PARTITION BY stream ORDER BY hour), 0) AS up FROM h),
+  s AS (SELECT *, avg(up) OVER w AS mean, stddev_samp(up) OVER w AS sd FROM g WINDOW w AS (PARTITION BY stream ORDER BY hour ROWS BETWEEN 24 PRECEDING AND 1 PRECEDING))
+  SELECT stream, hour, round(up, 2) AS up, coalesce(abs(up - mean) > 3 * sd, false) AS odd FROM s"""
+
+
+@query(_ANOMALY)
+def app_anomaly_hours(spark, d):
+    """Hours in which a type's running estimate rises unlike the 24 rises before."""
+    steps = live.trajectory(W.monitoring(spark, d), ["ts", "event_id"], M16, ["stream"])
+    hours = steps.groupBy("stream", F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("hour")).agg(F.max("est").alias("est"))
+    own = Window.partitionBy("stream").orderBy("hour")
+    up = hours.withColumn("up", F.col("est") - F.coalesce(F.lag("est").over(own), F.lit(0.0)))
+    before = own.rowsBetween(-24, -1)
+    known = up.withColumns({"mean": F.avg("up").over(before), "sd": F.stddev_samp("up").over(before)})
+    return known.select("stream", "hour", F.round("up", 2).alias("up"), F.coalesce(F.abs(F.col("up") - F.col("mean")) > 3 * F.col("sd"), F.lit(False)).alias("odd"))
