@@ -82,7 +82,7 @@ def metric_rrmse_bits(spark, d):
     """Error by bits and by the largest weight, inside and outside the range."""
     out = None
     for b in (4, 5, 6, 7, 8):
-        for scale in (1e-10, 1e-5, 1.0, 1e5, 1e10):
+        for scale in (1e-10, 1.0, 1e10):
             for method in ("logbucket_routed", "logbucket_live"):
                 r = experiments.runs(W.synthetic(spark, d, "uniform", scale), (method,), (64,), range(2), SketchSpec(64, b), ["ts", "event_id"])
                 one = metrics.rrmse(r, ["method"]).select("method", F.lit(b).alias("b"), F.lit(scale).alias("scale"), "rrmse", F.lit(E.range_bound(b, m=64)[0]).alias("least"), F.lit(E.range_bound(b, m=64)[1]).alias("most"))
@@ -150,8 +150,8 @@ def work_draws(spark, d):
     """Random draws of each method by m; the dense plan takes m for each arrival, routed ones take one."""
     parts, out = W.parts(spark, d), None
     for m in (64, 256, 1024):
-        for name, floats, stop in (("ordered_exp", True, True), ("logbucket", False, True), ("no_stop", False, False)):
-            one = S.work_counters(parts, SketchSpec(m), floats=floats, early_stop=stop).select(F.lit(name).alias("method"), F.lit(m).alias("m"), "arrivals", "draws", "refreshes")
+        for name, floats in (("ordered_exp", True), ("logbucket", False)):
+            one = S.work_counters(parts, SketchSpec(m), floats=floats).select(F.lit(name).alias("method"), F.lit(m).alias("m"), "arrivals", "draws", "refreshes", (F.col("arrivals") * m).alias("dense_draws"))
             out = one if out is None else out.unionByName(one)
     return out
 
