@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from . import context_tree, decontamination, fingerprints, html_text, jaccard, packing, quality, suffixes, urls, windows
+from .oracles import ORACLES
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -52,4 +53,4 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_pack, op2_suffix_dedup, op3_jaccard_join, op4_html_text, op5_quality, op6_context_tree, op7_fingerprints, op8_word_windows, op9_decontaminate, op10_urls)}
-ORACLES: dict[str, str] = {}
+__all__ = ["ORACLES", "QUERIES", "table"]
