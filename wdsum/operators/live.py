@@ -18,6 +18,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -38,17 +39,43 @@ def project(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(),
     return rows.withColumn("y", y).where(F.col("y") > spec.low).drop("_x")
 
 
+#: rows that a task compares with each other before it passes on those that rise
+PRUNE_ROWS = 1 << 20
+
+
 def local_rises(rows: DataFrame, order_by: list[str], by: list[str] | None = None) -> DataFrame:
-    """Rows that rise among the rows of their own batch: none of the others can be a rise."""
+    """Rows that rise among a part of their own task's rows: none of the others can be a rise."""
     keys = [*(by or []), "s", "j"]
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for p in batches:
-            p = p.sort_values(order_by, kind="stable")
-            before = p.groupby(keys, sort=False, dropna=False)["y"].transform(lambda y: y.cummax().shift(fill_value=-(1 << 30)))
-            yield p[p["y"] > before]
-
-    return rows.mapInPandas(run, rows.schema)
+    def prune(held: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t = pa.Table.from_batches(held)
+        code = np.zeros(len(t), np.int64)
+        for k in keys:
+            one, names = pd.factorize(t.column(k).to_pandas(), use_na_sentinel=False)
+            code = code * len(names) + one
+        y = t.column("y").to_numpy()
+        code = pd.factorize(code)[0]
+        order = np.lexsort([*(pd.factorize(t.column(c).to_pandas(), sort=True)[0] if pa.types.is_string(t.schema.field(c).type) else t.column(c).to_numpy() for c in reversed(order_by)), code])
+        # groups follow each other, so one running maximum serves all of them
+        rank = code[order] * (1 << 24) + y[order] + (1 << 23)
+        reach = np.maximum.accumulate(rank)
+        up = np.ones(len(rank), bool)
+        up[1:] = rank[1:] > reach[:-1]
+        yield from t.take(pa.array(np.sort(order[up]))).to_batches()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        size = 0
+        for b in batches:
+            held.append(b)
+            size += b.num_rows
+            if size >= PRUNE_ROWS:
+                yield from prune(held)
+                held, size = [], 0
+        if held:
+            yield from prune(held)
+
+    return rows.mapInArrow(run, rows.schema)
 
 
 def rises(rows: DataFrame, order_by: list[str], spec: SketchSpec, by: list[str] | None = None) -> DataFrame:

@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -68,7 +69,7 @@ def _partials(df: DataFrame, spec: SketchSpec, x: str, w: str, by: list[str], fl
         sketches: dict[str, OrderedSketch] = {}
         for b in batches:
             name, key, weight = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy().view(np.uint64), b.column(2).to_numpy()
-            groups, at = np.unique(name.astype(str), return_inverse=True)
+            at, groups = pd.factorize(name) if by else (np.zeros(len(key), np.int64), np.array([""]))
             order = np.argsort(at, kind="stable")
             edge = np.searchsorted(at[order], np.arange(len(groups) + 1))
             for g, label in enumerate(groups.tolist()):
@@ -126,9 +127,9 @@ def integer_registers(df: DataFrame, spec: SketchSpec = SketchSpec(), by: list[s
     level = sample.groupBy(*by).agg(F.when(F.count(F.lit(1)) == spec.m, F.min("y")).alias("_level"))
     rows = clean(df, w, spec)
     rows = rows.join(level, by, "left") if by else rows.crossJoin(level)  # without streams the level is one row
-    # only variables under the level's lower end raise anything; their registers are few
-    passing = F.filter(F.sequence(F.lit(1), F.lit(spec.m)), lambda j: exponential(F.col(x), F.col(w), j, spec.seed, spec.hash) <= F.pow(F.lit(2.0), -F.coalesce("_level", F.lit(spec.low)).cast("double")))
-    rows = rows.withColumn("j", F.explode(passing)).select(*by, "j", value.alias("y"))
+    # only variables under the level's upper end can raise anything: few rows reach the aggregation
+    r = exponential(F.col(x), F.col(w), F.col("j"), spec.seed, spec.hash)
+    rows = rows.withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(spec.m)))).where(r <= F.pow(F.lit(2.0), -F.coalesce("_level", F.lit(spec.low)).cast("double"))).select(*by, "j", value.alias("y"))
     return merge_rows(rows.unionByName(sample.select(*by, "j", "y")), by).where(F.col("y") > spec.low)
 
 
