@@ -65,7 +65,7 @@ def score(hist: Column, c: Column, spec: SketchSpec) -> Column:
 
     def term(y: Column) -> Column:
         a = half(y)
-        return _cases(y, spec, -a, a * (1 / F.expm1(c * a) - 1), 2 * a / F.expm1(2 * c * a))
+        return _cases(y, spec, -a, a * (F.try_divide(F.lit(1.0), F.expm1(c * a)) - 1), F.try_divide(2 * a, F.expm1(2 * c * a)))
 
     return _sum(hist, term)
 
@@ -75,7 +75,7 @@ def dscore(hist: Column, c: Column, spec: SketchSpec) -> Column:
 
     def curve(a: Column) -> Column:
         x = c * a
-        return -a * a / (F.expm1(x) * -F.expm1(-x))
+        return F.try_divide(-a * a, F.expm1(x) * -F.expm1(-x))  # null at c = 0
 
     def term(y: Column) -> Column:
         a = half(y)
@@ -116,7 +116,7 @@ def newton(hist: Column, spec: SketchSpec, tol: float = 1e-12, max_iter: int = 4
     begin = F.struct(start(hist, spec).alias("c"), F.lit(0).alias("iterations"), F.lit(False).alias("done"))
 
     def step(s: Column, _: Column) -> Column:
-        new = s["c"] - score(hist, s["c"], spec) / dscore(hist, s["c"], spec)
+        new = s["c"] - F.try_divide(score(hist, s["c"], spec), dscore(hist, s["c"], spec))
         moved = F.abs(new - s["c"]) > tol * F.abs(new)
         again = F.struct(new.alias("c"), (s["iterations"] + 1).alias("iterations"), (~moved).alias("done"))
         return F.when(s["done"], s).otherwise(again)
@@ -133,7 +133,7 @@ def mle(hist: Column, spec: SketchSpec, tol: float = 1e-12, max_iter: int = 40,
 
 
 def mle_var(hist: Column, c: Column, spec: SketchSpec) -> Column:
-    return -1 / dscore(hist, c, spec)
+    return F.try_divide(F.lit(-1.0), dscore(hist, c, spec))
 
 
 #: normal quantiles of the usual two-sided levels

@@ -59,6 +59,6 @@ def histogram(rows: DataFrame, by: list[str], spec: SketchSpec, value: str = "y"
     """(by, hist): how many registers hold each value; registers without a row hold the lowest."""
     low = F.lit(spec.low)
     counts = rows.groupBy(*by, F.col(value).alias("y")).agg(F.count(F.lit(1)).cast("long").alias("n"))
-    whole = counts.groupBy(*by).agg(F.collect_list(F.struct("y", "n")).alias("_h"), F.sum("n").alias("_s"))
+    whole = counts.groupBy(*by).agg(F.collect_list(F.struct("y", "n")).alias("_h"), F.coalesce(F.sum("n"), F.lit(0)).alias("_s"))
     missing = F.when(F.col("_s") < spec.m, F.array(F.struct(low.alias("y"), (spec.m - F.col("_s")).alias("n")))).otherwise(F.array().cast("array<struct<y:int,n:bigint>>"))
     return whole.select(*by, F.array_sort(F.concat(F.transform("_h", lambda e: F.struct(e["y"].cast("int").alias("y"), e["n"].alias("n"))), missing)).alias("hist"))

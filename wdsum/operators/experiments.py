@@ -33,13 +33,17 @@ def estimates(df: DataFrame, method: str, spec: SketchSpec, by: list[str], order
 
 def runs(df: DataFrame, methods: Iterable[str], sizes: Iterable[int], seeds: Iterable[int], spec: SketchSpec = SketchSpec(), order_by: list[str] | None = None) -> DataFrame:
     """(method, m, seed, est, exact) over one stream without conflicts, every run in one job."""
+    seeds = list(seeds)
     truth = weighted_distinct(df).select("exact")
     many = replicates(df, seeds)
+    asked = df.sparkSession.range(1).select(F.explode(F.array(*map(F.lit, seeds))).alias("seed"))
     out: DataFrame | None = None
     for method in methods:
         for m in sizes:
             one = estimates(many, method, SketchSpec(m, spec.b, spec.seed, spec.hash), ["seed"], order_by)
             one = one.select(F.lit(method).alias("method"), F.lit(m).alias("m"), "seed", "est", *(F.col(c) if c in one.columns else F.lit(None).cast("double").alias(c) for c in ("lo", "hi")))
+            # a run whose registers all stay at the lowest value has no rows: its estimate is 0
+            one = asked.join(one, "seed", "left").withColumns({"method": F.lit(method), "m": F.lit(m), "est": F.coalesce("est", F.lit(0.0))})
             out = one if out is None else out.unionByName(one)
     return out.crossJoin(F.broadcast(truth))
 
