@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from ..functions import sqlfuncs
 from ..operators import sketches as S
+from ..plans.shared import fresh_path
 from ..sources import workloads as W
 from ..sources.tables import table
 from ..sources.weights import resolve
@@ -60,6 +61,18 @@ def stream_static_join(spark, d):
     return _shown(T.run(T.windowed_registers(T.routed_rows(s, M16, ["ts"]), F.window("ts", "1 day"))))
 
 
+@query(f"SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M') AS start, j, max(y) AS y FROM {_EVENTS} GROUP BY ALL")
+def stream_late(spark, d):
+    """The month's second half arrives first; within the watermark the first half still joins its windows."""
+    path = fresh_path(spark, "late")
+    e = table(spark, d, "events")
+    for half in ("day(ts) > 15", "day(ts) <= 15"):
+        e.where(half).coalesce(1).write.mode("append").parquet(path)
+    s = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(path).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "60 days")
+    rows = T.routed_rows(s.select(F.col("event_id").cast("string").alias("x"), F.col("value").alias("w"), "ts"), M16, ["ts"])
+    return _shown(T.run(T.windowed_registers(rows, F.window("ts", "1 day")), "update")).groupBy("start", "j").agg(F.max("y").alias("y"))
+
+
 _TYPES = Q.live_steps(Q.MONITORING, "ts, event_id", M16, "stream")
 
 
