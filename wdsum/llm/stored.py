@@ -17,8 +17,23 @@ def folder(spark: SparkSession) -> str:
     return named
 
 
+_written: list[str] = []
+
+
 def stored(df: DataFrame) -> DataFrame:
-    """``df`` written once and read back: computed once, lineage cut, survives lost executors."""
+    """``df`` written once and read back: computed once, lineage cut, survives lost executors.
+
+    The table stays until ``discard``: what reads it may run at any later time.
+    """
     path = f"{folder(df.sparkSession).rstrip('/')}/table-{uuid.uuid4().hex}"
+    _written.append(path)
     df.write.option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def discard(spark: SparkSession) -> None:
+    """Deletes the tables that this process has stored; call it once their results are written."""
+    jvm = spark._jvm
+    while _written:
+        path = jvm.org.apache.hadoop.fs.Path(_written.pop())
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
