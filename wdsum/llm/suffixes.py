@@ -255,7 +255,8 @@ def _array_spans(contexts: DataFrame, n: int) -> DataFrame:
         if held:
             yield solve()
 
-    return contexts.repartition("grp").sortWithinPartitions("grp", "doc", "s0").mapInArrow(run, "doc long, tag int, span long")
+    # by a hash of its own: dealing by the join's key again would be optimised away, and the join may split a key's rows
+    return contexts.repartition(F.xxhash64("grp")).sortWithinPartitions("grp", "doc", "s0").mapInArrow(run, "doc long, tag int, span long")
 
 
 def partial_repeats(contexts: DataFrame, n: int, widths: tuple[int, ...] = (32, 1), group: int = GROUP) -> DataFrame:
