@@ -17,7 +17,9 @@ def components(edges: DataFrame, rounds: int = 100) -> DataFrame:
     edges don't matter; null ends are dropped. Nothing is collected.
     """
     both = lambda e: e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    now = stored(both(edges.select("a", "b").where("a is not null and b is not null")).distinct())
+    # stored first: both directions must be of the same edges, and whatever makes them may not be the same twice
+    given = stored(edges.select("a", "b").where("a is not null and b is not null"))
+    now = stored(both(given).distinct())
     known: DataFrame | None = None
     for _ in range(rounds):
         # a loop keeps a node that has nothing else

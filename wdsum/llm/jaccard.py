@@ -143,7 +143,7 @@ def _bucket_links(members: DataFrame) -> DataFrame:
             a, c = zip(*out, strict=True) if out else ((), ())
             yield pa.record_batch([pa.array(a, pa.int64()), pa.array(c, pa.int64())], names=["a", "b"])
 
-    return members.repartition("key").sortWithinPartitions("key").mapInArrow(run, "a long, b long")
+    return members.repartition("key").sortWithinPartitions("key", "node").mapInArrow(run, "a long, b long")
 
 
 def candidates(nodes: DataFrame) -> DataFrame:
