@@ -124,6 +124,13 @@ def test_one_element_one_register(spark):
         live.project(one, ["event_id"], SketchSpec(m=10), shards=3)
 
 
+def test_routed_estimate_of_few_elements(spark):
+    """Registers that nothing reached don't drag the estimate to 0."""
+    df = spark.createDataFrame([(str(i), 2.0) for i in range(100)], "x string, w double")
+    r = S.integer_estimate(S.routed_registers(df, SketchSpec(64)), SketchSpec(64), routed=True).first()
+    assert 0.5 * 200 < r.est < 2 * 200
+
+
 METHODS = ("dense_exp", "ordered_exp", "logbucket", "logbucket_ordered", "logbucket_live", "logbucket_routed")
 
 

@@ -396,7 +396,7 @@ def _shard_sql() -> str:
 
 query(_shard_sql(), "live_sharded")(lambda spark, d: live.estimate(W.parts(spark, d), W.ARRIVAL, portable(64), shards=4).select(F.round("est", 1).alias("est")))
 query(f"SELECT j, y FROM {Q.routed(Q.PARTS, M)}", "live_routed_registers")(lambda spark, d: S.routed_registers(W.parts(spark, d), M))
-query(f"SELECT round(64 * c, 1) AS est FROM {Q.mle(Q.hist(Q.routed(Q.PARTS, M), M), M)}", "live_routed_mle")(lambda spark, d: S.integer_estimate(S.routed_registers(W.parts(spark, d), M), M, routed=True).select(F.round("est", 1).alias("est")))
+query(f"SELECT round(est, 1) AS est FROM {Q.routed_estimate(Q.PARTS, M)}", "live_routed_mle")(lambda spark, d: S.integer_estimate(S.routed_registers(W.parts(spark, d), M), M, routed=True).select(F.round("est", 1).alias("est")))
 
 
 @query()

@@ -203,7 +203,7 @@ def _beside(df, spec=M, by: list[str] | None = None, digits: int = 1):
 
 def _beside_sql(stream: str, spec=M, by: bool = False, digits: int = 1) -> str:
     key = "stream, " if by else ""
-    est = f"(SELECT {key}round({spec.m} * c, {digits}) AS est FROM {Q.mle(Q.hist(Q.routed(stream, spec, by), spec, 'stream' if by else ''), spec, 'stream' if by else '')})"
+    est = f"(SELECT {key}round(est, {digits}) AS est FROM {Q.routed_estimate(stream, spec, by)})"
     total = f"(SELECT {key}round(sum(w), 3) AS exact, count(*) AS n FROM {Q.once(stream, by)} {'GROUP BY stream' if by else ''})"
     return f"SELECT * FROM {total} JOIN {est} USING (stream)" if by else f"SELECT * FROM {total}, {est}"
 

@@ -138,6 +138,14 @@ def mle(histogram: str, spec: SketchSpec, by: str = "", steps: int = 25) -> str:
     return f"(WITH {', '.join(parts)} SELECT {k}c FROM e{steps})"
 
 
+def routed_estimate(stream: str, spec: SketchSpec, by: bool = False) -> str:
+    """SQL of (stream, est): the rate of one register times those that any element reached."""
+    key = "stream, " if by else ""
+    h = f"(SELECT {key}y, count(*)::BIGINT AS n FROM {routed(stream, spec, by)} GROUP BY {key}y)"
+    k = f"(SELECT {key}sum(n) AS k FROM {h} {'GROUP BY stream' if by else ''})"
+    return f"(SELECT {key}k * c AS est FROM {mle(h, spec, 'stream' if by else '')} {f'JOIN {k} USING (stream)' if by else f', {k}'})"
+
+
 def live_steps(stream: str, order: str, spec: SketchSpec, by: str = "", timing: str = "pre", begin: str = "full") -> str:
     """SQL of (by, rise, j, y, before, w, q, est, var and the order's columns): the running estimate's fold, relationally."""
     k = f"{by}, " if by else ""

@@ -145,9 +145,18 @@ def interval(c: Column, var: Column, level: float = 0.95) -> tuple[Column, Colum
     return F.greatest(c - q * F.sqrt(var), F.lit(0.0)), c + q * F.sqrt(var)
 
 
+def reached(hist: Column, spec: SketchSpec) -> Column:
+    """The histogram without registers at the lowest value."""
+    return F.filter(hist, lambda e: e["y"] > spec.low)
+
+
 def mle_routed(hist: Column, spec: SketchSpec, **options) -> Column:
-    """From registers that each saw a part of the stream: m times the rate of one."""
-    return spec.m * mle(hist, spec, **options)
+    """From registers that each saw a part of the stream: the rate of one times those that saw any.
+
+    A register that no element was routed to has no weight; to take it for one
+    that saw only large values would drag the estimate to 0.
+    """
+    return held(hist, spec) * mle(reached(hist, spec), spec, **options)
 
 
 def range_bound(b: int, eps: float = 0.001, censored_at: str = "at_max", m: int = 1) -> tuple[float, float]:

@@ -144,8 +144,9 @@ def routed_registers(df: DataFrame, spec: SketchSpec = SketchSpec(), by: list[st
 def integer_estimate(registers: DataFrame, spec: SketchSpec, by: list[str] | None = None, routed: bool = False, level: float = 0.95) -> DataFrame:
     """(by, hist, est, var, lo, hi, status) by maximum likelihood from integer registers."""
     hist = histogram(registers, by or [], spec)
-    c = estimators.mle(F.col("hist"), spec)
-    scale = spec.m if routed else 1
-    out = hist.withColumn("_c", c).withColumns({"est": scale * F.col("_c"), "var": scale * scale * estimators.mle_var(F.col("hist"), F.col("_c"), spec), "status": estimators.status(F.col("hist"), spec)})
+    used = estimators.reached(F.col("hist"), spec) if routed else F.col("hist")
+    scale = estimators.held(F.col("hist"), spec) if routed else F.lit(1)
+    out = hist.withColumns({"_h": used, "_k": scale, "status": estimators.status(F.col("hist"), spec)}).withColumn("_c", estimators.mle(F.col("_h"), spec))
+    out = out.withColumns({"est": F.col("_k") * F.col("_c"), "var": F.col("_k") * F.col("_k") * estimators.mle_var(F.col("_h"), F.col("_c"), spec)})
     lo, hi = estimators.interval(F.col("est"), F.col("var"), level)
-    return out.withColumns({"lo": lo, "hi": hi}).drop("_c")
+    return out.withColumns({"lo": lo, "hi": hi}).select(*(by or []), "hist", "est", "var", "lo", "hi", "status")
