@@ -6,8 +6,10 @@ the token that a random order puts first in each; two sets stay together with
 the probability of their Jaccard similarity. Buckets of ``BUCKET`` sets or fewer
 are compared pair by pair by their sketches; larger ones are split further, up
 to ``STEPS`` times. Sets that still share a large bucket then have that many
-sampled tokens in common. ``RUNS`` runs make a pair at the threshold meet with a
-probability far above 0.999 (``recall``).
+sampled tokens in common. Each split of each run has a random order of its own,
+so runs are independent, and there are as many (``RUNS``) as make a pair at the
+threshold meet with a probability above 0.9999 (``recall``) even if its buckets
+stay large through all ``STEPS`` splits.
 
 Pairs that met, however many there are, only join sets into candidate groups;
 within these every pair is compared exactly, blocks of sets against blocks, so
@@ -30,13 +32,16 @@ from .textkit import U64, Rolling, blocks, lower_ascii, mix, utf8, word_codes, w
 from .windows import NULL_ID, identified
 
 SHINGLE, THRESHOLD = 5, (4, 5)
-SLOTS, RUNS, STEPS, BUCKET = 48, 20, 5, 128
+#: sketch bytes, runs, splits of a run at most, and sets compared pair by pair
+SLOTS, RUNS, STEPS, BUCKET = 48, 24, 5, 128
+#: orders, one for each split of each run, and bytes kept of a token
+ORDERS, TOKEN_BYTES = RUNS * STEPS, 3
 #: sketches that agree in fewer slots than this can't be at the threshold (five standard errors)
 SLOTS_ALIKE = 22
 #: sets, and shingles of all sets, in one block of the exact comparison
 BLOCK_SETS, BLOCK_SHINGLES = 2048, 1 << 21
 
-_ORDERS = mix(np.arange(1, SLOTS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
+_ORDERS = mix(np.arange(1, ORDERS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
 
 
 def recall(similarity: float, steps: int = 1, runs: int = RUNS) -> float:
@@ -44,6 +49,11 @@ def recall(similarity: float, steps: int = 1, runs: int = RUNS) -> float:
     return 1 - (1 - similarity**steps) ** runs
 
 
+def slot(run, step):
+    """The order by which a run makes a split; no other split has it."""
+    return run + step * RUNS
+
+
 def shingles(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
     """(hashes, bounds): each text's different runs of ``n`` words, sorted; a shorter text is one run.
 
@@ -75,9 +85,9 @@ def _sets_of(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarra
 def shingle_sets(texts: DataFrame) -> DataFrame:
     """(doc, tag, node, size, tokens, sketch) of every text.
 
-    ``node`` is a 64-bit hash of the set, ``tokens`` the least hash in each of
-    ``SLOTS`` orders, ``sketch`` a byte of each. A text without words has a null
-    node.
+    ``node`` is a 64-bit hash of the set, ``tokens`` the low bytes of the least
+    hash in each of ``ORDERS`` orders, ``sketch`` a byte of the first ``SLOTS``. A
+    text without words has a null node.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,15 +96,16 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
                 size = np.diff(bounds)
                 full = np.flatnonzero(size)
                 first = bounds[:-1][full]
-                node, token = np.zeros(len(size), np.int64), np.zeros((len(size), SLOTS), np.uint32)
+                node, token = np.zeros(len(size), np.int64), np.zeros((len(size), ORDERS), "<u4")
                 if len(full):
                     node[full] = mix(np.add.reduceat(mix(value ^ U64(0x2545F4914F6CDD1D)), first) + size[full].astype(U64)).view(np.int64)
-                    for s in range(SLOTS):
+                    for s in range(ORDERS):
                         token[full, s] = np.minimum.reduceat((value * _ORDERS[s]) >> U64(32), first)
-                sketch = (mix(token.astype(U64)) & U64(255)).astype(np.uint8)
+                sketch = (mix(token[:, :SLOTS].astype(U64)) & U64(255)).astype(np.uint8)
+                low = token.view(np.uint8).reshape(len(size), ORDERS, 4)[:, :, :TOKEN_BYTES]
                 part = slice(i, j)
                 yield pa.record_batch(
-                    [b.column(0)[part], b.column(1)[part], pa.array(node, mask=size == 0), pa.array(size.astype(np.int32)), pa.array([r.tobytes() for r in token], pa.binary()), pa.array([r.tobytes() for r in sketch], pa.binary())],
+                    [b.column(0)[part], b.column(1)[part], pa.array(node, mask=size == 0), pa.array(size.astype(np.int32)), pa.array([r.tobytes() for r in low], pa.binary()), pa.array([r.tobytes() for r in sketch], pa.binary())],
                     names=["doc", "tag", "node", "size", "tokens", "sketch"],
                 )
 
@@ -103,8 +114,8 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
 
 def _split(rows: DataFrame, step: int) -> DataFrame:
     """(key, run, node): rows with run, key and tokens, by the token that their run looks at next."""
-    slot = f"cast(pmod(run + {step} * (5 + 2 * floor(run / 8)), {SLOTS}) as int)"
-    return rows.select(F.expr(f"xxhash64(key, run, substring(tokens, 4 * {slot} + 1, 4))").alias("key"), "run", "node")
+    token = F.substring("tokens", slot(F.col("run"), step) * TOKEN_BYTES + 1, F.lit(TOKEN_BYTES))
+    return rows.select(F.xxhash64("key", "run", token).alias("key"), "run", "node")
 
 
 def labels(alike: np.ndarray) -> np.ndarray:
