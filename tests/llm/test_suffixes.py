@@ -64,3 +64,11 @@ def test_edges(spark):
     got = sorted((r.doc_id or 0, r.n_bytes, r.n_removed) for r in suffixes.remove_repeats(df).collect())
     n = len(long)
     assert got == [(0, n, n), (1, n + 1, n), (2, 0, 0), (2, 0, 0), (3, 401, 401), (4, 400, 0)]
+
+
+def test_a_text_of_more_than_16_mib(spark):
+    rng = random.Random(8)
+    long = rng.randbytes(1 << 23).hex() + "z" * 100  # 2**24 + 100 bytes
+    df = spark.createDataFrame([(1, long), (2, "y" + long[-1100:])], "doc_id long, text string")
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans) for r in suffixes.remove_repeats(df).collect())
+    assert got == [(1, (1 << 24) + 100, 1100, 1), (2, 1101, 1100, 1)]

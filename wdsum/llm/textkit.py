@@ -14,6 +14,8 @@ import numpy as np
 import pyarrow as pa
 
 BLOCK_BYTES = 1 << 20
+#: symbols of a text that are hashed at once; positions in a piece fit 24 bits
+PIECE = 1 << 20
 
 _BASE = 0x9E3779B97F4A7C15 - 0x9E3779B97F4A7C15 % 8 + 5  # odd, 5 modulo 8
 _MASK = (1 << 64) - 1
@@ -117,8 +119,12 @@ def lower_ascii(data: np.ndarray) -> np.ndarray:
 
 
 def word_codes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """A 64-bit hash of each word's bytes."""
-    return mix(Rolling(BYTE_CODES[data]).slices(start, end) + (end - start).astype(U64) * U64(0x9E3779B97F4A7C15))
+    """A 64-bit hash of each word's bytes, some ``PIECE`` bytes at a time."""
+    out = np.empty(len(start), U64)
+    for i, j in blocks(np.r_[start, end[-1:]], PIECE) if len(start) else ():
+        lo = start[i]
+        out[i:j] = Rolling(BYTE_CODES[data[lo : end[j - 1]]]).slices(start[i:j] - lo, end[i:j] - lo)
+    return mix(out + (end - start).astype(U64) * U64(0x9E3779B97F4A7C15))
 
 
 def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
@@ -139,12 +145,35 @@ def anchored_cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int) -> di
     window lies in exactly one. Gives, per cell: text, first and last window
     start (within the text), the anchor's 64-bit key, and a 64-bit print of all
     symbols that the cell's windows cover together with the anchor's place.
+
+    More than ``PIECE`` symbols are done piece by piece, with the same cells:
+    a piece's last cell may go on, so the next piece starts at that cell.
     """
+    size = max(PIECE, 2 * n)  # a cell has n - k + 1 windows at most: a piece ends in its second cell or later
+    if len(codes) <= size:
+        return _cells(codes, offsets, n, k)
+    parts = []
+    for t, (start, end) in enumerate(zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)):
+        at = start
+        while True:
+            stop = min(at + size, end)
+            part = _cells(codes[at:stop], np.array([0, stop - at]), n, k)
+            more = stop < end
+            last = int(part["s0"][-1]) if more else 0
+            if more:
+                part = {x: v[:-1] for x, v in part.items()}
+            parts.append(part | {"text": part["text"] + t, "s0": part["s0"] + (at - start), "s1": part["s1"] + (at - start)})
+            if not more:
+                break
+            at += last
+    return {x: np.concatenate([p[x] for p in parts]) for x in parts[0]}
+
+
+def _cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int) -> dict[str, np.ndarray]:
+    """``anchored_cells`` of one piece."""
     empty = {x: np.zeros(0, np.int64) for x in ("text", "s0", "s1")} | {x: np.zeros(0, U64) for x in ("key", "print")}
-    if len(codes) < n or len(codes) >= 1 << 24:
-        if len(codes) < n:
-            return empty
-        raise ValueError("a block has 2**24 symbols at most")
+    if len(codes) < n:
+        return empty
     rolling = Rolling(codes)
     gram = mix(rolling.grams(k))
     place = (gram & U64(_MASK ^ 0xFFFFFF)) | np.arange(len(gram), dtype=U64)
