@@ -29,6 +29,27 @@ def test_broken_markup_never_fails():
     assert H.visible_text("<table>stray<tr>t<td>c") == "stray\nt\nc"
 
 
+def test_implied_rows_and_strays_of_sections():
+    assert H.visible_text("<table><thead><th>A<th>B</thead><tbody><tr><td>1<td>22</table>") == "A  B\n1  22"
+    assert H.visible_text("<table><tbody><td>x</td><td>y</td></tbody><tfoot><td>z</tfoot></table>end") == "x  y\nz\n\nend"
+    assert H.visible_text("<table><td>a<td>b<tr><td>c<td>d</table>") == "a  b\nc  d"
+    assert H.visible_text("<table><tbody>loose<tr><td>x</table>") == "loose\nx"
+    assert H.visible_text("<table><tbody><form><tr><td>x<td>y</tr><tr><td>z</tr></form></tbody></table>") == "x  y\nz"
+    assert H.visible_text("<table><tr><form><td>x<td>y</form></tr></table>") == "x  y"
+    assert H.visible_text("<table><tbody><div>d</div><tr><td>x</table>") == "d\nx"
+    assert H.visible_text("<table><caption>cap<td>x</table>") == "cap\nx"
+    assert H.visible_text("<table><colgroup>odd<tr><td>x</table>") == "odd\nx"
+    assert H.visible_text("<table><tbody hidden>no<td>no</tbody><tbody><td>x<table><tbody><td>in</table>y</table>") == "x\n\nin\n\ny"
+    assert "deep" in H.visible_text("<div>" * 198 + "<table><tbody><td>deep")
+
+
+def test_text_of_drawings_and_formulas():
+    assert H.visible_text("a <svg><title>no</title><defs><text>no</text></defs><g><text>b</text><text>c<tspan>d</tspan></text></g></svg> e") == "a b cd e"
+    assert H.visible_text("<math><mi>x</mi><mo>=</mo><mfrac><mn>1</mn><mn>2</mn></mfrac><annotation>no</annotation></math>") == "x= 1 2"
+    assert H.visible_text("<svg><title/><path/><text/></svg>kept<svg><g><p>out") == "kept\n\nout"
+    assert H.visible_text("<svg hidden><text>no</text></svg><pre>a <svg><text>b</text></svg></pre>") == "a b"
+
+
 class Words(HTMLParser):
     """All words outside unseen elements, by the standard library's parser."""
 

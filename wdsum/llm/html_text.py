@@ -20,9 +20,17 @@ from pyspark.sql import functions as F
 # fixed values of the markup language, by element name
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style title textarea noscript iframe noembed noframes xmp".split())
-UNSEEN = frozenset("head script style template noscript iframe noembed noframes title datalist object audio video canvas svg math meta link base param source track area map".split())
+UNSEEN = frozenset("head script style template noscript iframe noembed noframes title datalist object audio video canvas meta link base param source track area map".split())
 APART = frozenset("p h1 h2 h3 h4 h5 h6 blockquote dl figure fieldset hr".split())
 LINES = frozenset("address article aside body center dd details dialog div dt figcaption footer form header hgroup html legend li main nav option optgroup section summary caption td th tr tbody thead tfoot".split())
+#: within drawings and formulas: not drawn, drawn apart, and elements of the page that end them
+UNDRAWN = frozenset("defs desc metadata symbol clippath mask pattern marker annotation annotation-xml".split())
+DRAWN_APART = frozenset("text mfrac msup msub msubsup munder mover munderover mroot mmultiscripts mtable mtr mlabeledtr mtd".split())
+ENDS_DRAWING = frozenset("b big blockquote body center code dd div dl dt em embed h1 h2 h3 h4 h5 h6 head hr i img li listing menu nobr ol p pre ruby s small span strong strike sub sup table tt u ul var".split())
+HOLDS_PAGE = frozenset("foreignobject desc mi mo mn ms mtext annotation-xml".split())
+#: what the parts of a table stand in
+SECTIONS = frozenset(("thead", "tbody", "tfoot"))
+WITHIN = {"td": SECTIONS | {"table", "tr"}, "th": SECTIONS | {"table", "tr"}, "tr": SECTIONS | {"table"}, "tbody": {"table"}, "thead": {"table"}, "tfoot": {"table"}}
 CLOSES_P = APART | frozenset("address article aside center details dialog div figcaption footer form header hgroup main menu nav ol pre section summary table ul dir".split())
 #: a start tag ends an open element of these names, up to the barrier
 ENDS = {
@@ -30,8 +38,8 @@ ENDS = {
     "dt": ({"dt", "dd"}, {"dl"}),
     "dd": ({"dt", "dd"}, {"dl"}),
     "tr": ({"tr", "td", "th", "caption", "colgroup"}, {"table"}),
-    "td": ({"td", "th"}, {"tr", "table"}),
-    "th": ({"td", "th"}, {"tr", "table"}),
+    "td": ({"td", "th", "caption", "colgroup"}, {"tr", "table"}),
+    "th": ({"td", "th", "caption", "colgroup"}, {"tr", "table"}),
     "tbody": ({"thead", "tbody", "tfoot", "tr", "td", "th", "caption", "colgroup"}, {"table"}),
     "thead": ({"thead", "tbody", "tfoot", "tr", "td", "th", "caption", "colgroup"}, {"table"}),
     "tfoot": ({"thead", "tbody", "tfoot", "tr", "td", "th", "caption", "colgroup"}, {"table"}),
@@ -66,6 +74,7 @@ def parse(page: str) -> Element:
     root = Element("")
     opened = [root]
     at, end = 0, len(page)
+    draws = re.search("<(?:svg|math)", page, re.I) is not None
 
     def text(s: str) -> None:
         if s:
@@ -112,8 +121,23 @@ def parse(page: str) -> Element:
             close({"p"}, BARRIER)
         if tag in ENDS:
             close(*ENDS[tag])
+        if tag in WITHIN:
+            # other elements between a table and its parts end, as in browsers; a cell without a row opens one
+            k = len(opened) - 1
+            while k and opened[k].tag not in WITHIN[tag] and opened[k].tag not in ("td", "th", "caption", "template", "button"):
+                k -= 1
+            if opened[k].tag in WITHIN[tag]:
+                del opened[k + 1 :]
+                if tag in ("td", "th") and opened[k].tag != "tr" and len(opened) < DEPTH:
+                    opened.append(Element("tr"))
+                    opened[k].children.append(opened[-1])
+        if draws and tag in ENDS_DRAWING:
+            close({"svg", "math"}, BARRIER | HOLDS_PAGE)
+        shut = draws and m[3].endswith("/") and (tag in ("svg", "math") or any(e.tag in ("svg", "math") for e in opened))
         element = Element(tag, m[3])
         opened[-1].children.append(element)
+        if shut:
+            continue
         if tag in RAW:
             stop = _RAW_END[tag].search(page, at)
             inside = page[at : stop.start() if stop else end]
@@ -122,7 +146,7 @@ def parse(page: str) -> Element:
             elif tag == "xmp":
                 element.children.append(inside)
             at = stop.end() if stop else end
-        elif tag not in VOID and not (m[3].endswith("/") and tag in ("svg", "path")) and len(opened) < DEPTH:
+        elif tag not in VOID and len(opened) < DEPTH:
             opened.append(element)
     return root
 
@@ -235,6 +259,8 @@ def fill(e: Element, flow: Flow, listed: bool = False) -> None:
             flow.block(kept_lines(c), 2)
         elif tag in ("blockquote", "dd"):
             flow.block(["  " + x if x else x for x in inside(c)], 2 if tag == "blockquote" else 1)
+        elif tag in ("svg", "math"):
+            draw(c, flow)
         elif tag == "q":
             flow.text("“")
             fill(c, flow, listed)
@@ -248,6 +274,20 @@ def fill(e: Element, flow: Flow, listed: bool = False) -> None:
             fill(c, flow, listed)
 
 
+def draw(e: Element, flow: Flow) -> None:
+    """Text of a drawing or formula, in one line; what it positions stands apart by a space."""
+    for c in e.children:
+        if isinstance(c, str):
+            flow.text(c)
+        elif c.tag == "foreignobject" and not unseen(c):
+            fill(c, flow)
+        elif c.tag not in UNDRAWN and not unseen(c):
+            apart = c.tag in DRAWN_APART or e.tag in DRAWN_APART and e.tag != "text"
+            flow.text(" " if apart else "")
+            draw(c, flow)
+            flow.text(" " if apart else "")
+
+
 def kept_lines(e: Element) -> list[str]:
     """Preformatted text with its white space."""
     out: list[str] = []
@@ -258,6 +298,8 @@ def kept_lines(e: Element) -> list[str]:
                 out.append(c)
             elif c.tag == "br":
                 out.append("\n")
+            elif c.tag in ("svg", "math") and not unseen(c):
+                out.append(" ".join(inside_one(c)))
             elif not unseen(c):
                 take(c)
 
@@ -313,11 +355,22 @@ def rows_of(e: Element) -> Iterator[Element]:
 def table_lines(e: Element) -> list[str]:
     out: list[str] = []
     stray = Element("")
-    for c in e.children:
-        if isinstance(c, Element) and c.tag == "caption" and not unseen(c):
-            out += inside(c)
-        elif isinstance(c, str) and c.strip() or isinstance(c, Element) and c.tag not in ("caption", "colgroup", "col", "thead", "tbody", "tfoot", "tr"):
-            stray.children.append(c)
+
+    def part(x: Element) -> None:
+        for c in x.children:
+            if isinstance(c, str):
+                if c.strip():
+                    stray.children.append(c)
+            elif c.tag in SECTIONS or c.tag == "colgroup":
+                if not unseen(c):
+                    part(c)
+            elif c.tag == "caption" and x is e:
+                if not unseen(c):
+                    out.extend(inside(c))
+            elif c.tag != "tr" or x.tag == "colgroup":
+                stray.children.append(c)
+
+    part(e)
     before = inside(stray)  # what stands between rows is shown before the table
     grid: list[dict[int, list[str]]] = []
     spans: dict[int, int] = {}  # columns taken from rows above: rows left
@@ -335,9 +388,12 @@ def table_lines(e: Element) -> list[str]:
                 continue
             if unseen(c):
                 continue
+            if c.tag not in ("td", "th"):
+                before += inside_one(c)
+                continue
             while at in taken:
                 at += 1
-            lines = inside(c) if c.tag in ("td", "th") else inside_one(c)
+            lines = inside(c)
             across = number(c.get("colspan"), 1, 1, 1000)
             down = number(c.get("rowspan"), 1, 1, 65534)
             if down > 1:
