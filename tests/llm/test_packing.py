@@ -63,3 +63,15 @@ def test_conversations_pack_whole(spark):
     assert all(0 < r.tokens <= 40 and r.loss_tokens <= r.tokens for r in rows)
     packed = packing.pack_examples(sizes, "id", "tokens", "loss_tokens", packing.Limits(40, 8, 40)).collect()
     assert sorted(r.id for r in packed) == sorted(r.id for r in rows)
+
+
+def test_long_turns_before_short_ones_stay_within_a_sequence(spark):
+    turns = [(1, 0, "user", "a b " * 50), (1, 1, "assistant", "general answer " * 2000), (1, 2, "user", "c d " * 450), (2, 0, "assistant", "x " * 5000)]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
+    sizes = packing.conversation_sizes(df)
+    rows = sizes.collect()
+    encode = packing.encoder(packing.tokenizer_path())
+    assert sum(r.tokens for r in rows) == sum(len(x) // 4 + 1 for x in encode([t[3] for t in turns]))
+    assert all(0 < r.tokens <= 2048 and r.loss_tokens <= r.tokens for r in rows)
+    packed = packing.pack_examples(sizes, "id", "tokens", "loss_tokens").collect()
+    assert sorted(r.id for r in packed) == sorted(r.id for r in rows)

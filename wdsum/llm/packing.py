@@ -353,17 +353,18 @@ def conversation_sizes(conversations: DataFrame, path: str | None = None, max_to
     """Sizes of each conversation's examples for ``pack_examples``: (id, tokens, loss_tokens).
 
     Assistant turns bear loss, other turns don't. Turns are summed by
-    conversation and cut into examples at ``max_tokens``: example k of a
-    conversation starts where its running sum passes a multiple of it, and a
-    single longer turn is itself cut.
+    conversation and cut into examples of ``max_tokens`` at most: a turn is cut
+    at half of it, and example k has the pieces that end where the running sum is
+    in the k-th half.
     """
+    half = max(1, max_tokens // 2)
     path = path or tokenizer_path()
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = encoder(path)
         for b in batches:
             sizes = [len(x) // 4 + 1 for x in encode([t or "" for t in b.column(3).to_pylist()])]
-            out = [(c, t, r, min(max_tokens, n - at)) for c, t, r, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), sizes, strict=True) for at in range(0, n, max_tokens)]
+            out = [(c, t, r, min(half, n - at)) for c, t, r, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), sizes, strict=True) for at in range(0, n, half)]
             columns = list(zip(*out, strict=True)) or [[]] * 4
             yield pa.record_batch([pa.array(x, k) for x, k in zip(columns, (pa.int64(), pa.int64(), pa.string(), pa.int64()), strict=True)], names=["conv_id", "turn", "role", "n"])
 
@@ -371,8 +372,8 @@ def conversation_sizes(conversations: DataFrame, path: str | None = None, max_to
     from pyspark.sql import Window as W
 
     run = F.sum("n").over(W.partitionBy("conv_id").orderBy("turn", "n").rowsBetween(W.unboundedPreceding, 0))
-    # twice the pieces at half the length keeps each example within the limit
-    cut = turns.withColumn("k", F.floor((run - 1) / (max_tokens // 2)))
+    # pieces that end in one half start less than a half before it
+    cut = turns.withColumn("k", F.floor((run - 1) / half))
     return (
         cut.groupBy("conv_id", "k")
         .agg(F.sum("n").alias("tokens"), F.sum(F.when(F.col("role") == "assistant", F.col("n")).otherwise(0)).alias("loss_tokens"))
