@@ -1,6 +1,8 @@
+import time
 from html.parser import HTMLParser
 
 import pyarrow.parquet as pq
+import pytest
 
 from wdsum.llm import html_text as H
 
@@ -50,6 +52,22 @@ def test_text_of_drawings_and_formulas():
     assert H.visible_text("<svg hidden><text>no</text></svg><pre>a <svg><text>b</text></svg></pre>") == "a b"
 
 
+def test_ends_of_tags():
+    assert H.visible_text('<p title="x>hello</p>') == "hello"
+    assert H.visible_text("<p title='a>b' data-x=1>hello <b class=\"c>d\">bold</b>") == "hello bold"
+    assert H.visible_text('<a x"y>one</a> <a b = "c>d">two</a> <a b=c"d>three</a>') == "one two three"
+    assert H.visible_text("<p>kept <!-- a > b --> on<!doctype html>ly <b unfinished") == "kept only"
+    assert H.visible_text('<script>x = "</scripty>"</script a="b">seen') == "seen"
+
+
+@pytest.mark.parametrize("part", ["<a ", "<a b='x> ", '<a b="x> c', "<a b='c\" ", "</script ", "<!--", "<a =", "&", "<td>", "<b>", "<p>x"])
+def test_a_page_of_a_megabyte_takes_linear_time(part):
+    for page in (part * ((1 << 20) // len(part)) + '"', "<script>" + part * ((1 << 20) // len(part)), "<!-- x -->" + part * ((1 << 20) // len(part)) + "'>"):
+        began = time.process_time()
+        H.visible_text(page)
+        assert time.process_time() - began < 20
+
+
 class Words(HTMLParser):
     """All words outside unseen elements, by the standard library's parser."""
 

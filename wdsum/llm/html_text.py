@@ -50,9 +50,11 @@ BARRIER = frozenset("table td th caption html template button".split())
 #: elements nested deeper than this become siblings, as in browsers
 DEPTH = 200
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+_TAG = re.compile(r"<(?:(!--)|([!?])|(/?)([a-zA-Z][^\s/>]*))")
+#: what may end a tag, or hide its end: ">", or "=" with a quote or an unquoted value behind it
+_ENDING = re.compile(r">|=\s*(?:([\"'])|[^\s>]*)")
 _ATTRIBUTE = re.compile(r"([^\s=/\"'>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
-_RAW_END = {x: re.compile(rf"</{x}(?=[\s/>])[^>]*>", re.I) for x in RAW}
+_RAW_END = {x: re.compile(rf"</{x}(?=[\s/>])", re.I) for x in RAW}
 _SPACES = re.compile(r"[ \t\n\r\f\v]+")
 
 
@@ -69,6 +71,47 @@ class Element:
         return None
 
 
+def past(page: str, mark: str, at: int) -> int:
+    """The place after the next ``mark``, or the page's end."""
+    found = page.find(mark, at)
+    return len(page) if found < 0 else found + len(mark)
+
+
+def tag_end(page: str, at: int) -> int:
+    """The place after the ``>`` that ends a tag whose attributes begin at ``at``; -1 if nothing ends it.
+
+    A ``>`` in a quoted value ends nothing. A quote that is never closed hides
+    nothing: its tag ends at the next ``>``. No place is looked at more than
+    twice in all the tags of a page, since a quote that isn't closed has no other
+    of its kind behind it.
+    """
+    while (m := _ENDING.search(page, at)) is not None:
+        at = m.end()
+        if m[0] == ">":
+            return at
+        if m[1] and (close := page.find(m[1], at)) >= 0:
+            at = close + 1
+    return -1
+
+
+def tags(page: str) -> Iterator[tuple[int, int, str, str, str]]:
+    """(begin, end, slash, name, attributes) of comments, declarations (without a name) and tags in order.
+
+    The caller sends a place to go on at, or None. A tag that nothing ends takes
+    the rest of the page.
+    """
+    at = 0
+    while (m := _TAG.search(page, at)) is not None:
+        if m[4] is None:
+            at = past(page, "-->" if m[1] else ">", m.end())
+            found = (m.start(), at, "", "", "")
+        else:
+            at = tag_end(page, m.end())
+            at = len(page) if at < 0 else at
+            found = (m.start(), at, m[3], m[4], page[m.end() : at - 1]) if page[at - 1] == ">" else (m.start(), at, "", "", "")
+        at = (yield found) or at
+
+
 def parse(page: str) -> Element:
     """The page's tree, under an element without a name."""
     root = Element("")
@@ -91,20 +134,19 @@ def parse(page: str) -> Element:
         if found:
             del opened[found:]
 
-    while at < end:
-        m = _TOKEN.search(page, at)
-        if m is None:
-            # an unfinished tag at the page's end is not text
-            tail = page[at:]
-            cut = re.search(r"<[/!?a-zA-Z][^>]*\Z", tail)
-            text(tail[: cut.start()] if cut else tail)
+    marks, skip = tags(page), None
+    while True:
+        try:
+            begin, stop_at, slash, name, attributes = marks.send(skip)
+        except StopIteration:
+            text(page[at:])
             break
-        text(page[at : m.start()])
-        at = m.end()
-        if m[2] is None:
+        text(page[at:begin])
+        at, skip = stop_at, None
+        if not name:
             continue
-        tag = m[2].lower()
-        if m[1]:
+        tag = name.lower()
+        if slash:
             if tag == "br":
                 opened[-1].children.append(Element("br"))
             elif tag == "p" and not any(e.tag == "p" for e in opened):
@@ -133,8 +175,8 @@ def parse(page: str) -> Element:
                     opened[k].children.append(opened[-1])
         if draws and tag in ENDS_DRAWING:
             close({"svg", "math"}, BARRIER | HOLDS_PAGE)
-        shut = draws and m[3].endswith("/") and (tag in ("svg", "math") or any(e.tag in ("svg", "math") for e in opened))
-        element = Element(tag, m[3])
+        shut = draws and attributes.endswith("/") and (tag in ("svg", "math") or any(e.tag in ("svg", "math") for e in opened))
+        element = Element(tag, attributes)
         opened[-1].children.append(element)
         if shut:
             continue
@@ -145,7 +187,7 @@ def parse(page: str) -> Element:
                 element.children.append(html.unescape(inside))
             elif tag == "xmp":
                 element.children.append(inside)
-            at = stop.end() if stop else end
+            at = skip = past(page, ">", stop.end()) if stop else end
         elif tag not in VOID and len(opened) < DEPTH:
             opened.append(element)
     return root
