@@ -38,6 +38,15 @@ def test_pieces_cover_every_id_without_padding(spark):
         assert at <= 2048 and at & (at - 1) == 0
 
 
+def test_ids_equal_the_tokenizers():
+    encode = packing.encoder(packing.tokenizer_path())
+    rng = random.Random(9)
+    parts = ["<|endoftext|>", "<|startoftext|>", "<|ENDOFTEXT|>", "<|EndOfText|>", "<|", "|>", "<", "x", "Y", "Word", "DON'T", "\u03a3", "\u0130", "é", "É", " ", "  ", "\n", "\t", "12", "!?", "'s", "'LL", "\u00a0", "\u0301", "ﬁ", "中文"]
+    texts = ["".join(rng.choices(parts, k=rng.randint(0, 12))) for _ in range(4000)] + ["x <|ENDOFTEXT|> y", "x<|endoftext|>Y <|STARTOFTEXT|>"]
+    for t, got in zip(texts, encode(texts), strict=True):
+        assert np.frombuffer(got, "<u4").tolist() == encode.tokenizer.encode(t, add_special_tokens=False).ids, t
+
+
 def test_empty_table(spark):
     assert packing.pack_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 

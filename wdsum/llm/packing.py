@@ -206,7 +206,8 @@ class WordEncoder:
     The vocabulary's own rules drop white space, fold case code point by code
     point and never join across white space, nor letters with marks other than
     an apostrophe, so a text's ids are its words' ids in order. Words repeat, so their
-    ids are kept, within a bound.
+    ids are kept, within a bound. Special tokens are found before case is folded,
+    so a text that may hold one keeps its capitals until the vocabulary's rules.
     """
 
     def __init__(self, path: str):
@@ -215,6 +216,11 @@ class WordEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.merge = self.tokenizer.model.tokenize
+        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        if any(" " in t or "\n" in t for t in added):
+            raise ValueError("a special token with white space would be cut")
+        #: what every special token begins with; empty if they have nothing in common, none if there are none
+        self.special = os.path.commonprefix(added) if added else None
         self.marks = Kept(self._any, 10_000)
         self.stems = Kept(self._letters, CACHED_STEMS)
         self.words = Kept(self._word, CACHED_WORDS)
@@ -235,8 +241,10 @@ class WordEncoder:
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         get = self.words.__getitem__
+        special = self.special
         # capital sigma folds by its neighbours in Python, not in the vocabulary's rules
-        out = [b"".join(map(get, (t if "\u03a3" in t else t.lower()).replace("\n", " ").split(" "))) for t in texts]
+        raw = lambda t: "\u03a3" in t or special is not None and special in t
+        out = [b"".join(map(get, (t if raw(t) else t.lower()).replace("\n", " ").split(" "))) for t in texts]
         self.words, self.stems = self.words.renewed(), self.stems.renewed()
         return out
 
