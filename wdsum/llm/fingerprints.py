@@ -5,8 +5,14 @@ word's hash says so; each piece, with its number among equal ones of its text,
 has a 64-bit digest. A sketch adds every digest to one cell in each of three
 tables; a cell holds how many, their sum and the sum of their checks. Subtract
 the sketches of two versions and only the digests in which they differ are left;
-cells with a single one give it up, which frees others (peeling). If some
-remain, larger sketches are tried.
+cells with a single one give it up, which frees others (peeling).
+
+A text's fingerprint is the smallest sketch, of 2, 4, 8 .. cells a table, that
+peels alone. A digest's cell in a small sketch is its cell in a larger one
+modulo the small one's cells, so a fingerprint can be folded to any smaller
+size: two are compared folded to few cells first, and where some digests remain,
+with more. At the smaller one's full size each peels alone at the latest, so the
+fingerprints always tell how alike they are.
 """
 
 from __future__ import annotations
@@ -24,9 +30,11 @@ from .textkit import U64, Rolling, mix, utf8, word_codes, words
 from .windows import NULL_ID
 
 TABLES = 3
-#: cells in each table of the sketch that is returned, and of the first that is compared
-CELLS = 8
-PIECE_BITS = 3  # a word in eight ends a piece
+PIECE_BITS = 4  # a word in sixteen ends a piece
+#: cells of all sketches that are worked on at once, and rows and characters compared at once
+CELLS_AT_ONCE, ROWS_AT_ONCE, CHARS_AT_ONCE = 1 << 18, 2048, 1 << 18
+#: bytes of a cell in a fingerprint: count, sum, check
+_FIELDS = ("<u2", "<u8", "<u4")
 
 
 def digests(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -37,8 +45,8 @@ def digests(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
     code = word_codes(data, start, end)
     text = np.repeat(np.arange(len(offsets) - 1), np.diff(at))
     stop = (code & U64((1 << PIECE_BITS) - 1)) == 0
-    newline = np.r_[0, np.cumsum(data == 10)]
-    stop[:-1] |= (newline[start[1:]] > newline[end[:-1]]) | (text[1:] != text[:-1])
+    lines = np.flatnonzero(data == 10)
+    stop[:-1] |= (np.searchsorted(lines, start[1:]) > np.searchsorted(lines, end[:-1])) | (text[1:] != text[:-1])
     stop[-1] = True
     last = np.flatnonzero(stop)
     first = np.r_[0, last[:-1] + 1]
@@ -55,16 +63,19 @@ def digests(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 
 def _check(d: np.ndarray) -> np.ndarray:
-    return mix(d ^ U64(0xD6E8FEB86659FD93))
+    return mix(d ^ U64(0xD6E8FEB86659FD93)) & U64(0xFFFFFFFF)
 
 
-def _cells(d: np.ndarray, cells: int) -> list[np.ndarray]:
-    """A digest's cell in each table."""
-    return [(mix(d + U64(0xA0761D6478BD642F * (t + 1) % (1 << 64))) % U64(cells)).astype(np.int64) + t * cells for t in range(TABLES)]
+_SALTS = np.arange(1, TABLES + 1, dtype=U64) * U64(0xA0761D6478BD642F)
+
+
+def _cell(d: np.ndarray, table: int | np.ndarray, cells: int) -> np.ndarray:
+    """A digest's cell in a table of ``cells``, a power of two."""
+    return (mix(d + _SALTS[table]) & U64(cells - 1)).astype(np.int64) + table * cells
 
 
 class Sketches:
-    """Sketches of many texts at once, of one size."""
+    """Sketches of many texts at once, of one size: ``cells`` in each table."""
 
     def __init__(self, texts: int, cells: int):
         self.cells = cells
@@ -75,8 +86,8 @@ class Sketches:
     def add(self, text: np.ndarray, d: np.ndarray, sign: np.ndarray | int = 1) -> Sketches:
         sign = np.broadcast_to(np.asarray(sign, np.int64), d.shape)
         wide = sign.astype(U64)  # two's complement: -1 subtracts
-        for at in _cells(d, self.cells):
-            place = text * self.count.shape[1] + at
+        for t in range(TABLES):
+            place = text * self.count.shape[1] + _cell(d, t, self.cells)
             np.add.at(self.count.ravel(), place, sign)
             np.add.at(self.total.ravel(), place, d * wide)
             np.add.at(self.check.ravel(), place, _check(d) * wide)
@@ -87,15 +98,22 @@ class Sketches:
         out.count, out.total, out.check = self.count - other.count, self.total - other.total, self.check - other.check
         return out
 
+    def folded(self, cells: int) -> Sketches:
+        """What the same digests make with fewer cells."""
+        out = Sketches(0, cells)
+        out.count, out.total, out.check = (x.reshape(len(x), TABLES, -1, cells).sum(axis=2, dtype=x.dtype).reshape(len(x), -1) for x in (self.count, self.total, self.check))
+        return out
+
     def peel(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Empties the sketches: (text, digest, sign) found, and which texts are all found."""
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        while True:
-            single = np.abs(self.count) == 1
-            text, at = np.nonzero(single)
+        low = U64(0xFFFFFFFF)
+        # every round but the last frees a cell in some sketch, or a false digest goes back and forth
+        for _ in range(self.count.shape[1] + 1):
+            text, at = np.nonzero(np.abs(self.count) == 1)
             sign = self.count[text, at]
             d = self.total[text, at] * sign.astype(U64)
-            pure = _check(d) * sign.astype(U64) == self.check[text, at]
+            pure = (_check(d) == (self.check[text, at] * sign.astype(U64) & low)) & (_cell(d, at // self.cells, self.cells) == at)
             text, d, sign = text[pure], d[pure], sign[pure]
             if not len(text):
                 break
@@ -103,51 +121,121 @@ class Sketches:
             text, d, sign = text[first], d[first], sign[first]
             self.add(text, d, -sign)
             found.append((text, d, sign))
-        done = ~(self.count.any(axis=1) | self.total.any(axis=1) | self.check.any(axis=1))
+        done = ~(self.count.any(axis=1) | self.total.any(axis=1) | (self.check & low).any(axis=1))
         parts = [np.concatenate(x) for x in zip(*found, strict=True)] if found else [np.zeros(0, np.int64), np.zeros(0, U64), np.zeros(0, np.int64)]
         return parts[0], parts[1], parts[2], done
 
     def strings(self, sizes: np.ndarray) -> list[str]:
         """Each sketch with its number of digests, as text."""
-        raw = np.concatenate([np.asarray(sizes, "<u4")[:, None].view(np.uint8), self.count.astype("<u2").view(np.uint8), self.total.astype("<u8").view(np.uint8), self.check.astype("<u4").view(np.uint8)], axis=1)
+        planes = (x.astype(kind).view(np.uint8) for x, kind in zip((self.count, self.total, self.check), _FIELDS, strict=True))
+        raw = np.concatenate([np.asarray(sizes, "<u4")[:, None].view(np.uint8), *planes], axis=1)
         return [base64.b64encode(r.tobytes()).decode() for r in raw]
 
-
-def differences(pieces: tuple[np.ndarray, np.ndarray], left: np.ndarray, right: np.ndarray, cells: int = CELLS) -> np.ndarray:
-    """How many digests differ between texts ``left[i]`` and ``right[i]``, by peeling ever larger sketches."""
-    owner, d = pieces
-    size = np.bincount(owner, minlength=int(max(left.max(initial=-1), right.max(initial=-1))) + 1) if len(owner) else np.zeros(int(max(left.max(initial=-1), right.max(initial=-1))) + 1, np.int64)
-    begin = np.r_[0, np.cumsum(size)]
-    out = np.zeros(len(left), np.int64)
-    todo = np.arange(len(left))
-    while len(todo):
+    @staticmethod
+    def parse(fingerprint: str) -> tuple[Sketches, int]:
+        """A sketch and its number of digests from text."""
+        raw = base64.b64decode(fingerprint)
+        n = (len(raw) - 4) // 14
+        out, at = Sketches(1, n // TABLES), 4
+        for name, kind in zip(("count", "total", "check"), _FIELDS, strict=True):
+            size = n * np.dtype(kind).itemsize
+            value = np.frombuffer(raw, kind, n, at)
+            setattr(out, name, (value.astype(np.int16).astype(np.int64) if name == "count" else value.astype(U64))[None, :])
+            at += size
+        return out, int(np.frombuffer(raw, "<u4", 1)[0])
+
+
+def enough(n: np.ndarray) -> np.ndarray:
+    """The fewest cells a table, by powers of two from 2, whose tables have as many cells as there are digests."""
+    return 2 ** np.maximum(1, np.ceil(np.log2(np.maximum(n, 1) / TABLES)).astype(np.int64))
+
+
+class Corpus:
+    """Digests of many texts: ``d[begin[i] : begin[i + 1]]`` are those of text i."""
+
+    def __init__(self, owner: np.ndarray, d: np.ndarray, texts: int):
+        self.d, self.size = d, np.bincount(owner, minlength=texts)
+        self.begin = np.r_[0, np.cumsum(self.size)]
+
+    def of(self, texts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place in ``texts``, digest) of all of their digests."""
+        n = self.size[texts]
+        row = np.repeat(np.arange(len(texts)), n)
+        return row, self.d[np.repeat(self.begin[texts] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
+
+    def parts(self, which: np.ndarray, cells: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """(cells, some of ``which``): those with the same number of cells, a bounded number at once."""
+        for c in np.unique(cells).tolist():
+            same = which[cells == c]
+            step = max(1, CELLS_AT_ONCE // (TABLES * c))
+            for k in range(0, len(same), step):
+                yield c, same[k : k + step]
+
+    def own(self) -> tuple[np.ndarray, list[str]]:
+        """(cells, fingerprint) of every text: the smallest sketch that peels alone."""
+        cells = enough(self.size)
+        prints = [""] * len(self.size)
+        todo = np.arange(len(self.size))
+        while len(todo):
+            failed = [todo[:0]]
+            for c, part in self.parts(todo, cells[todo]):
+                row, d = self.of(part)
+                text = Sketches(len(part), c).add(row, d)
+                said = text.strings(self.size[part])
+                done = text.peel()[3]
+                for i in np.flatnonzero(done).tolist():
+                    prints[part[i]] = said[i]
+                failed.append(part[~done])
+            todo = np.concatenate(failed)
+            cells[todo] *= 2
+        return cells, prints
+
+    def differences(self, left: np.ndarray, right: np.ndarray, most: np.ndarray) -> np.ndarray:
+        """How many digests differ between texts ``left[i]`` and ``right[i]``: peeled from sketches folded to few cells, then more, up to ``most[i]``."""
+        out = np.zeros(len(left), np.int64)
+        todo = np.arange(len(left))
         # no sketch gives up more digests than it has cells
-        hopeful = todo[np.abs(size[left[todo]] - size[right[todo]]) <= TABLES * cells]
-        step = max(1, (1 << 18) // (TABLES * cells))
-        failed = [np.setdiff1d(todo, hopeful)]
-        for k in range(0, len(hopeful), step):
-            part = hopeful[k : k + step]
-            sketch = Sketches(len(part), cells)
-            for side, sign in ((left, 1), (right, -1)):
-                n = size[side[part]]
-                row = np.repeat(np.arange(len(part)), n)
-                which = np.repeat(begin[side[part]], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                sketch.add(row, d[which], sign)
-            text, _, _, done = sketch.peel()
-            found = np.bincount(text, minlength=len(part))
-            out[part[done]] = found[done]
-            failed.append(part[~done])
-        todo = np.concatenate(failed)
-        cells *= 4
-    return out
-
-
-def likeness(pieces: tuple[np.ndarray, np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
-    """Shared digests as a part of all digests of two texts; 1 if neither has any."""
-    n = np.bincount(pieces[0], minlength=int(max(left.max(initial=-1), right.max(initial=-1))) + 1)
-    both = n[left] + n[right]
-    differ = differences(pieces, left, right)
-    return np.where(both == 0, 1.0, (both - differ) / np.maximum(both + differ, 1))
+        cells = enough(np.abs(self.size[left] - self.size[right]))
+        while True:
+            late = cells[todo] > most[todo]
+            for i in todo[late].tolist():  # both peel alone
+                a, b = (self.d[self.begin[x[i]] : self.begin[x[i] + 1]] for x in (left, right))
+                out[i] = len(a) + len(b) - 2 * len(np.intersect1d(a, b, assume_unique=True))
+            todo = todo[~late]
+            if not len(todo):
+                return out
+            failed = [todo[:0]]
+            for c, part in self.parts(todo, cells[todo]):
+                text = Sketches(len(part), c)
+                for side, sign in ((left, 1), (right, -1)):
+                    text.add(*self.of(side[part]), sign)
+                found, _, _, done = text.peel()
+                out[part[done]] = np.bincount(found, minlength=len(part))[done]
+                failed.append(part[~done])
+            todo = np.concatenate(failed)
+            cells[todo] *= 4
+
+    def likeness(self, left: np.ndarray, right: np.ndarray, cells: np.ndarray) -> np.ndarray:
+        """Shared digests as a part of all digests of two texts; 1 if neither has any. ``cells``: of the texts' fingerprints."""
+        both = self.size[left] + self.size[right]
+        differ = self.differences(left, right, np.minimum(cells[left], cells[right]))
+        return np.where(both == 0, 1.0, (both - differ) / np.maximum(both + differ, 1))
+
+
+def likeness(one: str, other: str) -> float:
+    """How alike two fingerprints are, from themselves alone: shared digests as a part of all."""
+    (a, n), (b, k) = Sketches.parse(one), Sketches.parse(other)
+    if n + k == 0:
+        return 1.0
+    most = min(a.cells, b.cells)
+    cells = int(enough(np.array(abs(n - k))))
+    while cells <= most:
+        found, _, _, done = a.folded(cells).minus(b.folded(cells)).peel()
+        if done[0]:
+            return (n + k - len(found)) / (n + k + len(found))
+        cells *= 2
+    left, right = (set(x.peel()[1].tolist()) for x in (a, b))
+    return len(left & right) / len(left | right)
 
 
 # over a table ----------------------------------------------------------------
@@ -160,15 +248,13 @@ def _compare(ids: list[int], texts: list[str], nexts: list[str]) -> pa.RecordBat
     edited = [t[: len(t) - len(t) // 2] + x[: len(t) // 2] for t, x in zip(texts, nexts, strict=True)]
     raw = [t.encode() for t in (*texts, *edited, *nexts)]
     offsets = np.cumsum([0, *map(len, raw)])
-    pieces = digests(np.frombuffer(b"".join(raw), np.uint8), offsets)
     n = len(texts)
-    size = np.bincount(pieces[0], minlength=3 * n)
-    own = pieces[0] < 2 * n
-    prints = Sketches(2 * n, CELLS).add(pieces[0][own], pieces[1][own]).strings(size[: 2 * n])
+    pieces = Corpus(*digests(np.frombuffer(b"".join(raw), np.uint8), offsets), 3 * n)
+    cells, prints = pieces.own()
     row = np.arange(n)
-    near = likeness(pieces, np.r_[row, row], np.r_[row + n, row + 2 * n])
+    near = pieces.likeness(np.r_[row, row], np.r_[row + n, row + 2 * n], cells)
     return pa.record_batch(
-        [pa.array([None if i == NULL_ID else i for i in ids], pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array([hashlib.sha256(r).hexdigest() for r in raw[n : 2 * n]]), pa.array(prints[:n]), pa.array(prints[n:]), pa.array(near[:n]), pa.array(near[n:])],
+        [pa.array([None if i == NULL_ID else i for i in ids], pa.int64()), pa.array([len(t) for t in texts], pa.int64()), pa.array([hashlib.sha256(r).hexdigest() for r in raw[n : 2 * n]]), pa.array(prints[:n]), pa.array(prints[n : 2 * n]), pa.array(near[:n]), pa.array(near[n:])],
         names=[c.split()[0] for c in _COLUMNS.split(", ")],
     )
 
@@ -179,7 +265,9 @@ def fingerprint_versions(docs: DataFrame, id_col: str = "doc_id", text_col: str
     The edit replaces the last half of the text's code points by the first of
     the next text, in descending order of id (equal ids by text, null ids last;
     after the last comes the first; a single text is its own next). Null texts
-    are empty. Texts without words are alike. Other columns are ignored.
+    are empty. Equal texts have equal fingerprints; ``near_edited`` and
+    ``near_next`` are what ``likeness`` gives for the fingerprints. Texts without
+    words are alike. Other columns are ignored; an empty table has no rows.
 
     Rows are dealt out by ranges of ids; the greatest text of each range is sent
     along to the range above, so that neighbours always meet.
@@ -219,11 +307,11 @@ def fingerprint_versions(docs: DataFrame, id_col: str = "doc_id", text_col: str
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple[int, bool, int, str]] = []
         size = 0
-        for b in batches:
-            for r in zip(*(c.to_pylist() for c in b.columns), strict=True):
+        for part in (b.slice(at, ROWS_AT_ONCE) for b in batches for at in range(0, b.num_rows, ROWS_AT_ONCE)):
+            for r in zip(*(c.to_pylist() for c in part.columns), strict=True):
                 held.append(r)
                 size += len(r[3])
-                if size >= 1 << 19:
+                if size >= CHARS_AT_ONCE or len(held) > ROWS_AT_ONCE:
                     yield from flush(held)
                     held, size = held[-1:], len(r[3])
         yield from flush(held)
