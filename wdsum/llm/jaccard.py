@@ -2,14 +2,19 @@
 
 A text's set holds its runs of five words. Sets are split over and over: a run
 starts with all sets in one bucket, and in each step a bucket's sets go apart by
-the token that a random order puts first in each; two sets stay together with
-the probability of their Jaccard similarity. Buckets of ``BUCKET`` sets or fewer
-are compared pair by pair by their sketches; larger ones are split further, up
-to ``STEPS`` times. Sets that still share a large bucket then have that many
-sampled tokens in common. Each split of each run has a random order of its own,
-so runs are independent, and there are as many (``RUNS``) as make a pair at the
-threshold meet with a probability above 0.9999 (``recall``) even if its buckets
-stay large through all ``STEPS`` splits.
+sampled tokens, the one that a random order puts first in each; two sets stay
+together with the probability of their Jaccard similarity. In some steps
+(``FORKS``) a set follows the tokens of two orders at once, so that its path
+branches and what one branch loses the other may keep. Buckets of ``BUCKET``
+sets or fewer are compared pair by pair by their sketches; larger ones are split
+further. Sets that still share a large bucket after all steps have that many
+sampled tokens in common and are one candidate group. Every split of every run
+has orders of its own, so runs are independent.
+
+Runs are repeated until the target: ``RUNS`` of them reach ``RECALL`` for a pair
+at the threshold whose buckets are small at once; sets whose buckets stayed
+large, so that a run may have lost them in more splits, take part in further
+rounds, with fresh orders, until they reach it as well.
 
 Pairs that met, however many there are, only join sets into candidate groups;
 within these every pair is compared exactly, blocks of sets against blocks, so
@@ -19,6 +24,7 @@ sets) are one set with a count.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,29 +35,42 @@ from pyspark.sql import functions as F
 from .graph import components
 from .stored import stored
 from .textkit import U64, Rolling, blocks, lower_ascii, mix, utf8, word_codes, words
-from .windows import NULL_ID, identified
+from .windows import NULL_ID, free_names, identified
 
 SHINGLE, THRESHOLD = 5, (4, 5)
-#: sketch bytes, runs, splits of a run at most, and sets compared pair by pair
-SLOTS, RUNS, STEPS, BUCKET = 48, 24, 5, 128
-#: orders, one for each split of each run, and bytes kept of a token
-ORDERS, TOKEN_BYTES = RUNS * STEPS, 3
-#: sketches that agree in fewer slots than this can't be at the threshold (five standard errors)
-SLOTS_ALIKE = 22
-#: sets, and shingles of all sets, in one block of the exact comparison
-BLOCK_SETS, BLOCK_SHINGLES = 2048, 1 << 21
+#: runs of a round, sets compared pair by pair, and the orders that a path follows at each split
+RUNS, BUCKET, FORKS = 6, 128, (1, 1, 2, 1, 2)
+#: what a pair at the threshold is found with at least
+RECALL = 0.9999
+#: orders of a run, and of them those before each step's
+_ENDS = np.cumsum(np.cumprod(FORKS)).tolist()
+RUN_ORDERS, BEFORE = _ENDS[-1], [0, *_ENDS[:-1]]
+#: orders of a round, one for each branch of each split of each run, and bytes kept of a token
+ORDERS, TOKEN_BYTES = RUNS * RUN_ORDERS, 3
+#: sketches of ``ORDERS`` bytes that agree in fewer than this can't be at the threshold (five standard errors)
+ALIKE = math.floor(ORDERS * 0.8 - 5 * math.sqrt(ORDERS * 0.8 * 0.2))
+#: sets, and shingles of all sets, in one block of the exact comparison, and blocks that a task holds
+BLOCK_SETS, BLOCK_SHINGLES, HELD_BLOCKS = 1024, 1 << 19, 4
+#: sets of several small groups compared at once
+TOGETHER = 256
 
-_ORDERS = mix(np.arange(1, ORDERS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
 
+def orders(begin: int) -> np.ndarray:
+    """A round's multipliers of shingle hashes; ``begin`` orders were used before."""
+    return mix(np.arange(begin + 1, begin + ORDERS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
 
-def recall(similarity: float, steps: int = 1, runs: int = RUNS) -> float:
-    """Probability that a pair meets in some run, if its buckets take ``steps`` splits."""
-    return 1 - (1 - similarity**steps) ** runs
 
+def meet(similarity: float, steps: int) -> float:
+    """Probability that one run brings a pair together, if its buckets take ``steps`` splits."""
+    p = 1.0
+    for fork in reversed(FORKS[:steps]):
+        p = 1 - (1 - similarity * p) ** fork
+    return p
 
-def slot(run, step):
-    """The order by which a run makes a split; no other split has it."""
-    return run + step * RUNS
+
+def order_of(run, step: int, branch):
+    """The order that a branch follows at a split; no other has it."""
+    return run * RUN_ORDERS + BEFORE[step] + branch
 
 
 def shingles(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
@@ -82,13 +101,14 @@ def _sets_of(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarra
         yield i, j, *shingles(data[at[i] : at[j]], at[i : j + 1] - at[i])
 
 
-def shingle_sets(texts: DataFrame) -> DataFrame:
+def shingle_sets(texts: DataFrame, begin: int = 0) -> DataFrame:
     """(doc, tag, node, size, tokens, sketch) of every text.
 
     ``node`` is a 64-bit hash of the set, ``tokens`` the low bytes of the least
-    hash in each of ``ORDERS`` orders, ``sketch`` a byte of the first ``SLOTS``. A
-    text without words has a null node.
+    hash in each of a round's orders, ``sketch`` one byte of each. A text without
+    words has a null node.
     """
+    order = orders(begin)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -100,8 +120,8 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
                 if len(full):
                     node[full] = mix(np.add.reduceat(mix(value ^ U64(0x2545F4914F6CDD1D)), first) + size[full].astype(U64)).view(np.int64)
                     for s in range(ORDERS):
-                        token[full, s] = np.minimum.reduceat((value * _ORDERS[s]) >> U64(32), first)
-                sketch = (mix(token[:, :SLOTS].astype(U64)) & U64(255)).astype(np.uint8)
+                        token[full, s] = np.minimum.reduceat((value * order[s]) >> U64(32), first)
+                sketch = (mix(token.astype(U64)) & U64(255)).astype(np.uint8)
                 low = token.view(np.uint8).reshape(len(size), ORDERS, 4)[:, :, :TOKEN_BYTES]
                 part = slice(i, j)
                 yield pa.record_batch(
@@ -113,29 +133,48 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
 
 
 def _split(rows: DataFrame, step: int) -> DataFrame:
-    """(key, run, node): rows with run, key and tokens, by the token that their run looks at next."""
-    token = F.substring("tokens", slot(F.col("run"), step) * TOKEN_BYTES + 1, F.lit(TOKEN_BYTES))
-    return rows.select(F.xxhash64("key", "run", token).alias("key"), "run", "node")
+    """(key, run, branch, node): rows with run, branch, key and tokens, by the tokens that their branches look at next."""
+    fork = FORKS[step]
+    rows = rows.withColumn("branch", F.explode(F.sequence(F.col("branch") * fork, F.col("branch") * fork + (fork - 1)))) if fork > 1 else rows
+    order = order_of(F.col("run"), step, F.col("branch"))
+    token = F.substring("tokens", order * TOKEN_BYTES + 1, F.lit(TOKEN_BYTES))
+    return rows.select(F.xxhash64("key", order, token).alias("key"), "run", "branch", "node")
 
 
 def labels(alike: np.ndarray) -> np.ndarray:
-    """The least member of each one's connected component in a symmetric matrix."""
-    n = len(alike)
-    alike = alike | np.eye(n, dtype=bool)
-    label = np.arange(n)
-    while True:
-        new = np.where(alike, label, n).min(axis=1)
-        if (new == label).all():
-            return label
-        label = new
+    """For each member of a symmetric matrix the least one of its connected component."""
+    label = np.full(len(alike), -1)
+    for k in range(len(alike)):
+        if label[k] < 0:
+            new = np.zeros(len(alike), bool)
+            new[k] = True
+            while new.any():
+                label[new] = k
+                new = alike[new].any(axis=0) & (label < 0)
+    return label
+
+
+def side_labels(linked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each row and column of a matrix the first row of its connected component; -1 without any link."""
+    left, right = (np.full(n, -1) for n in linked.shape)
+    for k in np.flatnonzero(linked.any(axis=1)).tolist():
+        if left[k] < 0:
+            new = np.zeros(len(left), bool)
+            new[k] = True
+            while new.any():
+                left[new] = k
+                reached = linked[new].any(axis=0) & (right < 0)
+                right[reached] = k
+                new = linked[:, reached].any(axis=1) & (left < 0)
+    return left, right
 
 
 def _bucket_links(members: DataFrame) -> DataFrame:
     """(a, b): links that join the alike sets of each small bucket; from (key, node, sketch)."""
 
     def solve(node: list[int], sketch: list[bytes]) -> Iterator[tuple[int, int]]:
-        rows = np.frombuffer(b"".join(sketch), np.uint8).reshape(-1, SLOTS)
-        label = labels((rows[:, None, :] == rows[None, :, :]).sum(axis=2) >= SLOTS_ALIKE)
+        rows = np.frombuffer(b"".join(sketch), np.uint8).reshape(len(node), -1)
+        label = labels((rows[:, None, :] == rows[None, :, :]).sum(axis=2) >= ALIKE)
         return ((node[i], node[k]) for i, k in enumerate(label.tolist()) if i != k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -157,24 +196,62 @@ def _bucket_links(members: DataFrame) -> DataFrame:
     return members.repartition("key").sortWithinPartitions("key", "node").mapInArrow(run, "a long, b long")
 
 
-def candidates(nodes: DataFrame) -> DataFrame:
-    """(a, b): links that join all sets that met in some run and look alike; from (node, tokens, sketch)."""
-    rows = _split(nodes.select("node", "tokens", F.explode(F.sequence(F.lit(0), F.lit(RUNS - 1))).alias("run"), F.lit(0).cast("long").alias("key")), 0)
+def _round(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """One round of runs over (node, tokens, sketch): the links (a, b) found, and (node, run, steps) of paths with several splits."""
+    whole = nodes.select("node", "tokens", F.explode(F.sequence(F.lit(0), F.lit(RUNS - 1))).alias("run"), F.lit(0).alias("branch"), F.lit(0).cast("long").alias("key"))
+    rows = _split(whole, 0)
     found: list[DataFrame] = []
-    for step in range(1, STEPS + 1):
+    deep: DataFrame | None = None
+    for step in range(1, len(FORKS) + 1):
         met = stored(rows.join(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("least")).where("n > 1"), "key"))
         small = met.where(F.col("n") <= BUCKET).select("key", "node")
         found.append(_bucket_links(small.join(nodes.select("node", "sketch"), "node").select("key", "node", "sketch")))
         large = met.where(F.col("n") > BUCKET)
         if not large.take(1):
             break
-        if step == STEPS:
-            # STEPS sampled tokens in common: one candidate group, which is compared exactly later on
+        if step == len(FORKS):
+            # that many sampled tokens in common: one candidate group, which is compared exactly later on
             found.append(large.where("node != least").select(F.col("node").alias("a"), F.col("least").alias("b")))
-        rows = _split(large.select("key", "run", "node").join(nodes.select("node", "tokens"), "node"), step)
+            break
+        split = large.select("node", "run", F.lit(step + 1).alias("steps")).distinct()
+        deep = split if deep is None else deep.unionByName(split)
+        rows = _split(large.select("key", "run", "branch", "node").join(nodes.select("node", "tokens"), "node"), step)
     out = found[0]
     for more in found[1:]:
         out = out.unionByName(more)
+    deep = nodes.select("node", F.lit(0).alias("run"), F.lit(1).alias("steps")).limit(0) if deep is None else deep
+    return out, deep.groupBy("node", "run").agg(F.max("steps").alias("steps"))
+
+
+def unfinished(deep: DataFrame, before: DataFrame | None) -> DataFrame:
+    """(node, miss): sets that need more runs, and the log of the probability that a pair at the threshold was missed so far.
+
+    ``deep``: the runs in which a set took several splits, all others took one;
+    ``before``: what this gave after the round before.
+    """
+    similarity = THRESHOLD[0] / THRESHOLD[1]
+    lost = [math.log1p(-meet(similarity, k + 1)) for k in range(len(FORKS))]
+    extra = F.element_at(F.array(*(F.lit(x - lost[0]) for x in lost)), F.col("steps"))
+    now = deep.groupBy("node").agg((F.lit(RUNS * lost[0]) + F.sum(extra)).alias("miss"))
+    if before is not None:
+        now = before.join(now.withColumnRenamed("miss", "_now"), "node", "left").select("node", (F.col("miss") + F.coalesce("_now", F.lit(RUNS * lost[0]))).alias("miss"))
+    return now.where(F.col("miss") > math.log(1 - RECALL))
+
+
+def candidates(nodes: DataFrame, texts: DataFrame, first: DataFrame) -> DataFrame:
+    """(a, b): links that join all sets that met in some run and look alike.
+
+    From (node, tokens, sketch) of the first round; the text of a set, its
+    ``first`` (node, doc, tag) among ``texts``, is read again where more runs are due.
+    """
+    out, deep = _round(nodes)
+    more, begin = stored(unfinished(deep, None)), ORDERS
+    while more.take(1):
+        known = texts.join(first.join(more, "node"), ["doc", "tag"]).select("doc", "tag", "text")
+        again = stored(shingle_sets(known, begin).select("node", "tokens", "sketch").dropDuplicates(["node"]))
+        links, deep = _round(again)
+        out = out.unionByName(links)
+        more, begin = stored(unfinished(deep, more)), begin + ORDERS
     return out
 
 
@@ -212,49 +289,107 @@ def intersections(value: np.ndarray, bounds: np.ndarray, left: np.ndarray, right
     return out
 
 
-def _verified(members: DataFrame) -> DataFrame:
-    """(node, links, to): documents at the threshold, and a set of the same group; from (root, lo, hi, block, node, mult, text)."""
+def compared(value: np.ndarray, size: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Which sets ``left`` reach the threshold with which sets ``right``, themselves left out."""
     num, den = THRESHOLD
+    shared = intersections(value, np.r_[0, np.cumsum(size)], left, right)
+    # shared / (a + b - shared) >= num / den
+    return ((num + den) * shared >= num * (size[left][:, None] + size[right][None, :])) & (left[:, None] != right[None, :])
+
+
+class Block:
+    """Sets of a candidate group, each known by its node."""
+
+    def __init__(self, rows: list[tuple[int, int, bytes]], apart: list[int] | None = None):
+        # shingles of other groups never meet: ``apart`` has each set's group
+        parts = [np.frombuffer(r[2], U64) for r in rows]
+        self.node, self.mult = (np.array([r[k] for r in rows], np.int64) for k in range(2))
+        self.size = np.array([len(x) for x in parts])
+        self.value = np.concatenate(parts)
+        if apart is not None:
+            self.value = self.value ^ np.repeat(mix(np.array(apart, np.int64).view(U64)), self.size)
+
+    def links(self, other: Block) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """(node, documents at the threshold in the other block, a node of the same class) of the sets that have any, of both blocks."""
+        n = len(self.node)
+        if other is self:
+            linked = compared(self.value, self.size, np.arange(n), np.arange(n))
+            label = labels(linked)
+            yield from self._found(linked, other.mult, self.node[label])
+            return
+        linked = compared(np.concatenate([self.value, other.value]), np.r_[self.size, other.size], np.arange(n), n + np.arange(len(other.node)))
+        left, right = side_labels(linked)
+        yield from self._found(linked, other.mult, self.node[left])
+        yield from other._found(linked.T, self.mult, self.node[right])
+
+    def _found(self, linked: np.ndarray, mult: np.ndarray, to: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        some = np.flatnonzero(linked.any(axis=1))
+        if len(some):
+            yield self.node[some], np.concatenate([np.where(linked[some[k : k + 64]], mult, 0).sum(axis=1) for k in range(0, len(some), 64)]), to[some]
+
+
+def _verified(members: DataFrame) -> DataFrame:
+    """(node, links, to): documents at the threshold, and a set of the same class; from (root, stripe, block, node, mult, shingles).
 
-    def solve(rows: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        rows = list({r[4]: r for r in rows}.values())
-        node, mult = np.array([r[4] for r in rows], np.int64), np.array([r[5] for r in rows], np.int64)
-        parts = [(v, c) for _, _, v, c in _sets_of(pa.array([r[6] for r in rows], pa.large_string()))]
-        value = np.concatenate([v for v, _ in parts])
-        size = np.concatenate([np.diff(c) for _, c in parts])
-        bounds = np.r_[0, np.cumsum(size)]
-        block = np.array([r[3] for r in rows])
-        left = np.flatnonzero(block == rows[0][1])
-        right = np.flatnonzero(block == rows[0][2])
-        if not len(left) or not len(right):
-            return node[:0], mult[:0], node[:0]
-        shared = intersections(value, bounds, left, right)
-        # shared / (a + b - shared) >= num / den
-        linked = (num + den) * shared >= num * (size[left][:, None] + size[right][None, :])
-        whole = np.zeros((len(node), len(node)), bool)
-        whole[np.ix_(left, right)] = linked
-        whole |= whole.T
-        np.fill_diagonal(whole, False)
-        return node, whole @ mult, node[labels(whole)]
+    A stripe has ``HELD_BLOCKS`` blocks, which a task holds, and meets them and
+    all later ones of its group one after another.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
-        last = None
+        held: list[Block] = []
+        rows: list[tuple[int, int, bytes]] = []
+        groups: list[int] = []
+        last: tuple | None = None
+        shingles = 0
+
+        def close() -> Iterator[tuple]:
+            """The open block is complete."""
+            nonlocal rows, groups, shingles
+            if rows:
+                alone = last[1] is None
+                block = Block(rows, groups if alone else None)
+                rows, groups, shingles = [], [], 0
+                for other in held:
+                    yield from other.links(block)
+                yield from block.links(block) if alone or last[2] // HELD_BLOCKS == last[1] else ()
+                if not alone and last[2] // HELD_BLOCKS == last[1]:
+                    held.append(block)
+
         for b in (*batches, None):
-            out = [(np.zeros(0, np.int64),) * 3]
-            for r in zip(*(c.to_pylist() for c in b.columns), strict=True) if b is not None else [(None,) * 7]:
-                if r[:3] != last:
-                    if held:
-                        out.append(solve(held))
-                    held, last = [], r[:3]
-                held.append(r)
-            node, links, to = (np.concatenate(x) for x in zip(*out, strict=True))
-            yield pa.record_batch([pa.array(node), pa.array(links), pa.array(to)], names=["node", "links", "to"])
-
-    dealt = members.repartition("root", "lo", "hi").sortWithinPartitions("root", "lo", "hi", "node")
+            out: list[tuple] = [(np.zeros(0, np.int64),) * 3]
+            for root, stripe, block, node, mult, raw in zip(*(c.to_pylist() for c in b.columns), strict=True) if b is not None else [(None, 0, 0, 0, 0, b"")]:
+                here = (root, stripe, block)
+                # groups of a single block share one, each whole
+                if here != last and (b is None or stripe is not None or last is not None and last[1] is not None or len(rows) >= TOGETHER or shingles >= BLOCK_SHINGLES):
+                    out += close()
+                    if last is None or last[:2] != here[:2]:
+                        held.clear()
+                if here == last and rows and rows[-1][0] == node:
+                    continue  # rows that share id and text
+                last = here
+                rows.append((node, mult, raw))
+                groups.append(root)
+                shingles += len(raw) // 8
+            node_, links, to = (np.concatenate(x) for x in zip(*out, strict=True))
+            yield pa.record_batch([pa.array(node_), pa.array(links), pa.array(to)], names=["node", "links", "to"])
+
+    dealt = members.repartition("root", "stripe").sortWithinPartitions("root", "stripe", "block", "node")
     return dealt.mapInArrow(run, "node long, links long, to long")
 
 
+def _shingled(texts: DataFrame) -> DataFrame:
+    """(doc, tag, shingles): each text's set as sorted 64-bit hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, j, value, bounds in _sets_of(b.column(2)):
+                raw = value.tobytes()
+                at = (8 * bounds).tolist()
+                yield pa.record_batch([b.column(0)[i:j], b.column(1)[i:j], pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:], strict=True)], pa.binary())], names=["doc", "tag", "shingles"])
+
+    return texts.select("doc", "tag", "text").mapInArrow(run, "doc long, tag int, shingles binary")
+
+
 def classes(texts: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Every text's class: ((doc, tag, node) of all texts, (node, root, links, mult, copy) of all sets).
 
@@ -263,14 +398,17 @@ def classes(texts: DataFrame) -> tuple[DataFrame, DataFrame]:
     with the set itself.
     """
     all_sets = stored(shingle_sets(texts))
-    nodes = stored(all_sets.where("node is not null").select("node", "size", "tokens", "sketch").dropDuplicates(["node"]))
-    group = components(candidates(nodes))
-    own = stored(all_sets.where("node is not null").groupBy("node").agg(F.count(F.lit(1)).alias("mult"), F.min(F.struct("doc", "tag")).alias("first")))
-    sized = group.join(nodes.select("node", "size"), "node")
+    worded = all_sets.where("node is not null")
+    own = stored(worded.groupBy("node").agg(F.count(F.lit(1)).alias("mult"), F.min(F.struct("doc", "tag")).alias("first"), F.first("size").alias("size")))
+    first = own.select("node", F.col("first.doc").alias("doc"), F.col("first.tag").alias("tag"))
+    nodes = stored(worded.select("node", "tokens", "sketch").dropDuplicates(["node"]))
+    group = components(candidates(nodes, texts, first))
+    sized = group.join(own, "node")
     shape = sized.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_SETS), F.ceil(F.sum("size") / BLOCK_SHINGLES)).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    placed = sized.join(shape, "root").join(own, "node").select("node", "root", "blocks", "mult", F.col("first.doc").alias("doc"), F.col("first.tag").alias("tag"), F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
-    other = placed.join(texts, ["doc", "tag"]).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    members = other.select("root", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "node", "mult", "text")
+    placed = sized.join(shape, "root").select("node", "root", "blocks", "mult", F.col("first.doc").alias("doc"), F.col("first.tag").alias("tag"), F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
+    shingled = stored(_shingled(texts.join(placed.select("doc", "tag"), ["doc", "tag"], "left_semi")))
+    stripes = F.when(F.col("blocks") > 1, F.sequence(F.lit(0), F.floor(F.col("block") / HELD_BLOCKS).cast("int"))).otherwise(F.array(F.lit(None).cast("int")))
+    members = placed.join(shingled, ["doc", "tag"]).select("root", F.explode(stripes).alias("stripe"), "block", "node", "mult", "shingles")
     found = stored(_verified(members))
     linked = components(found.where("node != to").select(F.col("node").alias("a"), F.col("to").alias("b")))
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
@@ -298,12 +436,17 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of ``docs``, all columns: of each class the text of least id; all texts without words."""
+    """Rows of ``docs``, all columns: of each class the text of least id, once; all texts without words.
+
+    Classes as in ``near_duplicates``. Null texts and texts without words have no
+    class and all stay, repeated rows too; a null id counts as the smallest; an
+    empty table stays empty.
+    """
     key = identified(docs, id_col, text_col)
-    rows, sets = classes(key)
-    first = sets.groupBy("root").agg(F.min("first").alias("f")).select(F.col("f.doc").alias("_doc"), F.col("f.tag").alias("_tag"))
-    wordless = rows.where("node is null").select(F.col("doc").alias("_doc"), F.col("tag").alias("_tag")).distinct()
+    _, sets = classes(key)
+    doc, tag, some = free_names(docs, "doc", "tag", "some")
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    tagged = docs.withColumns({"_doc": F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), "_tag": F.hash(text), "_some": F.length(F.regexp_replace(text, r"[\x09-\x0D ]+", "")) > 0})
-    kept = tagged.where("_some").join(first, ["_doc", "_tag"], "left_semi").dropDuplicates(["_doc", "_tag"])
-    return kept.unionByName(tagged.where("not _some").join(wordless, ["_doc", "_tag"], "left_semi")).select(*docs.columns)
+    first = sets.groupBy("root").agg(F.min("first").alias("f")).select(F.col("f.doc").alias(doc), F.col("f.tag").alias(tag))
+    tagged = docs.withColumns({doc: F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), tag: F.hash(text), some: F.length(F.regexp_replace(text, r"[\x09-\x0D ]+", "")) > 0})
+    kept = tagged.where(some).join(first, [doc, tag], "left_semi").dropDuplicates([doc, tag])
+    return kept.unionByName(tagged.where(~F.col(some))).select(*docs.columns)

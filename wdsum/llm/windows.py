@@ -35,6 +35,18 @@ def identified(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("doc"), F.hash(text).alias("tag"), text.alias("text"))
 
 
+def free_names(df: DataFrame, *wanted: str) -> list[str]:
+    """``wanted`` with as many underscores before them as it takes not to be the name of a column, in any case."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in wanted:
+        while name.lower() in taken:
+            name = f"_{name}"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def symbols(batch_text: pa.Array, unit: str) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, tuple]]:
     """Blocks of a text column: (first text, past the last, codes, offsets, places)."""
     data, offsets = utf8(batch_text)
