@@ -1,3 +1,4 @@
+import math
 import re
 
 from wdsum.llm import urls
@@ -34,8 +35,32 @@ def test_rules_equal_plain_python_and_trees_judge_the_rest(spark):
 
 
 def test_trees_follow_the_labels(spark):
-    df = spark.createDataFrame([(i, f"http://s{i}.{'net' if i % 2 else 'com'}/{'fr' if i % 2 else 'en'}/{i}") for i in range(400)] + [(1000, "http://s.net/de/5")], "page_id long, url string")
-    assert {r.page_id: r.verdict for r in urls.judge(df).collect()}[1000] == "block"
+    rows = [(i, f"http://s{i}.{'net' if i % 2 else 'com'}/{'fr' if i % 2 else 'en'}/{i}") for i in range(400)]
+    df = spark.createDataFrame([*rows, (1000, "http://s.org/fr/5"), (1001, "http://s.org/en/5"), (1002, "http://s.net/en/5")], "page_id long, url string")
+    got = {r.page_id: r for r in urls.judge(df).collect()}
+    assert (got[1000].verdict, got[1001].verdict) == ("block", "allow") and 0 < got[1002].score < 1
+
+
+def test_held_out_hosts_and_both_verdicts(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    rows = urls.held_out_accuracy(pages).collect()
+    assert {r.label for r in rows} == {"allow", "block"} and sum(r.n for r in rows) > 100
+    assert sum(r.right for r in rows) > 0.9 * sum(r.n for r in rows) and all(r.right > 0.6 * r.n for r in rows)
+    rest = {r.verdict: r["count"] for r in urls.judge(pages).where("rule is null").groupBy("verdict").count().collect()}
+    assert len(rest) == 2 and min(rest.values()) > 10
+
+
+def test_no_row_sees_its_own_label(spark):
+    rows = urls.prepared(spark.createDataFrame([(i, f"http://s{i}.net/fr/{i}") for i in range(40)] + [(100 + i, f"http://s{i}.com/en/x") for i in range(40)], "page_id long, url string"), "page_id", "url", urls.RULES)
+    got = urls.out_of_fold(rows.withColumn("label", (rows.label == 1).cast("double"))).collect()
+    fold = {}
+    for r in got:
+        fold[r.suffix, r.fold] = fold.get((r.suffix, r.fold), 0) + 1
+    for r in got:
+        others = 40 - fold[r.suffix, r.fold]
+        blind = r.fold >= urls.FOLDS - urls.BLIND
+        assert abs(r.segment_known - math.log1p(others)) < 1e-9 and abs(r.suffix_known - (0 if blind else r.segment_known)) < 1e-9
+        assert abs(r.segment_rate - ((others if r.suffix == "net" else 0) + 1) / (others + 2)) < 1e-9
 
 
 def test_no_labels_and_no_rows(spark):

@@ -1,5 +1,13 @@
 """URL filter: rules on host and path first, boosted trees on lexical features for the rest.
 
+The trees are fitted on URLs that rules have labelled. Beside lengths, counts and
+entropy they see what is known of a URL's suffix (the host's last label) and of
+its path's first segment: how many labelled URLs have it, and how many of those
+are blocked. For the rows of the fit these statistics come from the other folds'
+rows, and in some folds all rows of a suffix are as if its statistics weren't
+known, so that the trees neither see a row's own label nor depend on a suffix
+that a URL to be judged may not have.
+
 Everything is DataFrame expressions and the JVM's own tree ensemble; no Python
 runs on the executors.
 """
@@ -14,6 +22,8 @@ from pyspark.ml.feature import VectorAssembler
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .stored import stored
+
 #: verdict, host, path: fixed values of the filter's policy
 RULES = (
     ("allow", "com", "/"),
@@ -23,10 +33,14 @@ RULES = (
     ("block", "net", "/fr/"),
 )
 
-FEATURES = ("length", "host_length", "path_length", "depth", "labels", "digits", "letters", "marks", "entropy", "params", "fragment", "secure", "known", "rate")
+#: what statistics of labels are kept of
+STATISTICS = ("suffix", "segment")
+FEATURES = ("length", "host_length", "path_length", "depth", "labels", "digits", "letters", "marks", "entropy", "params", "fragment", "secure", *(f"{s}_{x}" for s in STATISTICS for x in ("known", "rate")))
 
-#: the ensemble is fitted on this many labelled URLs at most, those of smallest hash
+#: the ensemble and the statistics are fitted on this many labelled URLs at most, those of smallest hash
 FIT_ROWS = 20_000
+#: folds of the fit, and the last of them, in which a suffix counts as unknown
+FOLDS, BLIND = 8, 2
 
 
 def lower_ascii(c: Column) -> Column:
@@ -63,12 +77,13 @@ def count_of(text: Column, pattern: str) -> Column:
 
 
 def features(split: DataFrame, url: str = "url") -> DataFrame:
-    """Lexical features of rows with host, path and query; suffix is the host's last label."""
+    """Lexical features of rows with host, path and query; suffix is the host's last label, segment the path's first."""
     text = F.coalesce(F.col(url).cast("string"), F.lit(""))
     n = F.greatest(F.length(text), F.lit(1)).cast("double")
     return split.withColumns(
         {
             "suffix": F.substring_index("host", ".", -1),
+            "segment": F.regexp_extract("path", r"\A/([^/]*)", 1),
             "length": F.length(text).cast("double"),
             "host_length": F.length("host").cast("double"),
             "path_length": F.length("path").cast("double"),
@@ -85,25 +100,73 @@ def features(split: DataFrame, url: str = "url") -> DataFrame:
     )
 
 
-def suffix_rates(labelled: DataFrame, prior: float = 0.5, weight: float = 20.0) -> DataFrame:
-    """(suffix, known, rate): labelled URLs of each suffix and their smoothed share of blocks."""
-    return labelled.groupBy("suffix").agg(F.log1p(F.count(F.lit(1))).alias("known"), ((F.sum("label") + prior * weight) / (F.count(F.lit(1)) + weight)).alias("rate"))
+def statistics(labelled: DataFrame, column: str, keys: list[str] | None = None, name: str | None = None) -> DataFrame:
+    """(column, keys, name: struct(n, blocked)): labelled URLs with each value, and those of them that are blocked."""
+    return labelled.groupBy(column, *(keys or [])).agg(F.struct(F.count(F.lit(1)).alias("n"), F.sum("label").alias("blocked")).alias(name or f"{column}_all"))
+
+
+def as_features(column: str, n: Column, blocked: Column, prior: float = 0.5, weight: float = 2.0) -> dict[str, Column]:
+    return {f"{column}_known": F.log1p(n.cast("double")), f"{column}_rate": (blocked + prior * weight) / (n + weight)}
 
 
-def with_rates(rows: DataFrame, rates: DataFrame, prior: float = 0.5) -> DataFrame:
-    return rows.join(rates, "suffix", "left").fillna({"known": 0.0, "rate": prior})
+def with_statistics(rows: DataFrame, tables: dict[str, DataFrame]) -> DataFrame:
+    """Rows with the features of ``STATISTICS``; each table has at most ``FIT_ROWS`` rows, so it is broadcast."""
+    zero = F.lit(0.0)
+    for column, table in tables.items():
+        known = F.col(f"{column}_all")
+        rows = rows.join(F.broadcast(table), column, "left").withColumns(as_features(column, F.coalesce(known["n"], zero), F.coalesce(known["blocked"], zero))).drop(f"{column}_all")
+    return rows
 
 
-def fit(labelled: DataFrame, rates: DataFrame, fit_rows: int = FIT_ROWS, seed: int = 7) -> GBTClassificationModel | None:
-    """Trees from rows with features and ``label`` (1: block); None if a label is missing."""
-    sample = with_rates(labelled, rates).orderBy(F.xxhash64("url"), "url").limit(fit_rows)
-    sample = VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(sample).select("features", "label").coalesce(1).cache()
+def out_of_fold(sample: DataFrame) -> DataFrame:
+    """The fit's rows with statistics of the other folds; folds are of hosts, so that one site's URLs stay together."""
+    rows = sample.withColumn("fold", F.pmod(F.xxhash64(F.lit("fold"), "host"), F.lit(FOLDS)).cast("int"))
+    for column in STATISTICS:
+        own, every = statistics(rows, column, ["fold"], "own"), statistics(rows, column)
+        rows = rows.join(F.broadcast(every.join(own, column).select(column, "fold", (F.col(f"{column}_all.n") - F.col("own.n")).alias("n"), (F.col(f"{column}_all.blocked") - F.col("own.blocked")).alias("blocked"))), [column, "fold"])
+        seen = (F.col("fold") < FOLDS - BLIND) if column == "suffix" else F.lit(True)
+        rows = rows.withColumns(as_features(column, F.when(seen, F.col("n")).otherwise(0), F.when(seen, F.col("blocked")).otherwise(0.0))).drop("n", "blocked")
+    return rows
+
+
+def fit(labelled: DataFrame, fit_rows: int = FIT_ROWS, seed: int = 7) -> tuple[GBTClassificationModel, dict[str, DataFrame]] | None:
+    """Trees and statistics from rows with features and ``label`` (1: block); None if a label is missing."""
+    # rows that tie in hash and URL are the same in all that is used
+    sample = stored(labelled.orderBy(F.xxhash64("url"), "url").limit(fit_rows))
+    if len(sample.select("label").distinct().take(2)) < 2:
+        return None
+    vectors = VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(out_of_fold(sample)).select("features", "label").coalesce(1).cache()
     try:
-        if len(sample.select("label").distinct().take(2)) < 2:
-            return None
-        return GBTClassifier(maxIter=12, maxDepth=4, maxBins=32, stepSize=0.2, seed=seed).fit(sample)
+        model = GBTClassifier(maxIter=12, maxDepth=4, maxBins=32, stepSize=0.2, seed=seed).fit(vectors)
     finally:
-        sample.unpersist()
+        vectors.unpersist()
+    return model, {column: statistics(sample, column) for column in STATISTICS}
+
+
+def scored(rows: DataFrame, fitted: tuple[GBTClassificationModel, dict[str, DataFrame]]) -> DataFrame:
+    """Rows with features and the trees' ``score``, the probability of a block, and ``prediction``."""
+    from pyspark.ml.functions import vector_to_array
+
+    model, tables = fitted
+    out = model.transform(VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(with_statistics(rows, tables)))
+    return out.withColumn("score", vector_to_array("probability")[1])
+
+
+def prepared(pages: DataFrame, id_col: str, url_col: str, rules: Sequence[tuple[str, str, str]]) -> DataFrame:
+    """(page_id, url, host, path, features, rule, given, label) of every row; label is null where no rule fits."""
+    split = features(parts(pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"))))
+    name, verdict = rule_match(F.col("host"), F.col("path"), rules)
+    return split.withColumns({"rule": name, "given": verdict}).withColumn("label", (F.col("given") == "block").cast("double"))
+
+
+def held_out_accuracy(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules: Sequence[tuple[str, str, str]] = RULES, fit_rows: int = FIT_ROWS) -> DataFrame:
+    """(label, n, right) of URLs that rules label, of every fifth host, by trees fitted on the other hosts' URLs."""
+    labelled = prepared(pages, id_col, url_col, rules).where("given is not null")
+    held = F.pmod(F.xxhash64(F.lit("held out"), "host"), F.lit(5)) == 0
+    fitted = fit(labelled.where(~held), fit_rows)
+    if fitted is None:
+        raise ValueError("labels of one kind only")
+    return scored(labelled.where(held), fitted).groupBy(F.col("given").alias("label")).agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("prediction") == F.col("label")).cast("long")).alias("right"))
 
 
 def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules: Sequence[tuple[str, str, str]] = RULES, fit_rows: int = FIT_ROWS) -> DataFrame:
@@ -115,20 +178,11 @@ def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules
     is judged by the trees. Without labels of both kinds the verdict is that of
     all labels, or allow. Repeated rows are judged each; other columns don't matter.
     """
-    rows = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"))
-    split = features(parts(rows))
-    name, verdict = rule_match(F.col("host"), F.col("path"), rules)
-    split = split.withColumns({"rule": name, "given": verdict})
-    labelled = split.where("given is not null").withColumn("label", (F.col("given") == "block").cast("double"))
-    rates = suffix_rates(labelled)
-    model = fit(labelled, rates, fit_rows)
-    if model is None:
-        only = labelled.select("given").take(1)
-        rest, score = F.lit(only[0][0] if only else "allow"), F.lit(None).cast("double")
-        scored = split
+    split = prepared(pages, id_col, url_col, rules)
+    fitted = fit(split.where("given is not null"), fit_rows)
+    if fitted is None:
+        only = split.where("given is not null").select("given").take(1)
+        rest, judged = F.lit(only[0][0] if only else "allow"), split.withColumn("score", F.lit(None).cast("double"))
     else:
-        from pyspark.ml.functions import vector_to_array
-
-        scored = model.transform(VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(with_rates(split, rates)))
-        rest, score = F.when(F.col("prediction") == 1, "block").otherwise("allow"), vector_to_array("probability")[1]
-    return scored.select("page_id", "host", "path", "rule", F.coalesce("given", rest).alias("verdict"), F.when(F.col("given").isNull(), score).alias("score"))
+        rest, judged = F.when(F.col("prediction") == 1, "block").otherwise("allow"), scored(split, fitted)
+    return judged.select("page_id", "host", "path", "rule", F.coalesce("given", rest).alias("verdict"), F.when(F.col("given").isNull(), F.col("score")).alias("score"))
