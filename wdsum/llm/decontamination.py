@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .stored import stored
+from .windows import NULL_ID, free_names
 
 #: bytes of a benchmark's distinct words up to which they are broadcast; above, the join shuffles
 BROADCAST_BYTES = 32 << 20
@@ -80,7 +81,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, n: int = 13, share: int
     """
     row = ["doc_id", *(keep or [])]
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    key = {"doc": F.coalesce(F.col(id_col).cast("long"), F.lit(-(1 << 63))), "tag": F.hash(text)}
+    key = {"doc": F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), "tag": F.hash(text)}
     texts = docs.select(*(c.alias(k) for k, c in key.items()), text.alias("text"))
     found = hits(texts, benchmark, n).withColumnsRenamed({"doc": "_doc", "tag": "_tag", "met": "_met"})
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), *(F.col(c).alias(c) for c in keep or []), text.alias("_text"), *(c.alias(f"_k{k}") for k, c in key.items()))
@@ -98,9 +99,14 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, n: int = 13, share: int
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, n: int = 13, share: int = 20) -> DataFrame:
-    """Rows of ``docs``, all columns, that are not contaminated."""
+    """Rows of ``docs``, all columns, that are not contaminated.
+
+    Null and empty texts have no words and stay; repeated rows stay or go
+    together; without items all rows stay; an empty table stays empty.
+    """
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    key = {"_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))), "_hash": F.hash(text)}
+    id_, hash_ = free_names(docs, "id", "hash")
+    key = {id_: F.coalesce(F.col("doc_id").cast("long"), F.lit(NULL_ID)), hash_: F.hash(text)}
     # stored, or a filter on the verdict would work out the words anew for each use
     keyed = docs.select("doc_id", "text", *(c.alias(k) for k, c in key.items()))
     judged = stored(decontaminate(keyed, benchmark, n, share, keep=list(key)).select(*key, "contaminated"))

@@ -16,7 +16,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .textkit import blocks, utf8
@@ -104,13 +104,19 @@ def train(texts: list[bytes], good: list[bool]) -> Model:
 
 
 def labelled(docs: DataFrame, labels: DataFrame, keep: Column, rows: int = FIT_ROWS) -> tuple[list[bytes], list[bool]]:
-    """At most ``rows`` labelled texts, by class as labels have them, those of smallest hash; never longer than ``FIT_BYTES``."""
+    """At most ``rows`` labelled texts and whether they are good, those of smallest hash; none longer than ``FIT_BYTES``.
+
+    An id that is labelled both ways has no label; of texts that share an id
+    only the least counts, so that no more than ``rows`` of them are collected.
+    """
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull()).where(keep)
-    chosen = known.dropDuplicates(["doc_id"]).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    agreed = known.groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("quality").alias("most")).where("quality = most").drop("most")
+    chosen = agreed.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
     # at most ``rows`` pairs of numbers
-    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").where(F.octet_length("text") <= FIT_BYTES)
-    found = found.orderBy(F.xxhash64("doc_id"), "doc_id", "text").collect()
-    return [r.text.encode() for r in found], [r.quality == 1 for r in found]
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.octet_length("text") <= FIT_BYTES)
+    found = texts.join(F.broadcast(chosen), "doc_id").withColumn("_nth", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("_nth = 1")
+    got = found.orderBy(F.xxhash64("doc_id"), "doc_id").select("text", "quality").collect()
+    return [r.text.encode() for r in got], [r.quality == 1 for r in got]
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, everything: bool = False) -> DataFrame:
@@ -138,7 +144,12 @@ def score_documents(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS
 
 
 def reject_bad(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, threshold: float = 0.5) -> DataFrame:
-    """Rows of ``docs``, all columns, whose score reaches ``threshold``."""
+    """Rows of ``docs``, all columns, whose score reaches ``threshold``; learns from all labels.
+
+    Null and empty texts have the labelled share of good ones as their score;
+    repeated rows stay or go together; without labels all rows stay; an empty
+    table stays empty. Columns of ``labels`` are never columns of the result.
+    """
     model = train(*labelled(docs, labels, F.lit(True), fit_rows))
 
     def good(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
