@@ -5,7 +5,7 @@ import pytest
 
 from tests.llm import brute
 from tests.llm.test_windows import fixture
-from wdsum.llm import suffixes
+from wdsum.llm import decontamination, jaccard, suffixes
 
 
 def plain_repeats(texts, least):
@@ -53,17 +53,46 @@ def test_removal_equals_brute_force(spark, monkeypatch, seed, group, batch):
     monkeypatch.setattr(suffixes, "GROUP", group)
     monkeypatch.setattr(suffixes, "BATCH_BYTES", batch)
     monkeypatch.setattr(suffixes.partial_repeats, "__defaults__", ((5, 1), group))
-    got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffixes.remove_repeats(df, 40, 16).collect())
-    assert got == sorted(brute.byte_windows(docs, 40))
+    for n, passage, k in ((40, 24, 9), (40, 40, 16)):
+        rows = suffixes.remove_repeats(df, n, passage, k).collect()
+        assert sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in rows) == sorted(brute.byte_windows(docs, n))
+        if passage < n:
+            assert sorted((r.doc_id, r.n_bytes, r.passage_bytes, r.n_passages) for r in rows) == sorted(x[:4] for x in brute.byte_windows(docs, passage))
+
+
+@pytest.mark.parametrize("seed", range(20))
+def test_longest_repeats_of_the_places_that_count(seed):
+    rng = random.Random(seed)
+    texts = [bytes(rng.choices(b"ab", k=rng.randint(1, 60))) for _ in range(rng.randint(1, 5))]
+    last, n = [rng.randint(0, len(t) - 1) for t in texts], rng.randint(1, 5)
+    offsets = np.cumsum([0, *map(len, texts)])
+    place, length = suffixes.longest(np.frombuffer(b"".join(texts), np.uint8), offsets, np.array(last), n)
+    cover = lambda spans: {(t, p) for t, a, e in spans for p in range(a, e)}
+    starts = [(t, i) for t, x in enumerate(texts) for i in range(last[t] + 1)]
+    common = lambda x, y: next((k for k in range(min(len(x), len(y))) if x[k] != y[k]), min(len(x), len(y)))
+    best = {(t, i): max([common(texts[t][i:], texts[u][j:]) for u, j in starts if (u, j) != (t, i)], default=0) for t, i in starts}
+    for far in (n, n + 3):
+        got = [(t, a, e) for some in [length >= far] for t, a, e in zip(*suffixes._spans(place[some], place[some] + length[some], offsets), strict=True)]
+        assert cover(got) == cover([(t, i, i + x) for (t, i), x in best.items() if x >= far])
 
 
 def test_edges(spark):
     assert suffixes.remove_repeats(spark.createDataFrame([], "doc_id long, text string, span long")).count() == 0
     long = "".join(chr(97 + i * i % 23) + str(i) for i in range(400))
     df = spark.createDataFrame([(None, long), (1, "x" + long), (2, None), (2, ""), (3, "a" * 401), (4, "b" * 400)], "doc_id long, text string")
-    got = sorted((r.doc_id or 0, r.n_bytes, r.n_removed) for r in suffixes.remove_repeats(df).collect())
+    got = sorted((r.doc_id or 0, r.n_bytes, r.n_removed, r.passage_bytes) for r in suffixes.remove_repeats(df).collect())
     n = len(long)
-    assert got == [(0, n, n), (1, n + 1, n), (2, 0, 0), (2, 0, 0), (3, 401, 401), (4, 400, 0)]
+    assert got == [(0, n, n, n), (1, n + 1, n, n), (2, 0, 0, 0), (2, 0, 0, 0), (3, 401, 401, 401), (4, 400, 0, 400)]
+
+
+def test_columns_of_any_name_stay(spark):
+    names = ["doc", "TAG", "spans", "_doc", "_tag", "_spans", "some", "_some", "id", "_id", "hash", "_hash", "text_", "window"]
+    long = "".join(chr(97 + i * i % 23) + str(i) for i in range(400))
+    df = spark.createDataFrame([(i, t, *names) for i, t in enumerate([long, "x" + long, None, "", "short text of a few words"])], "doc_id long, text string, " + ", ".join(f"`{x}` string" for x in names))
+    bench = spark.createDataFrame([(1, "of a few words", "x")], "item_id long, text string, _id string")
+    for out in (suffixes.cut_repeats(df, 240, 80), jaccard.keep_one(df), decontamination.clean(df, bench)):
+        rows = out.collect()
+        assert out.columns == df.columns and rows and all(list(r)[2:] == names for r in rows)
 
 
 def test_a_text_of_more_than_16_mib(spark):

@@ -53,13 +53,13 @@ def test_cells_do_not_depend_on_pieces(monkeypatch):
     data[rng.integers(0, 6000, 600)] = 32
     offsets = np.array([0, 0, 30, 2500, 2519, 5990, 6000])
     start, end, at = textkit.words(data, offsets)
-    for n, k in ((20, 6), (40, 16)):
+    for n, k, far in ((20, 6, None), (40, 16, None), (20, 6, 35)):
         codes = textkit.BYTE_CODES[data]
-        whole, words = textkit.anchored_cells(codes, offsets, n, k), textkit.word_codes(data, start, end)
+        whole, words = textkit.anchored_cells(codes, offsets, n, k, far), textkit.word_codes(data, start, end)
         for piece in (1, 41, 100, 997):
             with monkeypatch.context() as m:
                 m.setattr(textkit, "PIECE", piece)
-                got = textkit.anchored_cells(codes, offsets, n, k)
+                got = textkit.anchored_cells(codes, offsets, n, k, far)
                 assert all((got[x] == whole[x]).all() and len(got[x]) == len(whole[x]) for x in whole)
                 assert (textkit.word_codes(data, start, end) == words).all()
 

@@ -7,17 +7,25 @@ import string
 _LOWER = f"translate(coalesce(text, ''), '{string.ascii_uppercase}', '{string.ascii_lowercase}')"
 _BLANK = r"'[^\x20\x09-\x0D]+'"
 
-#: every byte as two hexadecimal digits, so that places count bytes
-op2_suffix_dedup = """
-WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
-w AS (SELECT doc_id, s, md5(substr(h, 2 * s + 1, 800)) AS g FROM (SELECT doc_id, h, unnest(range(0, (length(h) // 2 - 399)::BIGINT)) AS s FROM d WHERE length(h) >= 800)),
+
+
+def _repeated(n: int) -> str:
+    """SQL of (doc_id, removed, spans, kept): bytes in strings of n bytes that start elsewhere too."""
+    return f"""(WITH w AS (SELECT doc_id, s, md5(substr(h, 2 * s + 1, {2 * n})) AS g FROM (SELECT doc_id, h, unnest(range(0, (length(h) // 2 - {n - 1})::BIGINT)) AS s FROM d WHERE length(h) >= {2 * n})),
 r AS (SELECT doc_id, s FROM w JOIN (SELECT g FROM w GROUP BY g HAVING count(*) > 1) USING (g)),
-e AS (SELECT doc_id, s, CASE WHEN s > lag(s) OVER (PARTITION BY doc_id ORDER BY s) + 400 THEN 1 ELSE 0 END AS new FROM r),
+e AS (SELECT doc_id, s, CASE WHEN s > lag(s) OVER (PARTITION BY doc_id ORDER BY s) + {n} THEN 1 ELSE 0 END AS new FROM r),
 k AS (SELECT doc_id, s, sum(new) OVER (PARTITION BY doc_id ORDER BY s) AS k FROM e),
-p AS (SELECT doc_id, min(s) AS a, max(s) + 400 AS z FROM k GROUP BY doc_id, k),
-q AS (SELECT *, lead(a) OVER (PARTITION BY doc_id ORDER BY a) AS next, row_number() OVER (PARTITION BY doc_id ORDER BY a) AS i FROM p),
-t AS (SELECT doc_id, sum(z - a)::BIGINT AS removed, count(*) AS spans, string_agg(CASE WHEN i = 1 THEN substr(h, 1, 2 * a) ELSE '' END || substr(h, 2 * z + 1, 2 * (coalesce(next, length(h) // 2) - z)), '' ORDER BY a) AS kept FROM q JOIN d USING (doc_id) GROUP BY doc_id)
-SELECT doc_id, (length(h) // 2)::BIGINT AS n_bytes, coalesce(removed, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans, sha256(unhex(coalesce(kept, h))) AS kept_sha256 FROM d LEFT JOIN t USING (doc_id)
+p AS (SELECT doc_id, min(s) AS a, max(s) + {n} AS z FROM k GROUP BY doc_id, k),
+q AS (SELECT *, lead(a) OVER (PARTITION BY doc_id ORDER BY a) AS next, row_number() OVER (PARTITION BY doc_id ORDER BY a) AS i FROM p)
+SELECT doc_id, sum(z - a)::BIGINT AS removed, count(*) AS spans, string_agg(CASE WHEN i = 1 THEN substr(h, 1, 2 * a) ELSE '' END || substr(h, 2 * z + 1, 2 * (coalesce(next, length(h) // 2) - z)), '' ORDER BY a) AS kept FROM q JOIN d USING (doc_id) GROUP BY doc_id)"""
+
+
+#: every byte as two hexadecimal digits, so that places count bytes
+op2_suffix_dedup = f"""
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents), t AS {_repeated(400)}, u AS {_repeated(240)}
+SELECT doc_id, (length(h) // 2)::BIGINT AS n_bytes, coalesce(t.removed, 0)::BIGINT AS n_removed, coalesce(t.spans, 0)::BIGINT AS n_spans, sha256(unhex(coalesce(t.kept, h))) AS kept_sha256,
+  coalesce(u.removed, 0)::BIGINT AS passage_bytes, coalesce(u.spans, 0)::BIGINT AS n_passages
+FROM d LEFT JOIN t USING (doc_id) LEFT JOIN u USING (doc_id)
 """
 
 op3_jaccard_join = f"""

@@ -6,13 +6,15 @@ stack: each interval of suffixes that share a prefix is one node of the tree,
 and a node whose suffixes are preceded by different symbols can't be extended to
 the left, so it is a maximal repeat with all its occurrences.
 
-Over a corpus, ``remove_repeats`` first lets Spark find the windows' cells whose
+Over a corpus, ``repeat_spans`` first lets Spark find the windows' cells whose
 anchor occurs elsewhere (``windows``): cells with equal prints repeat whole.
-Only one representative of each different cell that shares its key with another
-goes to a suffix array, in tasks that hold a bounded number of bytes. Keys with
-more representatives than ``GROUP`` are first split by the bytes that all
-windows of a sub-cell share, ever narrower, down to single windows, so that no
-group has to fit one task and none is cut short.
+One representative of each different cell that shares its key with another goes
+to a suffix array, in tasks that hold a bounded number of bytes; there the
+interval tree tells how long each window's longest repeat is, and with it which
+bytes lie in repeats of one length and which in longer ones. Keys with more
+representatives than ``GROUP`` are first split by the bytes that all windows of
+a sub-cell share, ever narrower, down to single windows, so that no group has to
+fit one task and none is cut short.
 """
 
 from __future__ import annotations
@@ -27,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .stored import stored
 from .textkit import BYTE_CODES, U64, Rolling, anchored_cells, merge_spans, mix
-from .windows import NULL_ID, by_document, by_print, cells, identified, list_parts, packed, removal, shared_cells, symbols, unpack
+from .windows import NULL_ID, by_document, by_print, cells, free_names, identified, list_parts, packed, removal, shared_cells, symbols, unpack
 
 #: bytes of context in one suffix array, and representatives of one key
 BATCH_BYTES, GROUP = 1 << 20, 1024
@@ -146,36 +148,57 @@ def repeats_in(texts: list[bytes], least: int) -> list[tuple[bytes, list[tuple[i
     return out
 
 
-def covered(data: np.ndarray, offsets: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Maximal spans of the concatenation that repeats of ``n`` bytes cover."""
+def longest(data: np.ndarray, offsets: np.ndarray, last: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(place, length) of maximal repeats of ``n`` bytes or more, the longest at each place that begins one.
+
+    Only places up to ``last`` in each string begin one, and only they count as
+    others' occurrences; a repeat may reach on behind them.
+    """
     array = SuffixArray(data, offsets)
-    reach = np.zeros(len(data), np.int64)  # by slot
-    for size, first, last in maximal_repeats(array, n):
-        part = reach[first : last + 1]
+    text = np.repeat(np.arange(len(last)), np.diff(offsets))
+    slots = np.flatnonzero((array.order - offsets[text[array.order]]) <= last[text[array.order]])
+    if len(slots) < 2:
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    # neighbours share what all between them share
+    array.lcp = np.r_[0, np.minimum.reduceat(array.lcp[: slots[-1] + 1], slots[:-1] + 1)]
+    array.order = array.order[slots]
+    reach = np.zeros(len(slots), np.int64)
+    for size, first, end in maximal_repeats(array, n):
+        part = reach[first : end + 1]
         np.maximum(part, size, out=part)
     hit = np.flatnonzero(reach)
-    return merge_spans(array.order[hit], array.order[hit] + reach[hit])
+    return array.order[hit], reach[hit]
 
 
 # over a corpus ---------------------------------------------------------------
 
 
-def _contexts(texts: DataFrame, n: int) -> DataFrame:
-    """(grp, doc, tag, s0, text): the bytes that each asked cell's windows cover."""
+#: the mark of a span that lies in repeats of ``far`` bytes
+FAR = 1 << 31
+_CONTEXT = "grp long, doc long, tag int, s0 int, windows int, part binary"
+_TYPES = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+_NAMES = [x.split()[0] for x in _CONTEXT.split(", ")]
+
+
+def _contexts(texts: DataFrame) -> DataFrame:
+    """(grp, doc, tag, s0, windows, part): the context of each asked cell, and its windows."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             lo, hi, values = list_parts(b.column(3))
-            key, s0, s1 = (values.field(x).to_numpy(zero_copy_only=False) for x in range(3))
-            raws = [x.encode() for x in b.column(2).to_pylist()]
-            row = np.repeat(np.arange(b.num_rows), hi - lo)
-            found = [raws[r][x : y + n] for r, x, y in zip(row.tolist(), s0.tolist(), s1.tolist(), strict=True)]
-            yield pa.record_batch([pa.array(key), b.column(0).take(pa.array(row)), b.column(1).take(pa.array(row)), pa.array(s0), pa.array(found, pa.binary())], names=["grp", "doc", "tag", "s0", "part"])
+            key, s0, s1, s2 = (values.field(x).to_numpy(zero_copy_only=False) for x in range(4))
+            for at in range(0, b.num_rows, 256):
+                rows = range(at, min(at + 256, b.num_rows))
+                raws = _raws(b.column(2).slice(at, len(rows)))
+                row = np.repeat(np.array(rows), hi[at : at + len(rows)] - lo[at : at + len(rows)])
+                cell = slice(lo[at], hi[rows[-1]])
+                found = [raws[r - at][x:z] for r, x, z in zip(row.tolist(), s0[cell].tolist(), s2[cell].tolist(), strict=True)]
+                yield pa.record_batch([pa.array(key[cell]), b.column(0).take(pa.array(row)), b.column(1).take(pa.array(row)), pa.array(s0[cell]), pa.array(s1[cell] - s0[cell] + 1), pa.array(found, pa.binary())], names=_NAMES)
 
-    return texts.mapInArrow(run, "grp long, doc long, tag int, s0 int, part binary")
+    return texts.mapInArrow(run, _CONTEXT)
 
 
-def _narrower(contexts: DataFrame, n: int, width: int) -> DataFrame:
+def _narrower(contexts: DataFrame, n: int, far: int, width: int) -> DataFrame:
     """Contexts cut into sub-cells of ``width`` windows at places that their group's anchor fixes.
 
     Two windows that are equal lie in sub-cells with equal cores (the bytes that
@@ -185,29 +208,31 @@ def _narrower(contexts: DataFrame, n: int, width: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out: list[tuple] = []
-            for g, doc, tag, s0, part in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                codes = BYTE_CODES[np.frombuffer(part, np.uint8)]
-                rolling = Rolling(codes)
+            for g, doc, tag, s0, windows, part in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                codes = BYTE_CODES[np.frombuffer(part, np.uint8, windows + n - 1)]
                 if width == 1:
-                    cut = np.arange(len(part) - n + 2)
+                    a = e = np.arange(windows)
+                    core = mix(Rolling(codes).slices(a, e + n))
                 else:  # sub-cells by the anchor of a window's first bytes' gram: content alone decides
-                    k = n - width + 1
-                    c = anchored_cells(codes, np.array([0, len(codes)]), n, k)
-                    cut = np.r_[c["s0"], c["s1"][-1:] + 1]
-                a, e = cut[:-1], cut[1:] - 1
-                if width == 1:
-                    core = mix(rolling.slices(a, e + n))
-                else:
-                    core = c["key"]
+                    c = anchored_cells(codes, np.array([0, len(codes)]), n, n - width + 1)
+                    a, e, core = c["s0"], c["s1"], c["key"]
                 for x, y, h in zip(a.tolist(), e.tolist(), mix(core ^ mix(np.full(len(a), g, np.int64).view(U64))).view(np.int64).tolist(), strict=True):
-                    out.append((h, doc, tag, s0 + x, part[x : y + n]))
-            columns = list(zip(*out, strict=True)) or [[]] * 5
-            yield pa.record_batch([pa.array(x, t) for x, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()), strict=True)], names=["grp", "doc", "tag", "s0", "part"])
+                    out.append((h, doc, tag, s0 + x, y - x + 1, part[x : y + far]))
+            columns = list(zip(*out, strict=True)) or [[]] * len(_TYPES)
+            yield pa.record_batch([pa.array(x, t) for x, t in zip(columns, _TYPES, strict=True)], names=_NAMES)
 
-    return contexts.mapInArrow(run, "grp long, doc long, tag int, s0 int, part binary")
+    return contexts.mapInArrow(run, _CONTEXT)
 
 
-def _array_spans(contexts: DataFrame, n: int) -> DataFrame:
+def _spans(start: np.ndarray, end: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(string, start, end) of maximal spans within each string of a concatenation."""
+    string = np.searchsorted(offsets, start, "right") - 1
+    start, end = merge_spans(start + string, end + string)  # a gap between strings, so that none meet
+    string = np.searchsorted(offsets[:-1] + np.arange(len(offsets) - 1), start, "right") - 1
+    return string, start - string - offsets[string], end - string - offsets[string]
+
+
+def _array_spans(contexts: DataFrame, n: int, far: int) -> DataFrame:
     """(doc, tag, span): bytes that repeat within a group, by suffix arrays over whole groups."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,33 +240,31 @@ def _array_spans(contexts: DataFrame, n: int) -> DataFrame:
         size = 0
 
         def solve() -> pa.RecordBatch:
+            doc, tag, s0, windows = (np.array([x[k] for x in held]) for k in range(1, 5))
+            data = np.frombuffer(b"".join(x[5] for x in held), np.uint8)
+            offsets = np.cumsum([0, *(len(x[5]) for x in held)])
             # a context none of whose windows occurs twice here needs no sorting
-            data = np.frombuffer(b"".join(x[4] for x in held), np.uint8)
-            offsets = np.cumsum([0, *(len(x[4]) for x in held)])
             window = mix(Rolling(BYTE_CODES[data]).grams(n))
             text = np.repeat(np.arange(len(held)), np.diff(offsets))[: len(window)]
-            ok = np.flatnonzero(np.arange(len(window)) + n <= offsets[1:][text])
+            ok = np.flatnonzero(np.arange(len(window)) - offsets[text] < windows[text])
             _, back, count = np.unique(window[ok], return_inverse=True, return_counts=True)
             twice = ok[count[back] > 1]
-            if not len(twice):
+            who, first, times = np.unique(text[twice], return_index=True, return_counts=True)
+            if not len(who):
                 return pa.record_batch([pa.array([], pa.int64()), pa.array([], pa.int32()), pa.array([], pa.int64())], names=["doc", "tag", "span"])
             # what the repeated windows of a context cover, from the first to the last
-            who, first, times = np.unique(text[twice], return_index=True, return_counts=True)
-            lo, hi = twice[first], twice[first + times - 1] + n
-            cut = np.concatenate([data[x:y] for x, y in zip(lo, hi, strict=True)])
-            at = np.r_[0, np.cumsum(hi - lo)]
-            start, end = covered(cut, at, n)
-            # a run that touches the next context's is split at its edge
-            points = np.unique(np.concatenate([start, end, at]))
-            a, e = points[:-1], points[1:]
-            inside = np.searchsorted(start, a, "right") - 1
-            keep = (inside >= 0) & (e <= end[np.maximum(inside, 0)])
-            a, e = a[keep], e[keep]
-            c = np.searchsorted(at, a, "right") - 1
-            base = np.array([held[w][3] for w in who.tolist()]) + lo - offsets[who]
-            span = (a - at[c] + base[c]) << 32 | (e - at[c] + base[c])
-            rows = who[c].tolist()
-            return pa.record_batch([pa.array([held[r][1] for r in rows], pa.int64()), pa.array([held[r][2] for r in rows], pa.int32()), pa.array(span)], names=["doc", "tag", "span"])
+            lo, hi = twice[first], twice[first + times - 1]
+            end = np.minimum(hi + far, offsets[who + 1])
+            at = np.r_[0, np.cumsum(end - lo)]
+            place, length = longest(np.concatenate([data[x:y] for x, y in zip(lo, end, strict=True)]), at, hi - lo, n)
+            base = s0[who] + lo - offsets[who]
+            rows, spans = [], []
+            for mark, some in ((0, length >= n), (FAR, length >= far)) if far > n else ((0, length >= n),):
+                c, a, e = _spans(place[some], place[some] + length[some], at)
+                rows.append(who[c])
+                spans.append((a + base[c]) << 32 | e + base[c] | mark)
+            row = np.concatenate(rows)
+            return pa.record_batch([pa.array(doc[row]), pa.array(tag[row].astype(np.int32)), pa.array(np.concatenate(spans))], names=["doc", "tag", "span"])
 
         last = None
         for b in batches:
@@ -251,7 +274,7 @@ def _array_spans(contexts: DataFrame, n: int) -> DataFrame:
                     held, size = [], 0
                 last = r[0]
                 held.append(r)
-                size += len(r[4])
+                size += len(r[5])
         if held:
             yield solve()
 
@@ -259,87 +282,108 @@ def _array_spans(contexts: DataFrame, n: int) -> DataFrame:
     return contexts.repartition(F.xxhash64("grp")).sortWithinPartitions("grp", "doc", "s0").mapInArrow(run, "doc long, tag int, span long")
 
 
-def partial_repeats(contexts: DataFrame, n: int, widths: tuple[int, ...] = (32, 1), group: int = GROUP) -> DataFrame:
+def partial_repeats(contexts: DataFrame, n: int, far: int, widths: tuple[int, ...] = (32, 1), group: int = GROUP) -> DataFrame:
     """(doc, tag, span) of the bytes in windows that occur in two contexts of one group."""
     found: DataFrame | None = None
     for width in widths:
         big = contexts.groupBy("grp").agg(F.count(F.lit(1)).alias("size")).where(F.col("size") > group).select("grp")
         large = bool(big.take(1))
-        spans = _array_spans(contexts.join(big, "grp", "left_anti") if large else contexts, n)
+        spans = _array_spans(contexts.join(big, "grp", "left_anti") if large else contexts, n, far)
         found = spans if found is None else found.unionByName(spans)
         if not large:
             return found
-        contexts = stored(_narrower(contexts.join(big, "grp", "left_semi"), n, width))
-    # groups are single windows now: all of one with two members repeat
-    twice = contexts.groupBy("grp").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("grp")
-    return found.unionByName(contexts.join(twice, "grp", "left_semi").select("doc", "tag", packed("s0", F.col("s0").cast("long") + n).alias("span")))
+        contexts = stored(_narrower(contexts.join(big, "grp", "left_semi"), n, far, width))
+    # groups are single windows now: all of one with two members repeat, and those of ``far`` bytes if two of these are equal
+    twice = lambda rows: rows.groupBy("grp").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("grp")
+    found = found.unionByName(contexts.join(twice(contexts), "grp", "left_semi").select("doc", "tag", packed("s0", F.col("s0").cast("long") + n).alias("span")))
+    if far > n:
+        whole = contexts.where(F.octet_length("part") == far).select("doc", "tag", "s0", F.xxhash64("grp", "part").alias("grp"))
+        found = found.unionByName(whole.join(twice(whole), "grp", "left_semi").select("doc", "tag", packed("s0", (F.col("s0").cast("long") + far).bitwiseOR(F.lit(FAR))).alias("span")))
+    return found
 
 
-def remove_repeats(docs: DataFrame, n: int = 400, k: int = 128, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def remove_repeats(docs: DataFrame, n: int = 400, passage: int = 240, k: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Removes every byte covered by an ``n``-byte string that starts at another place too.
 
     Gives for each row of ``docs``: doc_id, n_bytes, n_removed, n_spans and
-    kept_sha256; see ``repeat_spans`` for what counts.
+    kept_sha256, and what repeats of ``passage`` bytes (no more than ``n``) cover:
+    passage_bytes, and n_passages, their maximal runs. See ``repeat_spans`` for
+    what counts.
     """
 
     def finish(column: pa.Array, spans: list[np.ndarray]) -> dict[str, list]:
-        out: dict[str, list] = {"n_bytes": [], "n_removed": [], "n_spans": [], "kept_sha256": []}
-        for raw, (a, e) in zip(_raws(column), merged_spans(column, spans, n, k), strict=True):
+        out: dict[str, list] = {"n_bytes": [], "n_removed": [], "n_spans": [], "kept_sha256": [], "passage_bytes": [], "n_passages": []}
+        for raw, ((x, y), (a, e)) in zip(_raws(column), merged_spans(column, spans, passage, k, n), strict=True):
             edges = [0, *np.column_stack([a, e]).ravel().tolist(), len(raw)]
             kept = hashlib.sha256()
-            for x, y in zip(edges[::2], edges[1::2], strict=True):
-                kept.update(raw[x:y])
-            for c, v in zip(out.values(), (len(raw), int((e - a).sum()), len(a), kept.hexdigest()), strict=True):
+            for i, j in zip(edges[::2], edges[1::2], strict=True):
+                kept.update(raw[i:j])
+            for c, v in zip(out.values(), (len(raw), int((e - a).sum()), len(a), kept.hexdigest(), int((y - x).sum()), len(x)), strict=True):
                 c.append(v)
         return out
 
     texts = identified(docs, id_col, text_col)
-    return removal(texts, repeat_spans(texts, n, k), finish, "n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return removal(texts, repeat_spans(texts, passage, k, n), finish, "n_bytes long, n_removed long, n_spans long, kept_sha256 string, passage_bytes long, n_passages long")
 
 
-def repeat_spans(texts: DataFrame, n: int, k: int) -> DataFrame:
+def repeat_spans(texts: DataFrame, n: int, k: int, far: int | None = None) -> DataFrame:
     """(doc, tag, span) of bytes repeated between texts, or partly within one.
 
-    Windows are judged on the input; overlaps count; no window crosses a text's
-    end; a null text is empty. Repeated rows are texts of their own, so each of
-    them repeats the other. Cells that recur whole within one text are left to
-    ``merged_spans``.
+    Spans lie in strings of ``n`` bytes that start at another place too, those
+    marked ``FAR`` in strings of ``far`` bytes (at least ``n``). Windows are judged
+    on the input; overlaps count; no window crosses a text's end; a null text is
+    empty. Repeated rows are texts of their own, so each of them repeats the
+    other. Cells that recur whole within one text are left to ``merged_spans``.
     """
-    shared = shared_cells(cells(texts, "byte", n, k))
+    far = far or n
+    shared = shared_cells(cells(texts, "byte", n, k, far))
     mixed = by_print(shared)
-    span = packed("s0", F.col("s1").cast("long") + n).alias("span")
-    whole = [shared.where("not mixed").select("doc", "tag", span), mixed.where("n > 1").select("doc", "tag", span)]
-    asked = mixed.where("doc = first_doc").groupBy("doc", "tag").agg(F.collect_list(F.struct("key", "s0", "s1")).alias("cells"))
-    contexts = stored(_contexts(texts.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "cells"), n))
-    return whole[0].unionByName(whole[1]).unionByName(partial_repeats(contexts, n))
+    near = packed("s0", F.col("s1").cast("long") + n)
+    long = F.when(F.col("s2") - F.col("s0") >= far, packed("s0", F.col("s2").cast("long").bitwiseOR(F.lit(FAR))))
+    both = F.array_compact(F.array(near, long)) if far > n else F.array(near)
+    whole = [x.select("doc", "tag", F.explode(both).alias("span")) for x in (shared.where("not mixed"), mixed.where("n > 1"))]
+    asked = mixed.where("doc = first_doc").groupBy("doc", "tag").agg(F.collect_list(F.struct("key", "s0", "s1", "s2")).alias("cells"))
+    contexts = stored(_contexts(texts.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "cells")))
+    return whole[0].unionByName(whole[1]).unionByName(partial_repeats(contexts, n, far))
 
 
 def _raws(column: pa.Array) -> list[bytes]:
     return [x.encode() for x in column.to_pylist()]
 
 
-def merged_spans(column: pa.Array, spans: list[np.ndarray], n: int, k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Maximal spans of each text: those found, and cells that recur within the text."""
+def merged_spans(column: pa.Array, spans: list[np.ndarray], n: int, k: int, far: int | None = None) -> Iterator[list[tuple[np.ndarray, np.ndarray]]]:
+    """Maximal spans of each text, those of repeats of ``n`` bytes and of ``far``: spans found, and cells that recur within the text."""
+    far = far or n
     for i, j, codes, at, _ in symbols(column, "byte"):
-        c = anchored_cells(codes, at, n, k)
+        c = anchored_cells(codes, at, n, k, far)
         _, back, count = np.unique(mix(c["key"] + mix(c["text"].astype(U64) + U64(1))) ^ c["print"], return_inverse=True, return_counts=True)
         again = np.flatnonzero(count[back] > 1)
-        own = c["s0"][again] << 32 | c["s1"][again] + n
-        cut = np.searchsorted(c["text"][again], np.arange(j - i + 1))
+        s0, s1, s2, text = (c[x][again] for x in ("s0", "s1", "s2", "text"))
+        long = (s2 - s0 >= far) & (far > n)
+        own = np.concatenate([s0 << 32 | s1 + n, s0[long] << 32 | s2[long] | FAR])
+        text = np.concatenate([text, text[long]])
+        own = own[np.argsort(text, kind="stable")]
+        cut = np.searchsorted(np.sort(text), np.arange(j - i + 1))
         for t in range(j - i):
-            yield unpack(np.concatenate([spans[i + t], own[cut[t] : cut[t + 1]]]) if cut[t] < cut[t + 1] else spans[i + t])
+            every = np.concatenate([spans[i + t], own[cut[t] : cut[t + 1]]]) if cut[t] < cut[t + 1] else spans[i + t]
+            marked = every & FAR != 0
+            near = unpack(every[~marked])
+            yield [near, unpack(every[marked] ^ FAR) if far > n else near]
 
 
 def cut_repeats(docs: DataFrame, n: int = 400, k: int = 128, id_col: str = "doc_id", text_col: str = "text", chars_col: str = "n_chars") -> DataFrame:
     """``docs``, all rows and columns, without the characters that lie wholly in a repeat of ``n`` bytes.
 
     A character that is only partly in a repeat stays; ``chars_col``, if there,
-    is the new number of characters; null texts stay null.
+    is the new number of characters; null texts stay null. Repeated rows are
+    texts of their own, so each repeats the other; a null id counts as the
+    smallest; an empty table stays empty.
     """
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     key = identified(docs, id_col, text_col)
-    tagged = docs.withColumns({"_doc": F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), "_tag": F.hash(text)})
-    spans = by_document(repeat_spans(key, n, k)).select(F.col("doc").alias("_doc"), F.col("tag").alias("_tag"), F.col("spans").alias("_spans"))
+    doc_, tag_, spans_ = free_names(docs, "doc", "tag", "spans")
+    tagged = docs.withColumns({doc_: F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)), tag_: F.hash(text)})
+    spans = by_document(repeat_spans(key, n, k)).select(F.col("doc").alias(doc_), F.col("tag").alias(tag_), F.col("spans").alias(spans_))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -350,7 +394,7 @@ def cut_repeats(docs: DataFrame, n: int = 400, k: int = 128, id_col: str = "doc_
             values = values.to_numpy(zero_copy_only=False)
             filled = column.fill_null("")
             texts: list[str | None] = []
-            for raw, there, (a, e) in zip(_raws(filled), column.is_valid().to_pylist(), merged_spans(filled, [values[x:y] for x, y in zip(lo, hi, strict=True)], n, k), strict=True):
+            for raw, there, ((a, e), _) in zip(_raws(filled), column.is_valid().to_pylist(), merged_spans(filled, [values[x:y] for x, y in zip(lo, hi, strict=True)], n, k), strict=True):
                 out, last = [], 0
                 for x, y in zip(a.tolist(), e.tolist(), strict=True):
                     while x < y and raw[x] & 0xC0 == 0x80:  # inside a character
@@ -366,4 +410,4 @@ def cut_repeats(docs: DataFrame, n: int = 400, k: int = 128, id_col: str = "doc_
                 columns[chars_col] = pa.array([None if t is None else len(t) for t in texts], pa.int64()).cast(columns[chars_col].type)
             yield pa.record_batch(list(columns.values()), names=list(columns))
 
-    return tagged.join(spans, ["_doc", "_tag"], "left").select(*docs.columns, "_spans").mapInArrow(run, docs.schema)
+    return tagged.join(spans, [doc_, tag_], "left").select(*docs.columns, spans_).mapInArrow(run, docs.schema)

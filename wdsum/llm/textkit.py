@@ -136,42 +136,45 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(out[: len(x) - w + 1], out[w - size :][: len(x) - w + 1]) if size < w else out
 
 
-def anchored_cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int) -> dict[str, np.ndarray]:
+def anchored_cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int, far: int | None = None) -> dict[str, np.ndarray]:
     """Groups the windows of ``n`` symbols of every text by their anchor.
 
     A window's anchor is its k-gram of smallest hash, the leftmost of equals, so
     it depends on the window's content alone: equal windows have equal anchor
     keys. Neighbouring windows with the same anchor make one *cell*; every
     window lies in exactly one. Gives, per cell: text, first and last window
-    start (within the text), the anchor's 64-bit key, and a 64-bit print of all
-    symbols that the cell's windows cover together with the anchor's place.
+    start and where its context ends (all within the text), the anchor's 64-bit
+    key, and a 64-bit print of the context together with the anchor's place. The
+    context is what windows of ``far`` symbols (``n`` if not given) from the same
+    starts cover, up to the text's end.
 
     More than ``PIECE`` symbols are done piece by piece, with the same cells:
-    a piece's last cell may go on, so the next piece starts at that cell.
+    the next piece starts at the first cell whose context may go on.
     """
-    size = max(PIECE, 2 * n)  # a cell has n - k + 1 windows at most: a piece ends in its second cell or later
+    far = far or n
+    size = max(PIECE, 2 * (n + far))  # a cell has n - k + 1 windows at most: some cells of a piece are whole
     if len(codes) <= size:
-        return _cells(codes, offsets, n, k)
+        return _cells(codes, offsets, n, k, far)
     parts = []
     for t, (start, end) in enumerate(zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)):
         at = start
         while True:
             stop = min(at + size, end)
-            part = _cells(codes[at:stop], np.array([0, stop - at]), n, k)
+            part = _cells(codes[at:stop], np.array([0, stop - at]), n, k, far)
             more = stop < end
-            last = int(part["s0"][-1]) if more else 0
-            if more:
-                part = {x: v[:-1] for x, v in part.items()}
-            parts.append(part | {"text": part["text"] + t, "s0": part["s0"] + (at - start), "s1": part["s1"] + (at - start)})
+            whole = int(np.searchsorted(part["s1"], stop - at - far)) if more else len(part["s1"])
+            last = int(part["s0"][whole]) if more else 0
+            part = {x: v[:whole] for x, v in part.items()}
+            parts.append(part | {"text": part["text"] + t} | {x: part[x] + (at - start) for x in ("s0", "s1", "s2")})
             if not more:
                 break
             at += last
     return {x: np.concatenate([p[x] for p in parts]) for x in parts[0]}
 
 
-def _cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int) -> dict[str, np.ndarray]:
+def _cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int, far: int) -> dict[str, np.ndarray]:
     """``anchored_cells`` of one piece."""
-    empty = {x: np.zeros(0, np.int64) for x in ("text", "s0", "s1")} | {x: np.zeros(0, U64) for x in ("key", "print")}
+    empty = {x: np.zeros(0, np.int64) for x in ("text", "s0", "s1", "s2")} | {x: np.zeros(0, U64) for x in ("key", "print")}
     if len(codes) < n:
         return empty
     rolling = Rolling(codes)
@@ -189,8 +192,10 @@ def _cells(codes: np.ndarray, offsets: np.ndarray, n: int, k: int) -> dict[str,
     if len(s0) == 0:
         return empty
     a, doc = at[s0], text[s0]
-    shape = ((a - s0) * 65536 + (s1 - s0)).astype(U64)
-    return {"text": doc, "s0": s0 - offsets[doc], "s1": s1 - offsets[doc], "key": gram[a], "print": mix(rolling.slices(s0, s1 + n) ^ mix(shape))}
+    s2 = np.minimum(s1 + far, offsets[1:][doc])
+    shape = ((a - s0) << 40 | (s1 - s0) << 20 | (s2 - s1)).astype(U64)
+    base = offsets[doc]
+    return {"text": doc, "s0": s0 - base, "s1": s1 - base, "s2": s2 - base, "key": gram[a], "print": mix(rolling.slices(s0, s2) ^ mix(shape))}
 
 
 def crc_of_id(doc_id) -> int:

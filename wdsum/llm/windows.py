@@ -59,24 +59,25 @@ def symbols(batch_text: pa.Array, unit: str) -> Iterator[tuple[int, int, np.ndar
             yield i, j, word_codes(part, start, end), at_word, (part, at, start, end)
 
 
-def cells(identified_docs: DataFrame, unit: str, n: int, k: int) -> DataFrame:
-    """(doc, tag, key, print, s0, s1): each different cell of each text, at its first place."""
+def cells(identified_docs: DataFrame, unit: str, n: int, k: int, far: int | None = None) -> DataFrame:
+    """(doc, tag, key, print, s0, s1), and s2 if ``far`` is given: each different cell of each text, at its first place."""
+    places = ["s0", "s1", "s2"] if far else ["s0", "s1"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             doc, tag = b.column(0).to_numpy(), b.column(1).to_numpy()
             for i, _, codes, at, _ in symbols(b.column(2), unit):
-                c = anchored_cells(codes, at, n, k)
+                c = anchored_cells(codes, at, n, k, far)
                 row = c["text"] + i
                 # rows are in text order: the first of equal ones has the smallest start
                 _, first = np.unique(mix(c["key"] + mix(row.astype(U64) + U64(1))) ^ c["print"], return_index=True)
                 first.sort()
                 yield pa.record_batch(
-                    [pa.array(doc[row[first]]), pa.array(tag[row[first]]), pa.array(c["key"][first].view(np.int64)), pa.array(c["print"][first].view(np.int64)), pa.array(c["s0"][first].astype(np.int32)), pa.array(c["s1"][first].astype(np.int32))],
-                    names=["doc", "tag", "key", "print", "s0", "s1"],
+                    [pa.array(doc[row[first]]), pa.array(tag[row[first]]), pa.array(c["key"][first].view(np.int64)), pa.array(c["print"][first].view(np.int64)), *(pa.array(c[x][first].astype(np.int32)) for x in places)],
+                    names=["doc", "tag", "key", "print", *places],
                 )
 
-    return identified_docs.mapInArrow(run, "doc long, tag int, key long, print long, s0 int, s1 int")
+    return identified_docs.mapInArrow(run, "doc long, tag int, key long, print long, " + ", ".join(f"{x} int" for x in places))
 
 
 def shared_cells(found: DataFrame) -> DataFrame:
