@@ -39,9 +39,45 @@ def test_repeats_and_merging_change_nothing(spark, registers):
     assert rows(relational.union_registers(parts, [])) == whole
 
 
-def test_threshold_plan_equals_dense_with_streams(spark):
-    df = stream(spark, 500).withColumn("s", F.col("x").cast("int") % 3)
-    assert rows(S.integer_registers(df, P, ["s"], plan="threshold").select("s", "j", "y")) == rows(S.integer_registers(df, P, ["s"]).select("s", "j", "y"))
+def test_threshold_plan_equals_ordered_with_streams(spark, monkeypatch):
+    df = stream(spark, 3000).withColumns({"s": F.col("x").cast("int") % 3, "t": F.when(F.col("x").cast("int") % 2 == 0, "a")})
+    for by in ([], ["s"], ["s", "t"], ["t"]):
+        whole = rows(S.integer_registers(df, P, by, plan="ordered").select(*by, "j", "y").fillna("-"))
+        assert rows(S.integer_registers(df, P, by, plan="threshold").select(*by, "j", "y").fillna("-")) == whole
+        rest, _ = S._above_level(S._drawn(df, P, "x", "w", by), P, by)
+        assert rest.count() < df.count()
+    monkeypatch.setattr(S, "HELD_REGISTERS", 20)  # sketches are passed on again and again
+    assert rows(S.integer_registers(df, P, ["s", "t"], plan="ordered").select("s", "t", "j", "y").fillna("-")) == rows(S.integer_registers(df, P, ["s", "t"], plan="threshold").select("s", "t", "j", "y").fillna("-"))
+
+
+def test_floors_keep_every_rise(spark):
+    df = stream(spark, 3000).withColumns({"s0": F.col("x").cast("int") % 3, "day": F.date_add(F.lit("2024-01-01"), (F.col("event_id") / 100).cast("int")), "ntz": F.col("event_id").cast("timestamp").cast("timestamp_ntz"), "name": F.format_string("%09d", "event_id")})
+    for order, by in ((["event_id"], None), (["day", "event_id"], ["s0"]), (["ntz", "event_id"], None), (["name"], None)):
+        projected = live.project(df, order, P, by)
+        some = live.above_floors(projected, df, order, by)
+        assert some.columns == projected.columns and (order == ["name"] or some.count() < projected.count() / 4)
+        assert rows(live.rises(some, order, P, by)) == rows(live.rises(projected, order, P, by))
+    late = df.where("event_id = 5")
+    assert live.above_floors(live.project(late, ["event_id"], P), late, ["event_id"]).count() == 1
+
+
+def test_theory_of_the_running_variance(spark):
+    df = workloads.generated(spark, 1000, partitions=2)
+    many = metrics.replicates(df, range(60))
+    spec = SketchSpec(32)
+    theory = live.var_from_trace(many, ["event_id"], spec, ["seed"]).agg(F.avg("var")).first()[0]
+    found = live.estimate(many, ["event_id"], spec, ["seed"])
+    running, spread = found.agg(F.avg("var"), F.var_samp("est")).first()
+    assert running == pytest.approx(theory, rel=0.1) and spread == pytest.approx(theory, rel=0.5)
+    # by a loop
+    projected = {r.event_id: r for r in live.project(df, ["event_id"], P).collect()}
+    sketch, total = K.LiveSketch(16, P.low, P.high), 0.0
+    for r in sorted(df.collect(), key=lambda r: r.event_id):
+        q = sketch.chance(r.w)
+        total += r.w**2 * (1 - q) / q
+        if (p := projected.get(r.event_id)) is not None:
+            sketch.add(p.j, p.y, p.w)
+    assert live.var_from_trace(df, ["event_id"], P).first().var == pytest.approx(total, rel=1e-9)
 
 
 def test_kernels_keep_streams_apart(spark):

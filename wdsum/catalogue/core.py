@@ -185,14 +185,15 @@ def logbucket_ordered(spark, d):
 @query("SELECT 64::BIGINT AS registers, 64::BIGINT AS equal")
 def logbucket_stop_equals_full(spark, d):
     spec, parts = SketchSpec(m=64), W.parts(spark, d)
-    a, b = (R.merge_rows(S._partials(parts, spec, "x", "w", [], False, stop, "eager", False), []).withColumnRenamed("y", f"y{int(stop)}") for stop in (True, False))
+    drawn = S._drawn(parts, spec, "x", "w", [])
+    a, b = (R.merge_rows(S._partials(drawn, spec, [], False, stop, "eager", False), []).withColumnRenamed("y", f"y{int(stop)}") for stop in (True, False))
     return a.join(b, "j").agg(F.count(F.lit(1)).alias("registers"), F.sum((F.col("y0") == F.col("y1")).cast("long")).alias("equal"))
 
 
 @query("SELECT 64::BIGINT AS registers, 64::BIGINT AS equal")
-def logbucket_threshold_equals_dense(spark, d):
-    a, b = (_integers(spark, d, M, plan).withColumnRenamed("y", plan) for plan in ("dense", "threshold"))
-    return a.join(b, "j").agg(F.count(F.lit(1)).alias("registers"), F.sum((F.col("dense") == F.col("threshold")).cast("long")).alias("equal"))
+def logbucket_threshold_equals_ordered(spark, d):
+    a, b = (_integers(spark, d, M, plan).withColumnRenamed("y", plan) for plan in ("ordered", "threshold"))
+    return a.join(b, "j").agg(F.count(F.lit(1)).alias("registers"), F.sum((F.col("ordered") == F.col("threshold")).cast("long")).alias("equal"))
 
 
 def _pack_sql(b: int) -> str:

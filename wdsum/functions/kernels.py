@@ -89,32 +89,36 @@ class OrderedSketch:
         self.at_worst = int((self.registers == self.worst).sum())
         self.refreshes += 1
 
-    def add(self, keys: np.ndarray, weights: np.ndarray) -> None:
-        """A batch of elements, known by 64-bit keys, with positive weights."""
+    def add(self, keys: np.ndarray, weights: np.ndarray, first: np.ndarray | None = None) -> None:
+        """A batch of elements, known by 64-bit keys, with positive weights.
+
+        ``first``: their smallest variables, if these are known already.
+        """
         if self.tracking == "lazy":
             self._refresh()
-        m = self.m
         self.arrivals += len(keys)
-        if self.early_stop and len(keys):
-            # first variables of the whole batch at once: most elements stop here
+        if first is None:
             u = ((mix_array(keys + U64(_STEP)) >> U64(12)).astype(float) + 0.5) / (1 << 52)
-            first = -np.log(u) / (weights * m)
+            first = -np.log(u) / (weights * self.m)
+        if self.early_stop and len(keys):
+            # most elements stop at their first variable, which is looked at for the whole batch at once
             self.draws += len(keys)
             # the bound only falls during the batch, so what fails now fails later
             go = first < self.worst if self.floats else self._bucket(first) > self.worst
-            keys, weights = keys[go], weights[go]
+            keys, weights, first = keys[go], weights[go], first[go]
             self.draws -= len(keys)
-        for key, w in zip(keys.tolist(), weights.tolist(), strict=True):
-            self._one(key, w)
+        for key, w, r in zip(keys.tolist(), weights.tolist(), first.tolist(), strict=True):
+            self._one(key, w, r)
 
     def _bucket(self, r: np.ndarray) -> np.ndarray:
         return np.clip(np.floor(-np.log2(r)), self.low, self.high)
 
-    def _one(self, key: int, w: float) -> None:
+    def _one(self, key: int, w: float, r: float) -> None:
         slots: dict[int, int] = {}
-        r, m = 0.0, self.m
+        m = self.m
         for k in range(1, m + 1):
-            r -= math.log(draw(key, k)) / (w * (m - k + 1))
+            if k > 1:
+                r -= math.log(draw(key, k)) / (w * (m - k + 1))
             self.draws += 1
             value = r if self.floats else min(max(math.floor(-math.log2(r)), self.low), self.high)
             if self.early_stop and (value >= self.worst if self.floats else value <= self.worst):
@@ -162,6 +166,10 @@ class LiveSketch:
         missing = self.m - stuck - sum(n for y, n in self.count.items() if y < self.high)
         return (rising + missing) / self.m  # registers that an empty histogram lacks count as sure to rise
 
+    def histogram(self) -> list[tuple[int, int]]:
+        """(value, registers) in order of value."""
+        return sorted(self.count.items())
+
     def add(self, j: int, y: int, w: float) -> bool:
         """An arrival at register j with truncated bucket y; whether it rises."""
         old = self.registers.get(j, self.low)

@@ -3,9 +3,11 @@
 An element can only raise the one register it is routed to. When it does, its
 weight divided by the chance that such an element raises some register joins the
 total, which is unbiased. Rises are few, so nearly all rows are dropped before
-anything is shuffled: a task keeps a row only if it rises among the task's own
-rows, which every true rise does. The fold over what is left runs by stream and
-shard.
+anything is shuffled. First in the JVM: stretches of time, each as long as all
+before it, have floors, what a share of the arrivals before the stretch has
+raised each register to, and a row that stays below its floor is no rise. Then a
+task keeps a row only if it rises among the task's own rows, which every true
+rise does. The fold over what is left runs by stream and shard.
 
 The order of arrivals matters for the value, so it must be total up to equal
 elements. Totals of overlapping streams don't merge; their registers do, see
@@ -21,11 +23,13 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.hashing import exponential, route, shard
 from ..functions.kernels import LiveSketch
 from ..functions.registers import bucket, truncate
-from ..sources.weights import clean
+from ..plans.shared import small
+from ..sources.weights import clean, first_arrivals
 from ..spec import SketchSpec
 
 
@@ -39,6 +43,47 @@ def project(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(),
     return rows.withColumn("y", y).where(F.col("y") > spec.low).drop("_x")
 
 
+#: stretches of time that have floors of their own, and the share of arrivals that these come from
+STRETCHES, SHARE = 11, 1 / 8
+
+
+def _linear(df: DataFrame, column: str):
+    """A column's values as numbers in the same order; None if they have no such form."""
+    kind = df.schema[column].dataType
+    if isinstance(kind, T.NumericType):
+        return F.col(column).cast("double")
+    if isinstance(kind, T.TimestampType):
+        return F.unix_micros(column).cast("double")
+    if isinstance(kind, T.TimestampNTZType):
+        return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col(column)).cast("double")
+    return F.unix_date(column).cast("double") if isinstance(kind, T.DateType) else None
+
+
+def above_floors(rows: DataFrame, df: DataFrame, order_by: list[str], by: list[str] | None = None) -> DataFrame:
+    """Rows of ``project`` that reach above the floor of their stretch: every rise does.
+
+    ``df`` is what they were made from, of which only the first column of the
+    order is read. That column must be a number, date or time; otherwise, and
+    with too many streams to broadcast floors of, all rows stay.
+    """
+    at = _linear(df, order_by[0])
+    if at is None:
+        return rows
+    lo, hi = df.agg(F.min(at), F.max(at)).first()
+    if lo is None or not lo < hi:
+        return rows
+    keys = [*(by or []), "s", "j"]
+    placed = rows.withColumn("_at", F.floor(F.log2((_linear(rows, order_by[0]) - lo) / (hi - lo) * (2 ** (STRETCHES - 1) - 1) + 1)).cast("int"))
+    # any arrivals do for a lower bound, so it doesn't matter which ones the draw takes
+    top = placed.where(F.rand(1) < SHARE).groupBy(*keys, "_at").agg(F.max("y").alias("_y"))
+    floors = top.groupBy(*keys).agg(F.array(*(F.max(F.when(F.col("_at") < k, F.col("_y"))) for k in range(STRETCHES + 1))).alias("_floors"))
+    floors = small(floors) if by else F.broadcast(floors)  # without streams a row for each register
+    if floors is None:
+        return rows
+    known = placed.join(floors, keys, "left")
+    return known.where(F.coalesce(F.col("y") > F.get("_floors", "_at"), F.lit(True))).select(*rows.columns)
+
+
 #: rows that a task compares with each other before it passes on those that rise
 PRUNE_ROWS = 1 << 20
 
@@ -85,28 +130,29 @@ def rises(rows: DataFrame, order_by: list[str], spec: SketchSpec, by: list[str]
     return known.where(F.col("y") > F.col("before"))
 
 
-def trajectory(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", shards: int = 1, timing: str = "pre", begin: str = "full", prune: bool = True) -> DataFrame:
-    """(by, s, order_by, j, y, w, q, est, var, rise): the shard's estimate after each rise."""
+def trajectory(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", shards: int = 1, timing: str = "pre", begin: str = "full", prune: bool = True, histograms: bool = False) -> DataFrame:
+    """(by, s, order_by, j, y, w, q, est, var, rise[, hist]): the shard's estimate after each rise, and the registers' histogram."""
     by = by or []
     rows = project(df, order_by, spec, by, x, w, shards)
-    found = rises(local_rises(rows, order_by, by) if prune else rows, order_by, spec, by)
+    found = rises(local_rises(above_floors(rows, df, order_by, by), order_by, by) if prune else rows, order_by, spec, by)
     per, low, high = spec.m // shards, spec.low, spec.high
     keep = [*by, "s", *(c for c in order_by if c not in by), "j", "y", "w"]
+    told = ["q", "est", "var", "rise", *(["hist"] if histograms else [])]
 
     def fold(p: pd.DataFrame) -> pd.DataFrame:
         p = p.sort_values(order_by, kind="stable")
         sketch = LiveSketch(per, low, high, timing, begin)
-        out: dict[str, list] = {c: [] for c in ("q", "est", "var", "rise")}
+        out: dict[str, list] = {c: [] for c in told}
         up = []
         for j, y, weight in zip(p["j"].tolist(), p["y"].tolist(), p["w"].tolist(), strict=True):
             up.append(sketch.add(j, y, weight))
             if up[-1]:
-                for c, v in zip(out.values(), (sketch.last_q, sketch.est, sketch.var, sketch.rises), strict=True):
-                    c.append(v)
+                for c, v in zip(told, (sketch.last_q, sketch.est, sketch.var, sketch.rises, *([[{"y": a, "n": b} for a, b in sketch.histogram()]] if histograms else [])), strict=True):
+                    out[c].append(v)
         return p.loc[np.array(up, bool), keep].assign(**out)
 
     fields = [found.schema[c] for c in keep]
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in fields) + ", q double, est double, var double, rise long"
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in fields) + ", q double, est double, var double, rise long" + (", hist array<struct<y:int,n:bigint>>" if histograms else "")
     return found.select(*keep).groupBy(*by, "s").applyInPandas(fold, schema)
 
 
@@ -132,6 +178,28 @@ def as_of(steps: DataFrame, times: DataFrame, at: str, time: str, by: list[str]
     return both.where("_asked = 1").select(*keys, F.col("_t").alias(time), F.coalesce("est", F.lit(0.0)).alias("est"))
 
 
+def var_from_trace(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w") -> DataFrame:
+    """(by, var): the estimate's variance by its theory, summed over first arrivals.
+
+    Each first arrival, whether it rises or not, adds w^2 (1 - q) / q with the
+    chance q of a rise just before it: what the running variance estimates from
+    rises alone. The state before an arrival is that of the last rise before it,
+    so arrivals and rises are joined by its number; within a stream arrivals
+    are put in order by one task, so this is a measure for experiments.
+    """
+    keys = by or []
+    first = first_arrivals(clean(df, w, spec), x, w, order_by, keys).withColumnRenamed(w, "_w")
+    steps = trajectory(df, order_by, spec, by, x, w, histograms=True)
+    own = Window.partitionBy(*keys).orderBy(*order_by, "_kind").rowsBetween(Window.unboundedPreceding, 0)
+    # a rise is a first arrival too: it comes after itself
+    marks = first.select(*keys, *order_by, "_w", F.lit(0).alias("_kind"), F.lit(None).cast("long").alias("rise")).unionByName(steps.select(*keys, *order_by, F.lit(None).cast("double").alias("_w"), F.lit(1).alias("_kind"), "rise"))
+    asked = marks.withColumn("rise", F.coalesce(F.last("rise", True).over(own), F.lit(0).cast("long"))).where("_kind = 0").select(*keys, "_w", "rise")
+    begin = F.array(F.struct(F.lit(spec.low).alias("y"), F.lit(spec.m).cast("long").alias("n")))
+    held = asked.join(steps.select(*keys, "rise", "hist"), [*keys, "rise"], "left").withColumn("hist", F.coalesce("hist", begin))
+    q = rise_prob_hist(F.col("hist"), F.col("_w"), spec.m, spec.high)
+    return held.select(*keys, (F.col("_w") * F.col("_w") * (1 - q) / q).alias("var")).groupBy(*keys).agg(F.sum("var").alias("var"))
+
+
 def rise_prob_registers(registers, w, m: int, high: int):
     """The chance of a rise from the registers themselves, as a column: work of m."""
     miss = F.aggregate(registers, F.lit(0.0), lambda s, y: s + F.when(y < high, -F.expm1(-w * F.pow(F.lit(2.0), -(y + 1).cast("double")))).otherwise(0.0))
@@ -158,4 +226,4 @@ def states(found: DataFrame, order_by: list[str], spec: SketchSpec, by: list[str
     return held.select(*by, F.col("rise").cast("long").alias("rise"), "w", F.transform(F.sequence(F.lit(1), F.lit(spec.m)), lambda j: F.coalesce(F.element_at("_m", j), F.lit(spec.low))).alias("registers"))
 
 
-__all__ = ["project", "local_rises", "rises", "trajectory", "estimate", "as_of", "rise_prob_registers", "rise_prob_hist", "states"]
+__all__ = ["project", "local_rises", "rises", "trajectory", "estimate", "as_of", "above_floors", "var_from_trace", "rise_prob_registers", "rise_prob_hist", "states"]

@@ -10,7 +10,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -19,6 +18,7 @@ from ..functions import estimators
 from ..functions.hashing import bits, exponential, route, uniform
 from ..functions.kernels import OrderedSketch
 from ..functions.registers import bucket, histogram, merge_rows, truncate
+from ..plans.shared import kept, small
 from ..sources.weights import clean
 from ..spec import SketchSpec
 
@@ -61,46 +61,105 @@ def ordered_registers_sql(df: DataFrame, spec: SketchSpec, x: str = "x", w: str
     return ordered_rows_sql(once, spec, "x", "w", by).groupBy(*(by or []), "j").agg(F.min("r").alias("r"))
 
 
-def _partials(df: DataFrame, spec: SketchSpec, x: str, w: str, by: list[str], floats: bool, early_stop: bool, tracking: str, counters: bool) -> DataFrame:
-    """One sketch for each task and stream, as long rows; or the kernels' counters."""
-    rows = clean(df, w, spec).select(F.to_json(F.struct(*by)).alias("by") if by else F.lit("").alias("by"), F.xxhash64(F.lit(spec.seed), F.col(x).cast("string")).alias("key"), F.col(w).alias("w"))
+#: registers of all streams that a task holds before it passes them on
+HELD_REGISTERS = 1 << 22
+#: one element in so many is looked at for the level that the threshold plan starts from
+SAMPLED = 64
+
+
+def first_variable(x, w, spec: SketchSpec):
+    """The smallest of an element's m variables in the ordered plans: one draw, in the JVM."""
+    return -F.log((bits("fast", spec.seed, "o", x) + 0.5) / float(1 << 52)) / (w * spec.m)
+
+
+def _drawn(df: DataFrame, spec: SketchSpec, x: str, w: str, by: list[str]) -> DataFrame:
+    """(by, key, w, first): what the ordered kernels need of each arrival."""
+    text = F.col(x).cast("string")
+    return clean(df, w, spec).select(*by, F.xxhash64(F.lit(spec.seed), text).alias("key"), F.col(w).alias("w")).withColumn("first", first_variable(F.col("key"), F.col("w"), spec))
+
+
+def _partials(drawn: DataFrame, spec: SketchSpec, by: list[str], floats: bool, early_stop: bool, tracking: str, counters: bool) -> DataFrame:
+    """One sketch for each task and stream, as long rows; or the kernels' counters. From (by, key, w, first).
+
+    A task that holds many registers passes its sketches on and begins anew: they
+    merge all the same.
+    """
+    # several columns make one name; a single one is its own
+    name = F.to_json(F.struct(*by)) if len(by) > 1 else F.col(by[0]) if by else F.lit(0)
+    rows = drawn.select(name.alias("by"), "key", "w", "first")
+    kind = rows.schema["by"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sketches: dict[str, OrderedSketch] = {}
+        sketches: dict[object, OrderedSketch] = {}
+        stream = None
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            label = lambda values: pa.array(values, stream)
+            if counters:
+                held = list(sketches.values())
+                yield pa.record_batch([label(list(sketches)), *(pa.array([getattr(s, c) for s in held], pa.int64()) for c in ("arrivals", "draws", "refreshes"))], names=["by", "arrivals", "draws", "refreshes"])
+            else:
+                for k, s in sketches.items():
+                    reached = np.flatnonzero(np.isfinite(s.registers) if floats else s.registers > spec.low)
+                    values = pa.array(s.registers[reached]) if floats else pa.array(s.registers[reached].astype(np.int32))
+                    yield pa.record_batch([label([k] * len(reached)), pa.array((reached + 1).astype(np.int32)), values], names=["by", "j", "r" if floats else "y"])
+            sketches.clear()
+
         for b in batches:
-            name, key, weight = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy().view(np.uint64), b.column(2).to_numpy()
-            at, groups = pd.factorize(name) if by else (np.zeros(len(key), np.int64), np.array([""]))
+            stream = b.schema.field(0).type
+            key, weight, first = b.column(1).to_numpy().view(np.uint64), b.column(2).to_numpy(), b.column(3).to_numpy()
+            groups = b.column(0).dictionary_encode()
+            at, names = groups.indices.to_numpy(zero_copy_only=False), groups.dictionary.to_pylist()
+            if groups.null_count:
+                names = [*names, None]
+                at = np.where(np.isnan(at.astype(float)), len(names) - 1, np.nan_to_num(at)).astype(np.int64)
             order = np.argsort(at, kind="stable")
-            edge = np.searchsorted(at[order], np.arange(len(groups) + 1))
-            for g, label in enumerate(groups.tolist()):
+            edge = np.searchsorted(at[order], np.arange(len(names) + 1))
+            for g, label in enumerate(names):
                 part = order[edge[g] : edge[g + 1]]
                 if label not in sketches:
                     sketches[label] = OrderedSketch(spec.m, spec.low, spec.high, floats, early_stop, tracking)
-                sketches[label].add(key[part], weight[part])
-        for label, s in sketches.items():
-            if counters:
-                yield pa.record_batch([pa.array([label]), pa.array([s.arrivals]), pa.array([s.draws]), pa.array([s.refreshes])], names=["by", "arrivals", "draws", "refreshes"])
-                continue
-            reached = np.flatnonzero(np.isfinite(s.registers) if floats else s.registers > spec.low)
-            values = pa.array(s.registers[reached]) if floats else pa.array(s.registers[reached].astype(np.int32))
-            yield pa.record_batch([pa.array([label] * len(reached), pa.string()), pa.array((reached + 1).astype(np.int32)), values], names=["by", "j", "r" if floats else "y"])
+                sketches[label].add(key[part], weight[part], first[part])
+                if len(sketches) * spec.m >= HELD_REGISTERS:
+                    yield from flush()
+        if stream is not None:
+            yield from flush()
 
-    schema = "by string, arrivals long, draws long, refreshes long" if counters else f"by string, j int, {'r double' if floats else 'y int'}"
+    schema = f"by {kind}, arrivals long, draws long, refreshes long" if counters else f"by {kind}, j int, {'r double' if floats else 'y int'}"
     out = rows.mapInArrow(run, schema)
     if not by:
         return out.drop("by")
-    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in by)
+    if len(by) == 1:
+        return out.withColumnRenamed("by", by[0])
+    kinds = ", ".join(f"{c} {drawn.schema[c].dataType.simpleString()}" for c in by)
     return out.withColumn("_k", F.from_json("by", kinds)).select(*(F.col(f"_k.{c}").alias(c) for c in by), *(c for c in out.columns if c != "by"))
 
 
+def _above_level(drawn: DataFrame, spec: SketchSpec, by: list[str]) -> tuple[DataFrame, DataFrame]:
+    """(arrivals whose first variable can still raise a register, integer registers of some elements).
+
+    A register only rises, so what some elements have raised all registers to is
+    a lower bound at the end. Streams of too many to broadcast keep all arrivals.
+    """
+    some = kept(merge_rows(_partials(drawn.where(F.pmod("key", F.lit(SAMPLED)) == 0), spec, by, False, True, "eager", False), by))
+    level = some.groupBy(*by).agg(F.when(F.count(F.lit(1)) == spec.m, F.min("y")).alias("_level"))
+    if by:
+        level = small(level.where("_level is not null"))
+        if level is None:
+            return drawn, some
+    known = drawn.join(level, by, "left") if by else drawn.crossJoin(F.broadcast(level))  # without streams the level is one row
+    first = truncate(bucket(F.col("first")), spec)
+    return known.where(F.col("_level").isNull() | (first > F.col("_level"))).drop("_level"), some
+
+
 def ordered_registers(df: DataFrame, spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", early_stop: bool = True, max_tracking: str = "eager") -> DataFrame:
     """(by, j, r): float registers from ascending variables, stopped once none can change."""
-    return _partials(df, spec, x, w, by or [], True, early_stop, max_tracking, False).groupBy(*(by or []), "j").agg(F.min("r").alias("r"))
+    return _partials(_drawn(df, spec, x, w, by or []), spec, by or [], True, early_stop, max_tracking, False).groupBy(*(by or []), "j").agg(F.min("r").alias("r"))
 
 
 def work_counters(df: DataFrame, spec: SketchSpec = SketchSpec(), x: str = "x", w: str = "w", floats: bool = False, early_stop: bool = True, max_tracking: str = "eager") -> DataFrame:
     """(arrivals, draws, refreshes) of the ordered kernels, summed over tasks."""
-    each = _partials(df, spec, x, w, [], floats, early_stop, max_tracking, True)
+    each = _partials(_drawn(df, spec, x, w, []), spec, [], floats, early_stop, max_tracking, True)
     return each.agg(*(F.sum(c).alias(c) for c in ("arrivals", "draws", "refreshes")))
 
 
@@ -108,29 +167,23 @@ def integer_registers(df: DataFrame, spec: SketchSpec = SketchSpec(), by: list[s
     """(by, j, y): integer registers; those at the lowest value have no row.
 
     ``plan``: "dense" computes all m variables of each element in the JVM,
-    "threshold" first finds a level that every register passes, from a share of
-    the elements, and then only expands elements that can pass it, "ordered" runs
-    the early-stopping kernel (other values, same law).
+    "ordered" runs the early-stopping kernel (other values, same law),
+    "threshold" finds a level that every register passes from a share of the
+    elements, and lets only those reach the kernel whose first variable, drawn in
+    the JVM, can pass it (the values of "ordered").
     """
     by = by or []
-    if plan == "ordered":
-        return merge_rows(_partials(df, spec, x, w, by, False, True, "eager", False), by)
-    value = truncate(bucket(exponential(F.col(x), F.col(w), F.col("j"), spec.seed, spec.hash)), spec)
     if plan == "dense":
+        value = truncate(bucket(exponential(F.col(x), F.col(w), F.col("j"), spec.seed, spec.hash)), spec)
         rows = _expanded(df, w, spec).select(*by, "j", value.alias("y"))
         return merge_rows(rows, by).where(F.col("y") > spec.low)
-    if plan != "threshold":
+    if plan not in ("ordered", "threshold"):
         raise ValueError(f"unknown plan {plan}")
-    # a register only rises, so its level after a share of the elements is a lower bound at the end
-    share = F.pmod(F.xxhash64(F.lit("share"), F.col(x)), F.lit(16)) == 0
-    sample = integer_registers(df.where(share), spec, by, x, w, "dense")
-    level = sample.groupBy(*by).agg(F.when(F.count(F.lit(1)) == spec.m, F.min("y")).alias("_level"))
-    rows = clean(df, w, spec)
-    rows = rows.join(level, by, "left") if by else rows.crossJoin(level)  # without streams the level is one row
-    # only variables under the level's upper end can raise anything: few rows reach the aggregation
-    r = exponential(F.col(x), F.col(w), F.col("j"), spec.seed, spec.hash)
-    rows = rows.withColumn("j", F.explode(F.sequence(F.lit(1), F.lit(spec.m)))).where(r <= F.pow(F.lit(2.0), -F.coalesce("_level", F.lit(spec.low)).cast("double"))).select(*by, "j", value.alias("y"))
-    return merge_rows(rows.unionByName(sample.select(*by, "j", "y")), by).where(F.col("y") > spec.low)
+    drawn = _drawn(df, spec, x, w, by)
+    if plan == "ordered":
+        return merge_rows(_partials(drawn, spec, by, False, True, "eager", False), by)
+    rest, some = _above_level(drawn, spec, by)
+    return merge_rows(_partials(rest, spec, by, False, True, "eager", False).unionByName(some), by)
 
 
 def routed_registers(df: DataFrame, spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w") -> DataFrame:
