@@ -91,20 +91,9 @@ def test_empty_and_single(spark):
 def test_every_split_has_orders_of_its_own():
     steps = range(len(jaccard.FORKS))
     branches = np.cumprod(jaccard.FORKS)
-    used = [jaccard.order_of(r, s, b) for r in range(jaccard.RUNS) for s in steps for b in range(branches[s])]
-    assert sorted(used) == list(range(jaccard.ORDERS))
-    assert not set(jaccard.orders(0).tolist()) & set(jaccard.orders(jaccard.ORDERS).tolist())
-    assert 1 - (1 - jaccard.meet(0.8, 1)) ** jaccard.RUNS > jaccard.RECALL
-    assert 1 - (1 - jaccard.meet(0.8, 5)) ** (2 * jaccard.RUNS) > jaccard.RECALL
-
-
-def test_sets_of_deep_paths_run_again(spark):
-    deep = spark.createDataFrame([(1, 0, 5), (1, 3, 5), (2, 2, 2), *((3, r, 5) for r in range(6))], "node long, run int, steps int")
-    miss = lambda steps: math.log1p(-jaccard.meet(0.8, steps))
-    first = {r.node: r.miss for r in jaccard.unfinished(deep, None).collect()}
-    assert first == pytest.approx({1: 4 * miss(1) + 2 * miss(5), 2: 5 * miss(1) + miss(2), 3: 6 * miss(5)})
-    known = spark.createDataFrame(list(first.items()), "node long, miss double")
-    assert jaccard.unfinished(deep, known).count() == 0
+    used = [jaccard.order_of(r, s, b, k) for r in range(jaccard.RUNS) for s in steps for b in range(branches[s]) for k in range(jaccard.LOOKS[s])]
+    assert sorted(used) == list(range(jaccard.ORDERS)) and len(set(jaccard._ORDERS.tolist())) == jaccard.ORDERS
+    assert all(1 - (1 - jaccard.meet(0.8, s + 1)) ** jaccard.RUNS >= jaccard.RECALL for s in steps)
 
 
 def test_labels_are_the_least_of_a_component():
@@ -122,7 +111,7 @@ def test_labels_are_the_least_of_a_component():
 
 
 def test_threshold_pairs_meet_through_all_splits(spark, monkeypatch):
-    monkeypatch.setattr(jaccard, "BUCKET", 1)  # no bucket of a pair is small, so all take every split, and a second round
+    monkeypatch.setattr(jaccard, "BUCKET", 1)  # no bucket of a pair is small, so all take every split
     pairs = 3000
     rng = random.Random(5)
     word = lambda: "%09x" % rng.getrandbits(36)
@@ -131,9 +120,8 @@ def test_threshold_pairs_meet_through_all_splits(spark, monkeypatch):
         core = " ".join(word() for _ in range(44))  # 40 shingles of 50 in common
         docs += [(2 * i + j, " ".join([core, *(word() for _ in range(5))])) for j in (0, 1)]
     assert len(plain_set(docs[0][1]) & plain_set(docs[1][1])) * 5 == 4 * len(plain_set(docs[0][1]) | plain_set(docs[1][1]))
-    texts = spark.createDataFrame([(i, 0, t) for i, t in docs], "doc long, tag int, text string").repartition(4)
-    sets = jaccard.shingle_sets(texts).cache()
-    root = {r.node: r.root for r in graph.components(jaccard.candidates(sets, texts, sets.select("node", "doc", "tag"))).collect()}
+    sets = jaccard.shingle_sets(spark.createDataFrame([(i, 0, t) for i, t in docs], "doc long, tag int, text string").repartition(4)).cache()
+    root = {r.node: r.root for r in graph.components(jaccard.candidates(sets)).collect()}
     node = {r.doc: r.node for r in sets.select("doc", "node").collect()}
     met = sum(node[2 * i] in root and root[node[2 * i]] == root.get(node[2 * i + 1]) for i in range(pairs))
     assert met >= pairs - 2

@@ -2,19 +2,17 @@
 
 A text's set holds its runs of five words. Sets are split over and over: a run
 starts with all sets in one bucket, and in each step a bucket's sets go apart by
-sampled tokens, the one that a random order puts first in each; two sets stay
-together with the probability of their Jaccard similarity. In some steps
-(``FORKS``) a set follows the tokens of two orders at once, so that its path
-branches and what one branch loses the other may keep. Buckets of ``BUCKET``
-sets or fewer are compared pair by pair by their sketches; larger ones are split
-further. Sets that still share a large bucket after all steps have that many
-sampled tokens in common and are one candidate group. Every split of every run
-has orders of its own, so runs are independent.
-
-Runs are repeated until the target: ``RUNS`` of them reach ``RECALL`` for a pair
-at the threshold whose buckets are small at once; sets whose buckets stayed
-large, so that a run may have lost them in more splits, take part in further
-rounds, with fresh orders, until they reach it as well.
+sampled tokens, the one that a random order puts first in each (in the first
+step those of two orders); two sets stay together with the probability of their
+Jaccard similarity for each. In some steps (``FORKS``) a set follows the tokens
+of two orders apart from each other, so that its path branches and what one
+branch loses the other may keep. Buckets of ``BUCKET`` sets or fewer are compared
+pair by pair by their sketches; larger ones are split further. Sets that still
+share a large bucket after all steps have all those sampled tokens in common and
+are one candidate group. Every split of every run has orders of its own, so runs
+are independent, and they are repeated (``RUNS``) until a pair at the threshold
+is found with a probability of ``RECALL``, even if its buckets stay large through
+all steps.
 
 Pairs that met, however many there are, only join sets into candidate groups;
 within these every pair is compared exactly, blocks of sets against blocks, so
@@ -38,39 +36,46 @@ from .textkit import U64, Rolling, blocks, lower_ascii, mix, utf8, word_codes, w
 from .windows import NULL_ID, free_names, identified
 
 SHINGLE, THRESHOLD = 5, (4, 5)
-#: runs of a round, sets compared pair by pair, and the orders that a path follows at each split
-RUNS, BUCKET, FORKS = 6, 128, (1, 1, 2, 1, 2)
-#: what a pair at the threshold is found with at least
-RECALL = 0.9999
+#: what a pair at the threshold is found with at least, and sets compared pair by pair
+RECALL, BUCKET = 0.9999, 512
+#: for each split: branches that a path goes on by, and orders whose tokens a branch looks at
+FORKS, LOOKS = (1, 2, 1, 2), (2, 1, 1, 1)
+
+
+def meet(similarity: float, steps: int = len(FORKS)) -> float:
+    """Probability that one run brings a pair together, if its buckets take ``steps`` splits."""
+    p = 1.0
+    for fork, looks in reversed(list(zip(FORKS, LOOKS, strict=True))[:steps]):
+        p = 1 - (1 - similarity**looks * p) ** fork
+    return p
+
+
+def runs_for(recall: float, similarity: float) -> int:
+    """Runs after which a pair is found with a probability of ``recall``, whatever splits it takes."""
+    return math.ceil(math.log(1 - recall) / math.log(1 - meet(similarity)))
+
+
+RUNS = runs_for(RECALL, THRESHOLD[0] / THRESHOLD[1])
 #: orders of a run, and of them those before each step's
-_ENDS = np.cumsum(np.cumprod(FORKS)).tolist()
+_ENDS = np.cumsum(np.cumprod(FORKS) * LOOKS).tolist()
 RUN_ORDERS, BEFORE = _ENDS[-1], [0, *_ENDS[:-1]]
-#: orders of a round, one for each branch of each split of each run, and bytes kept of a token
+#: orders, one for each look of each branch of each split of each run, and bytes kept of a token
 ORDERS, TOKEN_BYTES = RUNS * RUN_ORDERS, 3
-#: sketches of ``ORDERS`` bytes that agree in fewer than this can't be at the threshold (five standard errors)
-ALIKE = math.floor(ORDERS * 0.8 - 5 * math.sqrt(ORDERS * 0.8 * 0.2))
+#: bytes of a sketch; sketches that agree in fewer than ``ALIKE`` can't be at the threshold (five standard errors)
+SLOTS = 60
+ALIKE = math.floor(SLOTS * 0.8 - 5 * math.sqrt(SLOTS * 0.8 * 0.2))
 #: sets, and shingles of all sets, in one block of the exact comparison, and blocks that a task holds
 BLOCK_SETS, BLOCK_SHINGLES, HELD_BLOCKS = 1024, 1 << 19, 4
 #: sets of several small groups compared at once
 TOGETHER = 256
 
 
-def orders(begin: int) -> np.ndarray:
-    """A round's multipliers of shingle hashes; ``begin`` orders were used before."""
-    return mix(np.arange(begin + 1, begin + ORDERS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
+_ORDERS = mix(np.arange(1, ORDERS + 1, dtype=U64) * U64(0xD1342543DE82EF95)) | U64(1)
 
 
-def meet(similarity: float, steps: int) -> float:
-    """Probability that one run brings a pair together, if its buckets take ``steps`` splits."""
-    p = 1.0
-    for fork in reversed(FORKS[:steps]):
-        p = 1 - (1 - similarity * p) ** fork
-    return p
-
-
-def order_of(run, step: int, branch):
-    """The order that a branch follows at a split; no other has it."""
-    return run * RUN_ORDERS + BEFORE[step] + branch
+def order_of(run, step: int, branch, look: int = 0):
+    """The order that a branch looks at in a split; no other has it."""
+    return run * RUN_ORDERS + BEFORE[step] + branch * LOOKS[step] + look
 
 
 def shingles(data: np.ndarray, offsets: np.ndarray, n: int = SHINGLE) -> tuple[np.ndarray, np.ndarray]:
@@ -101,14 +106,13 @@ def _sets_of(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarra
         yield i, j, *shingles(data[at[i] : at[j]], at[i : j + 1] - at[i])
 
 
-def shingle_sets(texts: DataFrame, begin: int = 0) -> DataFrame:
+def shingle_sets(texts: DataFrame) -> DataFrame:
     """(doc, tag, node, size, tokens, sketch) of every text.
 
     ``node`` is a 64-bit hash of the set, ``tokens`` the low bytes of the least
-    hash in each of a round's orders, ``sketch`` one byte of each. A text without
-    words has a null node.
+    hash in each of ``ORDERS`` orders, ``sketch`` a byte of the first ``SLOTS``. A
+    text without words has a null node.
     """
-    order = orders(begin)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -120,8 +124,8 @@ def shingle_sets(texts: DataFrame, begin: int = 0) -> DataFrame:
                 if len(full):
                     node[full] = mix(np.add.reduceat(mix(value ^ U64(0x2545F4914F6CDD1D)), first) + size[full].astype(U64)).view(np.int64)
                     for s in range(ORDERS):
-                        token[full, s] = np.minimum.reduceat((value * order[s]) >> U64(32), first)
-                sketch = (mix(token.astype(U64)) & U64(255)).astype(np.uint8)
+                        token[full, s] = np.minimum.reduceat((value * _ORDERS[s]) >> U64(32), first)
+                sketch = (mix(token[:, :SLOTS].astype(U64)) & U64(255)).astype(np.uint8)
                 low = token.view(np.uint8).reshape(len(size), ORDERS, 4)[:, :, :TOKEN_BYTES]
                 part = slice(i, j)
                 yield pa.record_batch(
@@ -136,9 +140,9 @@ def _split(rows: DataFrame, step: int) -> DataFrame:
     """(key, run, branch, node): rows with run, branch, key and tokens, by the tokens that their branches look at next."""
     fork = FORKS[step]
     rows = rows.withColumn("branch", F.explode(F.sequence(F.col("branch") * fork, F.col("branch") * fork + (fork - 1)))) if fork > 1 else rows
-    order = order_of(F.col("run"), step, F.col("branch"))
-    token = F.substring("tokens", order * TOKEN_BYTES + 1, F.lit(TOKEN_BYTES))
-    return rows.select(F.xxhash64("key", order, token).alias("key"), "run", "branch", "node")
+    order = [order_of(F.col("run"), step, F.col("branch"), look) for look in range(LOOKS[step])]
+    tokens = [F.substring("tokens", o * TOKEN_BYTES + 1, F.lit(TOKEN_BYTES)) for o in order]
+    return rows.select(F.xxhash64("key", order[0], *tokens).alias("key"), "run", "branch", "node")
 
 
 def labels(alike: np.ndarray) -> np.ndarray:
@@ -174,7 +178,8 @@ def _bucket_links(members: DataFrame) -> DataFrame:
 
     def solve(node: list[int], sketch: list[bytes]) -> Iterator[tuple[int, int]]:
         rows = np.frombuffer(b"".join(sketch), np.uint8).reshape(len(node), -1)
-        label = labels((rows[:, None, :] == rows[None, :, :]).sum(axis=2) >= ALIKE)
+        alike = [(rows[k : k + 64, None, :] == rows[None, :, :]).sum(axis=2, dtype=np.uint8) >= ALIKE for k in range(0, len(rows), 64)]
+        label = labels(np.concatenate(alike))
         return ((node[i], node[k]) for i, k in enumerate(label.tolist()) if i != k)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -196,12 +201,11 @@ def _bucket_links(members: DataFrame) -> DataFrame:
     return members.repartition("key").sortWithinPartitions("key", "node").mapInArrow(run, "a long, b long")
 
 
-def _round(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """One round of runs over (node, tokens, sketch): the links (a, b) found, and (node, run, steps) of paths with several splits."""
+def candidates(nodes: DataFrame) -> DataFrame:
+    """(a, b): links that join all sets that met in some run and look alike; from (node, tokens, sketch)."""
     whole = nodes.select("node", "tokens", F.explode(F.sequence(F.lit(0), F.lit(RUNS - 1))).alias("run"), F.lit(0).alias("branch"), F.lit(0).cast("long").alias("key"))
     rows = _split(whole, 0)
     found: list[DataFrame] = []
-    deep: DataFrame | None = None
     for step in range(1, len(FORKS) + 1):
         met = stored(rows.join(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("least")).where("n > 1"), "key"))
         small = met.where(F.col("n") <= BUCKET).select("key", "node")
@@ -210,48 +214,13 @@ def _round(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
         if not large.take(1):
             break
         if step == len(FORKS):
-            # that many sampled tokens in common: one candidate group, which is compared exactly later on
+            # all those sampled tokens in common: one candidate group, which is compared exactly later on
             found.append(large.where("node != least").select(F.col("node").alias("a"), F.col("least").alias("b")))
-            break
-        split = large.select("node", "run", F.lit(step + 1).alias("steps")).distinct()
-        deep = split if deep is None else deep.unionByName(split)
-        rows = _split(large.select("key", "run", "branch", "node").join(nodes.select("node", "tokens"), "node"), step)
+        else:
+            rows = _split(large.select("key", "run", "branch", "node").join(nodes.select("node", "tokens"), "node"), step)
     out = found[0]
     for more in found[1:]:
         out = out.unionByName(more)
-    deep = nodes.select("node", F.lit(0).alias("run"), F.lit(1).alias("steps")).limit(0) if deep is None else deep
-    return out, deep.groupBy("node", "run").agg(F.max("steps").alias("steps"))
-
-
-def unfinished(deep: DataFrame, before: DataFrame | None) -> DataFrame:
-    """(node, miss): sets that need more runs, and the log of the probability that a pair at the threshold was missed so far.
-
-    ``deep``: the runs in which a set took several splits, all others took one;
-    ``before``: what this gave after the round before.
-    """
-    similarity = THRESHOLD[0] / THRESHOLD[1]
-    lost = [math.log1p(-meet(similarity, k + 1)) for k in range(len(FORKS))]
-    extra = F.element_at(F.array(*(F.lit(x - lost[0]) for x in lost)), F.col("steps"))
-    now = deep.groupBy("node").agg((F.lit(RUNS * lost[0]) + F.sum(extra)).alias("miss"))
-    if before is not None:
-        now = before.join(now.withColumnRenamed("miss", "_now"), "node", "left").select("node", (F.col("miss") + F.coalesce("_now", F.lit(RUNS * lost[0]))).alias("miss"))
-    return now.where(F.col("miss") > math.log(1 - RECALL))
-
-
-def candidates(nodes: DataFrame, texts: DataFrame, first: DataFrame) -> DataFrame:
-    """(a, b): links that join all sets that met in some run and look alike.
-
-    From (node, tokens, sketch) of the first round; the text of a set, its
-    ``first`` (node, doc, tag) among ``texts``, is read again where more runs are due.
-    """
-    out, deep = _round(nodes)
-    more, begin = stored(unfinished(deep, None)), ORDERS
-    while more.take(1):
-        known = texts.join(first.join(more, "node"), ["doc", "tag"]).select("doc", "tag", "text")
-        again = stored(shingle_sets(known, begin).select("node", "tokens", "sketch").dropDuplicates(["node"]))
-        links, deep = _round(again)
-        out = out.unionByName(links)
-        more, begin = stored(unfinished(deep, more)), begin + ORDERS
     return out
 
 
@@ -400,9 +369,8 @@ def classes(texts: DataFrame) -> tuple[DataFrame, DataFrame]:
     all_sets = stored(shingle_sets(texts))
     worded = all_sets.where("node is not null")
     own = stored(worded.groupBy("node").agg(F.count(F.lit(1)).alias("mult"), F.min(F.struct("doc", "tag")).alias("first"), F.first("size").alias("size")))
-    first = own.select("node", F.col("first.doc").alias("doc"), F.col("first.tag").alias("tag"))
     nodes = stored(worded.select("node", "tokens", "sketch").dropDuplicates(["node"]))
-    group = components(candidates(nodes, texts, first))
+    group = components(candidates(nodes))
     sized = group.join(own, "node")
     shape = sized.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_SETS), F.ceil(F.sum("size") / BLOCK_SHINGLES)).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1")
     placed = sized.join(shape, "root").select("node", "root", "blocks", "mult", F.col("first.doc").alias("doc"), F.col("first.tag").alias("tag"), F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"))
