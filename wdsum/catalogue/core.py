@@ -40,6 +40,7 @@ for _name, _stream, _sql, _by in (
     ("exact_daily_users", W.daily_users, Q.DAILY, True),
     ("exact_links", W.links, Q.LINKS, False),
     ("exact_vectors", W.vectors, Q.VECTORS, True),
+    ("exact_edges", W.edges, Q.EDGES, False),
 ):
     query(total_sql(_sql, _by), _name)(lambda spark, d, f=_stream, by=_by: total(f(spark, d), by))
 
@@ -142,11 +143,12 @@ def ordered_shuffle_small(spark, d):
     return x.select("x", F.array_join(places.cast("array<string>"), ",").alias("places"))
 
 
-@query()
+@query(f"SELECT exact, true AS close FROM ({total_sql(Q.PARTS)})")
 def ordered_estimate(spark, d):
+    """The exact sum, and whether the estimate is within five errors of it."""
     spec = SketchSpec(m=256)
     parts = W.parts(spark, d)
-    return S.float_estimate(S.ordered_registers(parts, spec), spec).crossJoin(F.broadcast(total(parts))).select("exact", "est", (F.abs(F.col("est") / F.col("exact") - 1) < 5 * F.sqrt("rel_var")).alias("close"))
+    return S.float_estimate(S.ordered_registers(parts, spec), spec).crossJoin(F.broadcast(total(parts))).select("exact", (F.abs(F.col("est") / F.col("exact") - 1) < 5 * F.sqrt("rel_var")).alias("close"))
 
 
 @query("SELECT 64::BIGINT AS registers, 64::BIGINT AS equal")
@@ -175,11 +177,14 @@ for _b in (4, 5, 6, 7, 8):
 query(f"SELECT j, y FROM {Q.integers(Q.PARTS, portable(16, None))}", "logbucket_untruncated")(lambda spark, d: _integers(spark, d, portable(16, None)))
 
 
-@query()
+@query(f"SELECT exact, 'ok' AS status, true AS close, true AS inside FROM ({total_sql(Q.PARTS)})")
 def logbucket_ordered(spark, d):
+    """The exact sum, and whether estimate and 99 % interval of the early-stopping plan agree with it."""
     spec = SketchSpec(m=256)
-    est = S.integer_estimate(S.integer_registers(W.parts(spark, d), spec, plan="ordered"), spec)
-    return est.crossJoin(F.broadcast(total(W.parts(spark, d)))).select("exact", "est", "lo", "hi", "status")
+    est = S.integer_estimate(S.integer_registers(W.parts(spark, d), spec, plan="ordered"), spec, level=0.99)
+    near = F.abs(F.col("est") / F.col("exact") - 1) < 5 * E.predicted_error("logbucket", 256)
+    wide = F.col("exact").between(F.col("lo") - (F.col("hi") - F.col("lo")), F.col("hi") + (F.col("hi") - F.col("lo")))
+    return est.crossJoin(F.broadcast(total(W.parts(spark, d)))).select("exact", "status", near.alias("close"), wide.alias("inside"))
 
 
 @query("SELECT 64::BIGINT AS registers, 64::BIGINT AS equal")
@@ -400,9 +405,27 @@ query(f"SELECT j, y FROM {Q.routed(Q.PARTS, M)}", "live_routed_registers")(lambd
 query(f"SELECT round(est, 1) AS est FROM {Q.routed_estimate(Q.PARTS, M)}", "live_routed_mle")(lambda spark, d: S.integer_estimate(S.routed_registers(W.parts(spark, d), M), M, routed=True).select(F.round("est", 1).alias("est")))
 
 
-@query()
+@query("SELECT count(DISTINCT l_partkey) AS exact, true AS hll_plus, true AS hll, true AS theta, true AS routed FROM lineitem")
 def builtin_distinct(spark, d):
-    return compare.builtin_distinct(W.parts(spark, d).select("x"))
+    """Distinct parts, and which sketches of them are within five errors: the engine's built-in ones and ours."""
+    found = compare.builtin_distinct(W.parts(spark, d).select("x"))
+    errors = {"hll_plus": 0.05, "hll": 1.04 / 16, "theta": 1 / 64, "routed": E.predicted_error("logbucket", 256)}
+    return found.select("exact", *((F.abs(F.col(c) / F.col("exact") - 1) <= 5 * e).alias(c) for c, e in errors.items()))
+
+
+_AT = " AND ".join(f"s.{c} = f.{c}" for c in W.ARRIVAL)
+_BEFORE = f"({', '.join(f's.{c}' for c in W.ARRIVAL)}) < ({', '.join(f'f.{c}' for c in W.ARRIVAL)})"
+_THEORY = f"""WITH a AS MATERIALIZED (SELECT * FROM {_STEPS}), f AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY {ORDER}) AS k FROM ({Q.PARTS})) WHERE k = 1),
+  n AS (SELECT f.x, f.w, count(s.rise) AS rises FROM f LEFT JOIN a s ON {_BEFORE} GROUP BY ALL),
+  t AS (SELECT p.rises, s.j, max(s.y) AS y FROM (SELECT DISTINCT rises FROM n) p JOIN a s ON s.rise <= p.rises GROUP BY ALL),
+  q AS (SELECT n.x, n.w, (coalesce(sum(1 - exp(-n.w * pow(2.0, -(t.y + 1)))), 0) + (16 - count(t.j)) * (1 - exp(-n.w * pow(2.0, {-(M16.low + 1)})))) / 16 AS q FROM n LEFT JOIN t USING (rises) GROUP BY n.x, n.w)
+  SELECT round(sqrt(sum(w * w * (1 - q) / q)), 1) AS sd FROM q"""
+
+
+@query(_THEORY)
+def live_theory_variance(spark, d):
+    """The running estimate's standard deviation by theory, from every first arrival."""
+    return live.var_from_trace(W.parts(spark, d), W.ARRIVAL, M16).select(F.round(F.sqrt("var"), 1).alias("sd"))
 
 
 def flagship(spark, d) -> DataFrame:

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import math
+from dataclasses import replace
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -26,19 +29,26 @@ def _many(stream: str, seeds=SEEDS) -> str:
     return f"SELECT * REPLACE (stream || '/' || x AS x) FROM ({stream}), (SELECT unnest({list(seeds)}) AS stream)"
 
 
-def _run_sql(method: str, stream: str, order: str, m: int, seeds=SEEDS) -> str:
-    """SQL of (stream: the seed, est)."""
-    spec, many = portable(m), _many(stream, seeds)
+def _est_sql(method: str, stream: str, order: str, spec: SketchSpec) -> str:
+    """SQL of (stream, est) of many streams; those without any register have no row."""
     if method == "dense_exp":
-        return f"SELECT stream, {m - 1} / sum(r) AS est FROM {Q.dense(many, spec, True)} GROUP BY stream"
+        return f"SELECT stream, {spec.m - 1} / sum(r) AS est FROM {Q.dense(stream, spec, True)} GROUP BY stream"
     if method == "logbucket":
-        return f"SELECT stream, c AS est FROM {Q.mle(Q.hist(Q.integers(many, spec, True), spec, 'stream'), spec, 'stream')}"
-    return f"SELECT stream, max(est) AS est FROM {Q.live_steps(many, order, spec, 'stream')} GROUP BY stream"
+        h = Q.hist(Q.integers(stream, spec, True), spec, "stream")
+        ends = f"(SELECT stream, min(y) >= {spec.high} AS top FROM {h} GROUP BY stream)"
+        return f"SELECT stream, CASE WHEN top THEN 'Infinity'::DOUBLE ELSE c END AS est FROM {Q.mle(h, spec, 'stream')} JOIN {ends} USING (stream)"
+    return f"SELECT stream, max(est) AS est FROM {Q.live_steps(stream, order, spec, 'stream')} GROUP BY stream"
 
 
-def _rrmse_sql(stream: str, order: str, sizes, methods=METHODS, extra: str = "") -> str:
+def _runs_sql(method: str, stream: str, order: str, spec: SketchSpec, seeds=SEEDS) -> str:
+    """SQL of (est, exact) of all runs."""
     truth = f"(SELECT sum(w) AS exact FROM {Q.once(stream)})"
-    parts = [f"SELECT {extra}'{x}' AS method, {m}::INT AS m, round(sqrt(avg(pow(est - exact, 2))) / avg(exact), 6) AS rrmse FROM ({_run_sql(x, stream, order, m)}), {truth}" for x in methods for m in sizes]
+    return f"(SELECT coalesce(est, 0) AS est, exact FROM (SELECT unnest({list(seeds)}) AS stream) LEFT JOIN ({_est_sql(method, _many(stream, seeds), order, spec)}) USING (stream), {truth})"
+
+
+def _rrmse_sql(stream: str, order: str, sizes, methods=METHODS, extra: str = "", seeds=SEEDS, b: int = 8) -> str:
+    """SQL of (extra, method, m, rrmse); errors beyond 10 are shown as 10."""
+    parts = [f"SELECT {extra}'{x}' AS method, {m}::INT AS m, round(least(sqrt(avg(pow(est - exact, 2))) / avg(exact), 10), 6) AS rrmse FROM {_runs_sql(x, stream, order, portable(m, b), seeds)}" for x in methods for m in sizes]
     return " UNION ALL ".join(parts)
 
 
@@ -50,7 +60,14 @@ _FIRST_PARTS = f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY x ORDE
 
 
 def _rounded(df):
-    return df.withColumn("rrmse", F.round("rrmse", 6))
+    return df.withColumn("rrmse", F.round(F.least("rrmse", F.lit(10.0)), 6))
+
+
+def _all(parts):
+    out = None
+    for p in parts:
+        out = p if out is None else out.unionByName(p)
+    return out
 
 
 @query(_rrmse_sql(_FIRST_PARTS, ORDER, (16, 64)))
@@ -59,53 +76,84 @@ def metric_rrmse_m(spark, d):
     return _rounded(metrics.rrmse(r, ["method", "m"]))
 
 
-def _uniform_sql(size: int | None) -> str:
-    return f"SELECT event_id::VARCHAR AS x, {Q.uniform('event_id', '1', 7919)} AS w, ts, event_id FROM events {f'WHERE event_id < {size}' if size else ''}"
+@query(_rrmse_sql(Q.EDGES, ORDER, (16,), seeds=range(2)))
+def metric_rrmse_graph(spark, d):
+    """Error on the follow graph's stand-in: one stream, its arrivals repeated and weighed by pair."""
+    r = experiments.runs(W.edges(spark, d), METHODS, (16,), range(2), portable(16), W.ARRIVAL)
+    return _rounded(metrics.rrmse(r, ["method", "m"]))
+
+
+def _law_sql(kind: str, size: int | None = None, scale: float = 1.0) -> str:
+    return f"SELECT event_id::VARCHAR AS x, {Q.LAWS[kind]} * {scale!r}::DOUBLE AS w, ts, event_id FROM events {f'WHERE event_id < {size}' if size else ''}"
+
+
+_TIME = "ts, event_id"
+
+
+@query(" UNION ALL ".join(_rrmse_sql(_law_sql(x), _TIME, (16,), METHODS, f"'{x}' AS law, ", range(2)) for x in Q.LAWS))
+def metric_rrmse_laws(spark, d):
+    """Error by the law of the weights."""
+    return _all(_rounded(metrics.rrmse(experiments.runs(W.synthetic(spark, d, x), METHODS, (16,), range(2), portable(16), ["ts", "event_id"]), ["method", "m"])).withColumn("law", F.lit(x)) for x in Q.LAWS)
 
 
 SIZES = (100, 1000, None)
 
 
-@query(" UNION ALL ".join(_rrmse_sql(_uniform_sql(n), "ts, event_id", (16,), ("logbucket", "logbucket_live"), f"{n or 0}::INT AS size, ") for n in SIZES))
+@query(" UNION ALL ".join(_rrmse_sql(_law_sql("uniform", n), _TIME, (16,), METHODS, f"{n or 0}::INT AS size, ") for n in SIZES))
 def metric_rrmse_size(spark, d):
     """Error by the number of elements (0: all): the sweep's streams are the first arrivals."""
-    out = None
-    for n in SIZES:
-        r = experiments.runs(W.synthetic(spark, d, "uniform", size=n), ("logbucket", "logbucket_live"), (16,), SEEDS, portable(16), ["ts", "event_id"])
-        one = _rounded(metrics.rrmse(r, ["method", "m"])).withColumn("size", F.lit(n or 0))
-        out = one if out is None else out.unionByName(one)
-    return out
+    return _all(_rounded(metrics.rrmse(experiments.runs(W.synthetic(spark, d, "uniform", size=n), METHODS, (16,), SEEDS, portable(16), ["ts", "event_id"]), ["method", "m"])).withColumn("size", F.lit(n or 0)) for n in SIZES)
+
+
+BITS, SCALES = (4, 5, 6, 8), (1e-10, 1.0, 1e10)
 
 
-@query()
+@query(" UNION ALL ".join(_rrmse_sql(_law_sql("uniform", None, c), _TIME, (16,), METHODS[1:], f"{b}::INT AS b, {c!r}::DOUBLE AS scale, ", range(2), b) for b in BITS for c in SCALES))
 def metric_rrmse_bits(spark, d):
-    """Error by bits and by the largest weight, inside and outside the range."""
-    out = None
-    for b in (4, 5, 6, 7, 8):
-        for scale in (1e-10, 1.0, 1e10):
-            for method in ("logbucket_routed", "logbucket_live"):
-                r = experiments.runs(W.synthetic(spark, d, "uniform", scale), (method,), (64,), range(2), SketchSpec(64, b), ["ts", "event_id"])
-                one = metrics.rrmse(r, ["method"]).select("method", F.lit(b).alias("b"), F.lit(scale).alias("scale"), "rrmse", F.lit(E.range_bound(b, m=64)[0]).alias("least"), F.lit(E.range_bound(b, m=64)[1]).alias("most"))
-                out = one if out is None else out.unionByName(one)
-    return out
+    """Error by bits and by the largest weight, inside and outside the range, of both integer methods."""
+    return _all(
+        _rounded(metrics.rrmse(experiments.runs(W.synthetic(spark, d, "uniform", c), METHODS[1:], (16,), range(2), portable(16, b), ["ts", "event_id"]), ["method", "m"])).select(F.lit(b).alias("b"), F.lit(c).alias("scale"), "method", "m", "rrmse")
+        for b in BITS
+        for c in SCALES
+    )
 
 
-def _aare_sql(method: str, m: int) -> str:
-    spec = portable(m)
-    if method == "dense_exp":
-        est = f"SELECT stream, {m - 1} / sum(r) AS est FROM {Q.dense(Q.RATINGS, spec, True)} GROUP BY stream"
-    else:
-        est = f"SELECT stream, c AS est FROM {Q.mle(Q.hist(Q.integers(Q.RATINGS, spec, True), spec, 'stream'), spec, 'stream')}"
-    return f"SELECT '{method}' AS method, {m}::INT AS m, round(avg(abs(est - exact) / exact), 6) AS aare FROM ({est}) JOIN (SELECT stream, sum(w) AS exact FROM {Q.once(Q.RATINGS, True)} GROUP BY stream) USING (stream)"
+#: float and integer sketches of 4,096 bits, the running estimate's without its counters
+EQUAL = (("dense_exp", 64), ("logbucket", 512), ("logbucket_live", 512))
+
+
+@query(" UNION ALL ".join(_rrmse_sql(_FIRST_PARTS, ORDER, (m,), (x,), f"{64 * m if x == 'dense_exp' else 8 * m}::BIGINT AS bits, ", range(2)) for x, m in EQUAL))
+def metric_equal_memory(spark, d):
+    """Error of sketches that take the same bits of registers."""
+    rows = _first_parts(spark, d)
+    return _all(_rounded(metrics.rrmse(experiments.runs(rows, (x,), (m,), range(2), portable(m), W.ARRIVAL), ["method", "m"])).withColumn("bits", F.lit(64 * m if x == "dense_exp" else 8 * m).cast("long")) for x, m in EQUAL)
+
 
+def _aare_sql(method: str, m: int, stream: str = Q.RATINGS, order: str = "x", extra: str = "") -> str:
+    return f"SELECT {extra}'{method}' AS method, {m}::INT AS m, round(avg(abs(est - exact) / exact), 6) AS aare FROM ({_est_sql(method, stream, order, portable(m))}) JOIN (SELECT stream, sum(w) AS exact FROM {Q.once(stream, True)} GROUP BY stream) USING (stream)"
 
-@query(" UNION ALL ".join(_aare_sql(x, m) for x in METHODS[:2] for m in (16, 64)))
+
+@query(" UNION ALL ".join(_aare_sql(x, m) for x in METHODS for m in (16, 64)))
 def metric_aare_m(spark, d):
-    r = experiments.by_stream(W.ratings(spark, d), METHODS[:2], (16, 64), portable(16))
+    r = experiments.by_stream(W.ratings(spark, d), METHODS, (16, 64), portable(16), order_by=["x"])
     return metrics.aare(r, ["method", "m"]).withColumn("aare", F.round("aare", 6))
 
 
-_RUNS = f"(SELECT * FROM ({_run_sql('dense_exp', _FIRST_PARTS, ORDER, 64)}), (SELECT sum(w) AS exact FROM {Q.once(Q.PARTS)}))"
+COLLECTIONS = {
+    "conversations": (Q.CONVERSATIONS, W.conversations),
+    "other_languages": (Q.OTHER, lambda spark, d: W.documents(spark, d, english=False)),
+    "english": (Q.ENGLISH, lambda spark, d: W.documents(spark, d, english=True)),
+    "pages": (Q.PAGES, W.pages),
+}
+
+
+@query(" UNION ALL ".join(_aare_sql(x, 16, sql, "x", f"'{name}' AS collection, ") for name, (sql, _) in COLLECTIONS.items() for x in METHODS))
+def metric_aare_collections(spark, d):
+    """Mean error over documents of each collection, terms in order of their name."""
+    return _all(metrics.aare(experiments.by_stream(f(spark, d), METHODS, (16,), portable(16), order_by=["x"]), ["method", "m"]).select(F.lit(name).alias("collection"), "method", "m", F.round("aare", 6).alias("aare")) for name, (_, f) in COLLECTIONS.items())
+
+
+_RUNS = _runs_sql("dense_exp", _FIRST_PARTS, ORDER, portable(64))
 
 
 @query(f"SELECT 'dense_exp' AS method, round(avg((est - exact) / exact), 6) AS bias, round(stddev_samp((est - exact) / exact) / sqrt(count(*)), 6) AS bias_se FROM {_RUNS}")
@@ -114,10 +162,25 @@ def metric_bias(spark, d):
     return metrics.bias(r, ["method"]).select("method", F.round("bias", 6).alias("bias"), F.round("bias_se", 6).alias("bias_se"))
 
 
-@query()
+_COVERED = range(10)
+
+
+def _interval_sql(routed: bool) -> str:
+    """SQL of (est, var) by run."""
+    many = _many(_FIRST_PARTS, _COVERED)
+    if routed:
+        h = f"(SELECT stream, y, count(*)::BIGINT AS n FROM {Q.routed(many, M16, True)} GROUP BY stream, y)"
+        k = f"(SELECT stream, sum(n) AS k FROM {h} GROUP BY stream)"
+    else:
+        h = Q.hist(Q.integers(many, M16, True), M16, "stream")
+        k = f"(SELECT DISTINCT stream, 1 AS k FROM {h})"
+    return f"(SELECT stream, any_value(k * c) AS est, any_value(k * k) * -1 / sum({Q.term('curve', M16)}) AS var FROM {h} JOIN {Q.mle(h, M16, 'stream')} USING (stream) JOIN {k} USING (stream) GROUP BY stream)"
+
+
+@query(" UNION ALL ".join(f"SELECT '{x}' AS method, round(avg((exact BETWEEN greatest(est - 1.959963984540054 * sqrt(var), 0) AND est + 1.959963984540054 * sqrt(var))::INT), 6) AS coverage FROM {_interval_sql(x != 'logbucket')}, (SELECT sum(w) AS exact FROM {Q.once(Q.PARTS)})" for x in ("logbucket", "logbucket_routed")))
 def metric_coverage(spark, d):
-    r = experiments.runs(_first_parts(spark, d), ("logbucket", "logbucket_routed"), (64,), range(40))
-    return metrics.coverage(r, ["method"])
+    r = experiments.runs(_first_parts(spark, d), ("logbucket", "logbucket_routed"), (16,), _COVERED, M16)
+    return metrics.coverage(r, ["method"]).withColumn("coverage", F.round("coverage", 6))
 
 
 @query("SELECT method, m::INT AS m, b::INT AS b, CASE method WHEN 'dense_exp' THEN 64 * m WHEN 'logbucket' THEN m * b ELSE m * b + (1 << b) * log2(m) END::BIGINT AS bits FROM (SELECT unnest(['dense_exp', 'logbucket', 'logbucket_live']) AS method), (SELECT unnest([64, 256, 1024, 4096]) AS m), (SELECT unnest([4, 5, 6, 7, 8]) AS b)")
@@ -145,13 +208,15 @@ def truncation_rate(spark, d):
 # cost ---------------------------------------------------------------------------
 
 
-@query()
+@query("SELECT method, m::INT AS m, arrivals, arrivals * m AS dense_draws, true AS few FROM (SELECT count(*) AS arrivals FROM lineitem JOIN part ON l_partkey = p_partkey), (SELECT unnest([64, 256, 1024]) AS m), (SELECT unnest(['ordered_exp', 'logbucket']) AS method)")
 def work_draws(spark, d):
-    """Random draws of each method by m; the dense plan takes m for each arrival, routed ones take one."""
+    """Random draws of each method by m: the dense plan takes m for each arrival; whether the ordered ones take few more than m ln m a task and one for each arrival."""
     parts, out = W.parts(spark, d), None
+    tasks = parts.rdd.getNumPartitions()
     for m in (64, 256, 1024):
         for name, floats in (("ordered_exp", True), ("logbucket", False)):
-            one = S.work_counters(parts, SketchSpec(m), floats=floats).select(F.lit(name).alias("method"), F.lit(m).alias("m"), "arrivals", "draws", "refreshes", (F.col("arrivals") * m).alias("dense_draws"))
+            few = F.col("draws").between(F.col("arrivals"), F.col("arrivals") * 2 + 6 * m * math.log(m) * max(tasks, 8))
+            one = S.work_counters(parts, SketchSpec(m), floats=floats).select(F.lit(name).alias("method"), F.lit(m).alias("m"), "arrivals", (F.col("arrivals") * m).alias("dense_draws"), few.alias("few"))
             out = one if out is None else out.unionByName(one)
     return out
 
@@ -161,32 +226,44 @@ def work_rises(spark, d):
     return live.trajectory(W.parts(spark, d), W.ARRIVAL, M).agg(F.count(F.lit(1)).alias("rises"))
 
 
-@query()
+@query("SELECT count(DISTINCT o_custkey) AS streams, true AS quick FROM orders JOIN lineitem ON o_orderkey = l_orderkey")
 def work_newton_iters(spark, d):
-    """Newton steps of every customer's sketch."""
+    """Customers' sketches, and whether Newton's method settles within ten steps for each."""
     h = histogram(S.integer_registers(W.ratings(spark, d), M16, ["stream"]), ["stream"], M16)
-    return h.select(E.newton(F.col("hist"), M16)["iterations"].alias("iterations")).groupBy("iterations").agg(F.count(F.lit(1)).alias("streams"))
+    return h.select(E.newton(F.col("hist"), M16)["iterations"].alias("steps")).agg(F.count(F.lit(1)).alias("streams"), (F.max("steps") <= 10).alias("quick"))
 
 
-@query()
+@query("SELECT arrivals_in, n AS arrivals, true AS one_register_each, arrivals_in = 'ascending' AS slow FROM (SELECT count(*) AS n FROM events), (SELECT unnest(['ascending', 'descending']) AS arrivals_in)")
 def work_ascending_weights(spark, d):
-    """Weights that grow with time keep the early stop from working; one register for each arrival doesn't mind."""
+    """Weights that grow with time keep the early stop from working (``slow``: over twice the draws); the running estimate looks at one register for each arrival in either order."""
+    rows = W.synthetic(spark, d, "uniform").select("x", (F.pow("w", 8) * 1e6).alias("w"), "event_id")
     out = None
     for name, order in (("ascending", F.col("w")), ("descending", F.desc("w"))):
-        rows = W.synthetic(spark, d, "uniform").select("x", (F.pow("w", 8) * 1e6).alias("w")).repartition(1).sortWithinPartitions(order)
-        one = S.work_counters(rows, SketchSpec(256)).select(F.lit(name).alias("arrivals_in"), "arrivals", "draws")
+        work = S.work_counters(rows.repartition(1).sortWithinPartitions(order), SketchSpec(256)).withColumn("arrivals_in", F.lit(name))
+        placed = live.project(rows.withColumn("at", order if name == "ascending" else -F.col("w")), ["at", "event_id"], SketchSpec(256))
+        one = work.crossJoin(F.broadcast(placed.agg(F.count(F.lit(1)).alias("looked"))))
         out = one if out is None else out.unionByName(one)
-    return out
+    least = out.agg(F.min("draws").alias("least"))
+    return out.crossJoin(F.broadcast(least)).select("arrivals_in", "arrivals", (F.col("looked") == F.col("arrivals")).alias("one_register_each"), (F.col("draws") > 2 * F.col("least")).alias("slow"))
+
+
+_CHOICES = (("parts", Q.PARTS, False), ("ratings", Q.RATINGS, True), ("monitoring", Q.MONITORING, True))
+#: tasks that the choice is made for
+TASKS = 64
+
+
+def _choice_sql(name: str, stream: str, by: bool, m: int) -> str:
+    met = f"least(streams, greatest(arrivals / {TASKS}, 0))"
+    return f"SELECT '{name}' AS stream, {m}::INT AS m, arrivals, CASE WHEN arrivals * {m} <= {1 << 22} THEN 'dense' WHEN {met} * {m} > arrivals / {TASKS} THEN 'by_stream' ELSE 'routed' END AS plan FROM (SELECT count(*) AS arrivals, {'count(DISTINCT stream)' if by else '1'} AS streams FROM ({stream}))"
 
 
-@query()
+@query(" UNION ALL ".join(_choice_sql(*c, m) for c in _CHOICES for m in (16, 1024)))
 def plan_choice(spark, d):
     rows = []
     for name, df, by in (("parts", W.parts(spark, d), None), ("ratings", W.ratings(spark, d), ["stream"]), ("monitoring", W.monitoring(spark, d), ["stream"])):
-        for m in (16, 1024):
-            s = planner.stats(df, by)
-            rows.append((name, m, s.arrivals, s.streams, planner.choose_plan(SketchSpec(m), s)))
-    return spark.createDataFrame(rows, "stream string, m int, arrivals long, streams long, plan string")
+        s = replace(planner.stats(df, by), tasks=TASKS)
+        rows += [(name, m, s.arrivals, planner.choose_plan(SketchSpec(m), s)) for m in (16, 1024)]
+    return spark.createDataFrame(rows, "stream string, m int, arrivals long, plan string")
 
 
 # applications ---------------------------------------------------------------------

@@ -64,6 +64,12 @@ VOTES = "SELECT o_orderpriority AS stream, o_custkey::VARCHAR AS x, c_acctbal AS
 DAILY = "SELECT strftime(ts, '%Y-%m-%d') AS stream, user_id::VARCHAR AS x, c_acctbal AS w, ts, event_id FROM events JOIN customer ON user_id = c_custkey WHERE c_acctbal > 0"
 LINKS = f"SELECT {element('c_nationkey', 's_nationkey')} AS x, 1.0::DOUBLE AS w FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"
 TEXTS = "SELECT text AS x, n_chars::DOUBLE AS w FROM documents"
+LAWS = {"uniform": uniform("event_id", "1", 7919), "gamma": f"-2.0 * ln({uniform('event_id', '1', 7919)})"}
+_DRAW = "1 + sqrt(0.1) * sqrt(-2 * ln({a})) * cos(2 * pi() * {b})"
+_DRAWS = [_DRAW.format(a=uniform("event_id", str(2 * k + 1), 7919), b=uniform("event_id", str(2 * k + 2), 7919)) for k in range(8)]
+LAWS["gauss"] = "CASE " + " ".join(f"WHEN {x} > 0 THEN {x}" for x in _DRAWS) + " ELSE 1.0 END"
+_EDGE = element("o_custkey", "l_suppkey")
+EDGES = f"SELECT *, {uniform('x', "'0'", 17)} AS w FROM (SELECT {_EDGE} AS x, l_shipdate, l_orderkey, l_linenumber, l_partkey, l_suppkey FROM orders JOIN lineitem ON o_orderkey = l_orderkey)"
 MONITORING = "SELECT event_type AS stream, event_id::VARCHAR AS x, value AS w, ts, event_id FROM events"
 
 
@@ -74,6 +80,7 @@ def tfidf(docs: str) -> str:
       SELECT stream, x, tf * ln(n / df) AS w FROM tf JOIN df USING (x), n WHERE df < n)"""
 
 
+ENGLISH, OTHER = (tfidf(f"SELECT doc_id AS stream, text FROM documents WHERE lang {sign} 'en'") for sign in ("=", "<>"))
 DOCUMENTS = tfidf("SELECT doc_id AS stream, text FROM documents")
 CONVERSATIONS = tfidf("SELECT conv_id AS stream, array_to_string(list_sort(list(text)), ' ') AS text FROM conversations GROUP BY conv_id")
 PAGES = tfidf("SELECT page_id AS stream, regexp_replace(html, '<[^>]*>', ' ', 'g') AS text FROM pages")

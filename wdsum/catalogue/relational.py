@@ -6,10 +6,12 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import element_key
+from ..functions.registers import merge_rows
 from ..operators import exact, relational
 from ..operators import sketches as S
+from ..plans.shared import fresh_path
 from ..sources import workloads as W
-from ..sources.tables import table
+from ..sources.tables import read_csv, read_json, table, write_sketches
 from ..sources.weights import clean, law, resolve
 from . import registry as Q
 from .core import M16, days
@@ -243,14 +245,42 @@ def op_struct(spark, d):
 # inputs -----------------------------------------------------------------------
 
 
-def _u(k: int) -> str:
-    return Q.uniform("event_id", str(k), 7919)
-
-
-_DRAW = "1 + sqrt(0.1) * sqrt(-2 * ln({a})) * cos(2 * pi() * {b})"
-_GAUSS = "CASE " + " ".join(f"WHEN {_DRAW.format(a=_u(2 * k + 1), b=_u(2 * k + 2))} > 0 THEN {_DRAW.format(a=_u(2 * k + 1), b=_u(2 * k + 2))}" for k in range(8)) + " ELSE 1.0 END"
-for _kind, _sql in (("uniform", _u(1)), ("gamma", f"-2.0 * ln({_u(1)})"), ("gauss", _GAUSS)):
+for _kind, _sql in Q.LAWS.items():
     query(f"SELECT event_id, round({_sql}, 9) AS w FROM events", f"synth_{_kind}")(lambda spark, d, kind=_kind: table(spark, d, "events").select("event_id", F.round(law(kind, F.col("event_id").cast("string")), 9).alias("w")))
 for _name, _sql, _key, _text in (("documents", Q.DOCUMENTS, "doc_id", "text"), ("pages", Q.PAGES, None, None), ("conversations", Q.CONVERSATIONS, None, None)):
     query(f"SELECT stream, count(*) AS words, round(sum(w), 3) AS total FROM {_sql} GROUP BY stream", f"tfidf_{_name}")(lambda spark, d, f=getattr(W, _name): f(spark, d).groupBy("stream").agg(F.count(F.lit(1)).alias("words"), F.round(F.sum("w"), 3).alias("total")))
 
+
+
+# sources and stores ---------------------------------------------------------------
+
+
+@query("SELECT event_type, count(*) AS n, round(sum(value), 2) AS total FROM events GROUP BY event_type")
+def op_source_json(spark, d):
+    """Events written as lines of JSON, and read back with their schema."""
+    path = fresh_path(spark, "json")
+    table(spark, d, "events").select("event_id", "event_type", "value").write.json(path)
+    back = read_json(spark, path, "event_id long, event_type string, value double")
+    return back.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 2).alias("total"))
+
+
+@query("SELECT c_mktsegment, count(*) AS n, round(sum(c_acctbal), 2) AS total FROM customer GROUP BY c_mktsegment")
+def op_source_csv(spark, d):
+    """Customers written as CSV with a header, and read back with their schema."""
+    path = fresh_path(spark, "csv")
+    table(spark, d, "customer").select("c_custkey", "c_mktsegment", "c_acctbal").write.csv(path, header=True)
+    back = read_csv(spark, path, "c_custkey long, c_mktsegment string, c_acctbal double")
+    return back.groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("c_acctbal"), 2).alias("total"))
+
+
+_DAYS = f"SELECT strftime(ts, '%Y-%m-%d') AS day, j, max({Q.bucket(Q.value('user_id', 'c_acctbal', 'j'), M16)}) AS y FROM (SELECT *, {Q.route('user_id', 16)}::INT AS j FROM events JOIN customer ON user_id = c_custkey WHERE c_acctbal > 0) GROUP BY ALL"
+
+
+@query(f"SELECT j, max(y) AS y FROM ({_DAYS}) WHERE day BETWEEN '2024-01-08' AND '2024-01-14' GROUP BY j")
+def op_sketch_store(spark, d):
+    """A store of daily sketches; a week's sketch reads that week's folders only."""
+    path = fresh_path(spark, "store")
+    rows = W.daily_users(spark, d)
+    write_sketches(S.routed_registers(rows, M16, ["stream"]).withColumnRenamed("stream", "day"), path, ["day"])
+    week = spark.read.schema("j int, y int, day string").parquet(path).where(F.col("day").between("2024-01-08", "2024-01-14"))
+    return merge_rows(week, [])

@@ -84,6 +84,13 @@ def stream_live(spark, d):
     return out.groupBy("stream").agg(F.round(F.max("est"), 2).alias("est"), F.max("rises").alias("rises"))
 
 
+@query(f"SELECT j, max({Q.bucket(Q.value('x', 'w', 'j'), M16)}) AS y FROM (SELECT x, {Q.uniform('x', '1', 7919)} AS w, {Q.route('x', 16)}::INT AS j FROM (SELECT unnest(range(0, 500))::VARCHAR AS x)) GROUP BY j")
+def stream_rate(spark, d):
+    """Registers of a made-up stream's first micro-batch."""
+    rows = T.routed_rows(T.rate(spark, 500), M16, [])
+    return T.run(rows.groupBy("j").agg(F.max("y").alias("y")))
+
+
 # SQL -----------------------------------------------------------------------------
 
 
@@ -124,7 +131,7 @@ def udaf_sketch(spark, d):
     """One sketch for each option by an aggregate function; whether its estimate is within five errors."""
     sqlfuncs.register(spark)
     W.votes(spark, d).distinct().createOrReplaceTempView("wds_votes")
-    sketch = spark.sql("SELECT stream, sum(w) AS exact, count(*) AS n FROM wds_votes GROUP BY stream").join(spark.sql("SELECT stream, wds_sketch(x, w) AS registers FROM wds_votes GROUP BY stream"), "stream")
+    sketch = spark.sql("SELECT stream, sum(w) AS exact, count(*) AS n FROM wds_votes GROUP BY stream").join(spark.sql("SELECT stream, wds_sketch(xxhash64(x), w) AS registers FROM wds_votes GROUP BY stream"), "stream")
     est = sketch.withColumn("e", sqlfuncs.wds_estimate("registers", F.lit(8)))
     return est.select("stream", (F.abs(F.col("e.est") / F.col("exact") - 1) < 5 * 0.13).alias("close"))
 

@@ -1,9 +1,10 @@
-"""Deterministic random numbers of elements, as column expressions."""
+"""Deterministic random numbers of elements, and orders as numbers, as column expressions."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 _SCALE = float(1 << 52)
 #: salts of the three independent uses
@@ -49,3 +50,15 @@ def shard(x: Column, shards: int, seed: int = 0, kind: str = "fast") -> Column:
 def exponential(x: Column, w: Column, j: Column, seed: int = 0, kind: str = "fast") -> Column:
     """An exponential variable of rate w for element x and register j."""
     return -F.log(uniform(x, j, seed, kind)) / w
+
+
+def linear(df: DataFrame, column: str) -> Column | None:
+    """A column's values as numbers in the same order; None if they have no such form."""
+    kind = df.schema[column].dataType
+    if isinstance(kind, T.NumericType):
+        return F.col(column).cast("double")
+    if isinstance(kind, T.TimestampType):
+        return F.unix_micros(column).cast("double")
+    if isinstance(kind, T.TimestampNTZType):
+        return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col(column)).cast("double")
+    return F.unix_date(column).cast("double") if isinstance(kind, T.DateType) else None

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .kernels import MASK, OrderedSketch
+from .kernels import OrderedSketch
 
 _EXPRESSIONS = (
     "wds_uniform(x STRING, j INT, seed INT) RETURNS DOUBLE RETURN (CAST(conv(substr(md5(CAST(concat_ws(':', seed, x, j) AS BINARY)), 1, 13), 16, 10) AS BIGINT) + 0.5) / 4503599627370496D",
@@ -51,20 +53,16 @@ def wds_estimate(registers: pd.Series, b: pd.Series) -> pd.DataFrame:
 
 
 @F.pandas_udf(T.ArrayType(T.IntegerType()))
-def wds_sketch(x: pd.Series, w: pd.Series) -> list:
-    """A sketch of 64 registers of 8 bits of one group: for small groups, since it has no partial form."""
+def wds_sketch(key: pd.Series, w: pd.Series) -> list:
+    """A sketch of 64 registers of 8 bits of one group, from ``xxhash64(x)`` and weights: for small groups, since it has no partial form."""
     s = OrderedSketch(64, -127, 127, floats=False)
-    keys = np.array([hash_of(v) for v in x], np.uint64)
-    s.add(keys, w.to_numpy(float))
+    s.add(key.to_numpy(np.int64).view(np.uint64), w.to_numpy(float))
     return s.registers.tolist()
 
 
-def hash_of(x: object) -> int:
-    """A 64-bit number of an element's text that doesn't depend on the process."""
-    h = 0xCBF29CE484222325
-    for byte in str(x).encode():
-        h = (h ^ byte) * 0x100000001B3 & MASK
-    return h
+def hash_of(x: str) -> int:
+    """A 64-bit number of one element's text that doesn't depend on the process."""
+    return int.from_bytes(hashlib.blake2b(str(x).encode(), digest_size=8).digest(), "little")
 
 
 @F.udtf(returnType=_struct(j=T.IntegerType(), y=T.IntegerType()))

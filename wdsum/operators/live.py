@@ -23,9 +23,8 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from ..functions.hashing import exponential, route, shard
+from ..functions.hashing import exponential, linear, route, shard
 from ..functions.kernels import LiveSketch
 from ..functions.registers import bucket, truncate
 from ..plans.shared import small
@@ -47,18 +46,6 @@ def project(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(),
 STRETCHES, SHARE = 11, 1 / 8
 
 
-def _linear(df: DataFrame, column: str):
-    """A column's values as numbers in the same order; None if they have no such form."""
-    kind = df.schema[column].dataType
-    if isinstance(kind, T.NumericType):
-        return F.col(column).cast("double")
-    if isinstance(kind, T.TimestampType):
-        return F.unix_micros(column).cast("double")
-    if isinstance(kind, T.TimestampNTZType):
-        return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col(column)).cast("double")
-    return F.unix_date(column).cast("double") if isinstance(kind, T.DateType) else None
-
-
 def above_floors(rows: DataFrame, df: DataFrame, order_by: list[str], by: list[str] | None = None) -> DataFrame:
     """Rows of ``project`` that reach above the floor of their stretch: every rise does.
 
@@ -66,14 +53,14 @@ def above_floors(rows: DataFrame, df: DataFrame, order_by: list[str], by: list[s
     order is read. That column must be a number, date or time; otherwise, and
     with too many streams to broadcast floors of, all rows stay.
     """
-    at = _linear(df, order_by[0])
+    at = linear(df, order_by[0])
     if at is None:
         return rows
     lo, hi = df.agg(F.min(at), F.max(at)).first()
     if lo is None or not lo < hi:
         return rows
     keys = [*(by or []), "s", "j"]
-    placed = rows.withColumn("_at", F.floor(F.log2((_linear(rows, order_by[0]) - lo) / (hi - lo) * (2 ** (STRETCHES - 1) - 1) + 1)).cast("int"))
+    placed = rows.withColumn("_at", F.floor(F.log2((linear(rows, order_by[0]) - lo) / (hi - lo) * (2 ** (STRETCHES - 1) - 1) + 1)).cast("int"))
     # any arrivals do for a lower bound, so it doesn't matter which ones the draw takes
     top = placed.where(F.rand(1) < SHARE).groupBy(*keys, "_at").agg(F.max("y").alias("_y"))
     floors = top.groupBy(*keys).agg(F.array(*(F.max(F.when(F.col("_at") < k, F.col("_y"))) for k in range(STRETCHES + 1))).alias("_floors"))
