@@ -85,6 +85,9 @@ def test_scores_equal_the_definition(spark, seed, depth, chunk):
     n, v = sum(count.values()), len(count)
     df = spark.createDataFrame([(*d, 1) for d in docs], "doc_id long, text string, chunk int").repartition(3)
     rows = C.score_documents(df, depth=depth, chunk_bytes=chunk).collect()
+    plain = [((d is not None, d or 0), sum(math.log10((count[x] + 1) / (n + v + 1)) for x in [*tokens(t), None])) for d, t in docs]
+    for (i, x), (k, y) in zip(sorted(((r.doc_id is not None, r.doc_id or 0), r.base_score) for r in rows), sorted(plain), strict=True):
+        assert i == k and x == pytest.approx(y, rel=1e-12)
     got = sorted((r.doc_id is not None, r.doc_id or 0, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 6), round(r.score, 6), r.held_out) for r in rows)
     want = []
     for d, t in docs:

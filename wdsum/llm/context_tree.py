@@ -34,6 +34,8 @@ DEPTH = 6
 CHUNK_BYTES = 24 << 20
 END, SPACE = 0x0A, 0x20
 GRAM, WORD = 0, 1
+#: what travels as the answer for a key: a byte's log10 probability, a word's count
+KIND = {GRAM: np.float32, WORD: np.int64}
 #: the key of the end token among words
 END_WORD = 0
 
@@ -397,12 +399,10 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         every, counts = tally.all()
         if not wanted:
             values = np.zeros(len(every))
-        elif kind == GRAM:
-            values = shallow.log10(every, Subtree(every, counts, depth).chance, depth)
-        else:  # the sign tells whether the word is known
-            values = np.log10((counts + 1) / (train_tokens + different + 1))
-            values = np.where(counts > 0, values, -values)
-        values = values.astype(np.float32)  # six digits of each token's share
+        elif kind == GRAM:  # seven digits of each byte's share
+            values = shallow.log10(every, Subtree(every, counts, depth).chance, depth).astype(np.float32)
+        else:
+            values = counts
         found = [pack(values[np.searchsorted(every, w)]) for w in wanted]
         return pa.table([asked.column("chunk").combine_chunks(), pa.array([kind] * len(wanted), pa.int64()), asked.column("keys").combine_chunks().cast(pa.binary()), pa.array(found, pa.binary())], names=["chunk", "kind", "keys", "values"])
 
@@ -411,21 +411,22 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         for kind in (GRAM, WORD):
             part = answers.filter(pc.equal(answers.column("kind"), kind))
             keys = np.concatenate([np.zeros(0, U64), *(unpack_keys(x) for x in part.column("keys").to_pylist())])
-            values = np.concatenate([np.zeros(0), *(unpack(x, np.float32) for x in part.column("values").to_pylist())])
+            values = np.concatenate([np.zeros(0, KIND[kind]), *(unpack(x, KIND[kind]) for x in part.column("values").to_pylist())])
             tables.append((Lookup(keys), values))
         data, at = utf8(texts.column("text"))
         columns: list[list[np.ndarray]] = [[] for _ in range(5)]
         for i, j in blocks(at):
             out, bounds, code, at_word = spelled(data[at[i] : at[j]], at[i : j + 1] - at[i])
             find, values = tables[GRAM]
-            bits = np.add.reduceat(values[find(keys_of(out, bounds, depth))], bounds[:-1])
+            bits = np.add.reduceat(values[find(keys_of(out, bounds, depth))], bounds[:-1], dtype=float)
             find, values = tables[WORD]
             count = np.diff(at_word)
             own = values[find(word_keys(code))]
-            end = values[find(np.full(1, END_WORD, U64))][0]
+            end = int(values[find(np.full(1, END_WORD, U64))][0])
+            share = lambda c: np.log10((c + 1) / (train_tokens + different + 1))
             owner = np.repeat(np.arange(j - i), count)
-            base = np.bincount(owner, -np.abs(own), minlength=j - i) - abs(end)
-            known = np.bincount(owner, own < 0, minlength=j - i).astype(np.int64) + int(end < 0)
+            base = np.bincount(owner, share(own), minlength=j - i) + share(end)
+            known = np.bincount(owner, own > 0, minlength=j - i).astype(np.int64) + int(end > 0)
             for c, v in zip(columns, (count + 1, known, base, bits, np.diff(bounds)), strict=True):
                 c.append(v)
         n, known, base, bits, size = (np.concatenate(c) for c in columns)
