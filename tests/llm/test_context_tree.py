@@ -76,8 +76,10 @@ def texts(seed):
     return [(i, "".join(rng.choices(["ab", "Ba ", "c ", "é\n", " "], k=rng.randint(0, 12)))) for i in range(40)] + [(77, None), (78, ""), (5, "again ab"), (None, "ab c")]
 
 
-@pytest.mark.parametrize(("seed", "depth", "chunk"), [(0, 3, 1 << 20), (1, 2, 64)])
-def test_scores_equal_the_definition(spark, seed, depth, chunk):
+@pytest.mark.parametrize(("seed", "depth", "chunk"), [(0, 3, 1 << 20), (1, 2, 64), (2, 4, 64)])
+def test_scores_equal_the_definition(spark, monkeypatch, seed, depth, chunk):
+    if seed == 2:  # half of the pairs are split
+        monkeypatch.setattr(C, "parts_of", lambda *a: np.random.default_rng(1).integers(1, 3, 1 << 16))
     docs = texts(seed)
     train = [t for d, t in docs if crc("" if d is None else d) % 7 != 2]
     tree = PlainTree(train, depth)
@@ -123,5 +125,12 @@ def test_packed_keys_and_log_gamma():
     assert (C.Lookup(keys)(keys[::-1]) == np.arange(len(keys))[::-1]).all()
 
 
+def test_common_pairs_are_split(spark):
+    df = spark.createDataFrame([(i, "aaab" * 20 + "xyz" * i) for i in range(30)], "doc_id long, text string")
+    parts = C.parts_of(df, 1000, 100, 4)
+    assert parts[ord("a") << 8 | ord("a")] > 1 and parts.sum() < (1 << 16) + 100
+    assert (C.parts_of(df, 1000, 8, 4) == 1).all() and (C.parts_of(df.limit(0), 0, 100, 4) == 1).all()
+
+
 def test_empty_table(spark):
     assert C.score_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0

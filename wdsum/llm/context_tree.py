@@ -10,7 +10,9 @@ weights that follow mix the estimates of all depths for the next bit.
 Counts are the corpus's (context, byte) strings, summed by Spark. Strings that
 share their last two context bytes form whole subtrees, which tasks weigh apart
 from each other; only the two shallowest levels, of at most 256 contexts of 255
-choices, pass the driver. Texts are scored in chunks: a chunk asks for the
+choices, pass the driver. Where two such bytes are so common that their subtree
+would outgrow a task (at most ``SPLIT`` pairs, by a sample), it is dealt out by
+the third byte, and the pair's own 255 choices pass the driver too. Texts are scored in chunks: a chunk asks for the
 strings and words that it has and no more, so no table is sent everywhere.
 """
 
@@ -32,6 +34,8 @@ from .textkit import U64, blocks, lower_ascii, mix, utf8, word_codes, words
 DEPTH = 6
 #: bytes of text scored together
 CHUNK_BYTES = 24 << 20
+#: pairs of bytes whose subtrees are dealt out at most, and bytes of text that show how common pairs are
+SPLIT, SAMPLE_BYTES = 1024, 32 << 20
 END, SPACE = 0x0A, 0x20
 GRAM, WORD = 0, 1
 #: what travels as the answer for a key: a byte's log10 probability, a word's count
@@ -110,18 +114,39 @@ class Subtree:
 
 
 class Shallow:
-    """The two shallowest levels, from sums over contexts of two bytes."""
+    """The two shallowest levels, from sums over contexts of two bytes; and these contexts themselves, where they are split.
 
-    def __init__(self, nodes: np.ndarray, sums: np.ndarray):
+    ``middle``: (nodes, sums) over contexts of three bytes of the split pairs.
+    """
+
+    def __init__(self, nodes: np.ndarray, sums: np.ndarray, middle: tuple[np.ndarray, np.ndarray] | None = None):
         self.count = np.zeros((2, 256 * 256))
         deeper = np.zeros(256 * 256)
         self.count[:, nodes], deeper[nodes] = sums[:, :2].T, sums[:, 2]
+        self.nodes, found = middle or (np.zeros(0, U64), np.zeros((0, 3)))
+        self.middle = found[:, :2].T
+        weighted, self.middle_share = weigh(*self.middle, found[:, 2])
+        up = ((self.nodes >> U64(16)) << U64(8) | self.nodes & U64(255)).astype(np.int64)
+        for total, part in ((self.count[0], self.middle[0]), (self.count[1], self.middle[1]), (deeper, weighted)):
+            np.add.at(total, up, part)
         weighted, self.share = weigh(*self.count, deeper)
         self.count0 = self.count.reshape(2, 256, 256).sum(axis=1)
         weighted0, self.share0 = weigh(*self.count0, weighted.reshape(256, 256).sum(axis=0))
         #: log probability of the whole training text under the weighted tree
         self.log_weighted = float(weighted0[1:].sum())
 
+    def mixed(self, keys: np.ndarray, chance: np.ndarray, depth: int = DEPTH) -> np.ndarray:
+        """Probabilities of each key's bits with those of its context of two bytes mixed in."""
+        byte, pair = keys & U64(255), keys >> U64(8 * (depth - 1))
+        out = np.empty_like(chance)
+        for level in range(8):
+            node = pair << U64(8) | U64(1 << level) | byte >> U64(8 - level)
+            at = np.minimum(np.searchsorted(self.nodes, node), max(len(self.nodes) - 1, 0))
+            known = self.nodes[at] == node if len(self.nodes) else np.zeros(len(keys), bool)
+            zeros, ones, share = (np.where(known, x[at] if len(x) else 0.0, none) for x, none in ((self.middle[0], 0.0), (self.middle[1], 0.0), (self.middle_share, 0.5)))
+            out[level] = share * next_bit(zeros, ones, (byte >> U64(7 - level) & U64(1)).astype(np.int64)) + (1 - share) * chance[level]
+        return out
+
     def log10(self, keys: np.ndarray, chance: np.ndarray, depth: int = DEPTH) -> np.ndarray:
         """log10 of the probability of each key's byte in its context."""
         byte, near = (keys & U64(255)).astype(np.int64), (keys >> U64(8 * depth)).astype(np.int64)
@@ -262,16 +287,20 @@ def unpack_keys(raw: bytes) -> np.ndarray:
     return np.cumsum(np.ascontiguousarray(planes.T).view(U64).ravel(), dtype=U64)
 
 
-def bucket_of(kind: int, keys: np.ndarray, buckets: int, depth: int) -> np.ndarray:
-    """Keys of one bucket are met in one task; contexts with the same two nearest bytes share one."""
-    place = keys >> U64(8 * (depth - 1)) if kind == GRAM else keys
+def bucket_of(kind: int, keys: np.ndarray, buckets: int, depth: int, parts: np.ndarray) -> np.ndarray:
+    """Keys of one bucket are met in one task; contexts with the same two nearest bytes share one, or ``parts`` of them by the third byte."""
+    place = keys
+    if kind == GRAM:
+        pair = keys >> U64(8 * (depth - 1))
+        third = mix((keys >> U64(8 * (depth - 2)) & U64(255)) + U64(1)) % parts[pair.astype(np.int64)].astype(U64) if depth > 2 else U64(0)
+        place = pair << U64(8) | third
     return (mix(place + U64(kind)) % U64(buckets)).astype(np.int64) * 2 + kind
 
 
-def packed_rows(tally: Tally, kind: int, buckets: int, depth: int) -> Iterator[tuple[int, bytes, bytes]]:
+def packed_rows(tally: Tally, kind: int, buckets: int, depth: int, parts: np.ndarray) -> Iterator[tuple[int, bytes, bytes]]:
     """(bucket, keys, counts) of a tally."""
     keys, counts = tally.all()
-    at = bucket_of(kind, keys, buckets, depth)
+    at = bucket_of(kind, keys, buckets, depth, parts)
     order = np.argsort(at, kind="stable")
     edge = np.flatnonzero(np.r_[True, np.diff(at[order]) != 0, True]) if len(at) else []
     for x, y in zip(edge[:-1], edge[1:], strict=True):
@@ -279,6 +308,11 @@ def packed_rows(tally: Tally, kind: int, buckets: int, depth: int) -> Iterator[t
         yield int(at[rows[0]]), pack_keys(keys[rows]), pack(counts[rows])
 
 
+def whole(keys: np.ndarray, depth: int, parts: np.ndarray) -> np.ndarray:
+    """Which keys have the whole subtree of their two nearest bytes beside them."""
+    return parts[(keys >> U64(8 * (depth - 1))).astype(np.int64)] == 1
+
+
 # over a table ------------------------------------------------------------------
 
 
@@ -295,14 +329,41 @@ def add_texts(grams: Tally, tokens: Tally, column: pa.Array, depth: int) -> None
         tokens.add(np.full(j - i, END_WORD, U64))
 
 
-def _counts(texts: DataFrame, buckets: int, depth: int) -> DataFrame:
+def parts_of(rows: DataFrame, size: int, buckets: int, depth: int) -> np.ndarray:
+    """For each pair of nearest bytes the parts that its subtree is dealt to: one, unless it has more than two buckets' share of a sample.
+
+    However it turns out, only the deal depends on it, not the scores.
+    """
+    parts = np.ones(1 << 16, np.int64)
+    if depth < 3 or buckets < 16:
+        return parts
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n = np.zeros(1 << 16, np.int64)
+        for b in batches:
+            data, at = utf8(b.column(0))
+            for i, j in blocks(at):
+                out, bounds, _, _ = spelled(data[at[i] : at[j]], at[i : j + 1] - at[i])
+                n += np.bincount((keys_of(out, bounds, 2) >> U64(8)).astype(np.int64), minlength=1 << 16)
+        pair = np.flatnonzero(n)
+        yield pa.record_batch([pa.array(pair), pa.array(n[pair])], names=["pair", "n"])
+
+    some = rows.where(F.rand(1) < min(1.0, SAMPLE_BYTES / max(size, 1))).select("text").mapInArrow(count, "pair long, n long")
+    found = some.groupBy("pair").agg(F.sum("n").alias("n")).collect()  # at most 65,536 pairs
+    total = sum(r.n for r in found)
+    for r in sorted(found, key=lambda r: -r.n)[:SPLIT]:
+        parts[r.pair] = min(256, max(1, int(r.n / total * buckets / 2)))
+    return parts
+
+
+def _counts(texts: DataFrame, buckets: int, depth: int, deal: np.ndarray) -> DataFrame:
     """(bucket, keys, counts) of all of ``texts``, one row for each bucket."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tallies = Tally(), Tally()
         for b in batches:
             add_texts(*tallies, b.column(0), depth)
-        yield from _record(((k, *row) for k in (GRAM, WORD) for row in packed_rows(tallies[k], k, buckets, depth)), ["_", "bucket", "keys", "counts"])
+        yield from _record(((k, *row) for k in (GRAM, WORD) for row in packed_rows(tallies[k], k, buckets, depth, deal)), ["_", "bucket", "keys", "counts"])
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, tally = None, Tally()
@@ -339,21 +400,28 @@ def _merged(bucket: int, tally: Tally) -> Iterator[pa.RecordBatch]:
     yield from _record(iter([(bucket, pack_keys(keys), pack(counts), len(keys), int(counts.sum()))]), ["bucket", "keys", "counts", "n_keys", "total"])
 
 
-def _shallow(model: DataFrame, depth: int) -> Shallow:
-    """At most 256 times 255 rows of sums pass the driver."""
+def _shallow(model: DataFrame, depth: int, deal: np.ndarray) -> Shallow:
+    """At most 256 times 255 rows of sums pass the driver, and ``SPLIT`` times 255 of split pairs."""
 
     def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((256 * 256, 3))
+        total, split = np.zeros((256 * 256, 3)), []
         for b in batches:
-            for keys, counts in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                nodes, part = Subtree(unpack_keys(keys), unpack(counts, np.int64), depth).shallow()
+            for raw, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                keys, counts = unpack_keys(raw), unpack(n, np.int64)
+                own = whole(keys, depth, deal)
+                nodes, part = Subtree(keys[own], counts[own], depth).shallow()
                 total[nodes.astype(np.int64)] += part
+                if not own.all():
+                    split.append(Subtree(keys[~own], counts[~own], depth, 3).shallow())
         nodes = np.flatnonzero(total.any(axis=1))
-        yield pa.record_batch([pa.array(nodes), *(pa.array(total[nodes, k]) for k in range(3))], names=["node", "zeros", "ones", "deeper"])
+        yield pa.record_batch([pa.array(np.zeros(len(nodes), np.int32)), pa.array(nodes), *(pa.array(total[nodes, k]) for k in range(3))], names=["middle", "node", "zeros", "ones", "deeper"])
+        for found, part in split:
+            yield pa.record_batch([pa.array(np.ones(len(found), np.int32)), pa.array(found.astype(np.int64)), *(pa.array(part[:, k]) for k in range(3))], names=["middle", "node", "zeros", "ones", "deeper"])
 
-    found = model.where(f"bucket % 2 = {GRAM}").select("keys", "counts").mapInArrow(sums, "node long, zeros double, ones double, deeper double")
-    rows = found.groupBy("node").agg(F.sum("zeros"), F.sum("ones"), F.sum("deeper")).collect()
-    return Shallow(np.array([r[0] for r in rows], np.int64), np.array([r[1:] for r in rows], float).reshape(-1, 3))
+    found = model.where(f"bucket % 2 = {GRAM}").select("keys", "counts").mapInArrow(sums, "middle int, node long, zeros double, ones double, deeper double")
+    rows = found.groupBy("middle", "node").agg(F.sum("zeros"), F.sum("ones"), F.sum("deeper")).orderBy("node").collect()
+    table = lambda kind, middle: (np.array([r[1] for r in rows if r[0] == middle], kind), np.array([r[2:] for r in rows if r[0] == middle], float).reshape(-1, 3))
+    return Shallow(*table(np.int64, 0), table(U64, 1))
 
 
 def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", depth: int = DEPTH, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
@@ -372,10 +440,11 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), held_out(F.col(id_col)).alias("held_out"), text.alias("text"))
     size = rows.agg(F.sum(F.octet_length("text") + 1)).first()[0] or 0
     chunks, buckets = max(1, -(-size // chunk_bytes)), max(8, -(-size // (chunk_bytes // 4)))
-    model = stored(_counts(rows.where("not held_out"), buckets, depth))
+    deal = parts_of(rows, size, buckets, depth)
+    model = stored(_counts(rows.where("not held_out"), buckets, depth, deal))
     totals = {r[0]: r[1:] for r in model.groupBy((F.col("bucket") % 2).alias("kind")).agg(F.sum("n_keys"), F.sum("total")).collect()}
     different, train_tokens = totals.get(WORD, (0, 0))
-    shallow = _shallow(model, depth)
+    shallow = _shallow(model, depth, deal)
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         asked: dict[int, tuple[Tally, Tally]] = {}
@@ -386,7 +455,7 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
                 add_texts(*tallies, b.column(1).filter(pa.array(chunk == c)), depth)
         for c in list(asked):
             tallies = asked.pop(c)
-            yield from _record(((r[0], c, r[1]) for k in (GRAM, WORD) for r in packed_rows(tallies[k], k, buckets, depth)), ["bucket", "chunk", "keys"])
+            yield from _record(((r[0], c, r[1]) for k in (GRAM, WORD) for r in packed_rows(tallies[k], k, buckets, depth, deal)), ["bucket", "chunk", "keys"])
 
     def answer(key: tuple, known: pa.Table, asked: pa.Table) -> pa.Table:
         kind = key[0].as_py() % 2
@@ -400,7 +469,12 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         if not wanted:
             values = np.zeros(len(every))
         elif kind == GRAM:  # seven digits of each byte's share
-            values = shallow.log10(every, Subtree(every, counts, depth).chance, depth).astype(np.float32)
+            own = whole(every, depth, deal)
+            chance = np.empty((8, len(every)))
+            chance[:, own] = Subtree(every[own], counts[own], depth).chance
+            if not own.all():
+                chance[:, ~own] = shallow.mixed(every[~own], Subtree(every[~own], counts[~own], depth, 3).chance, depth)
+            values = shallow.log10(every, chance, depth).astype(np.float32)
         else:
             values = counts
         found = [pack(values[np.searchsorted(every, w)]) for w in wanted]
