@@ -32,7 +32,7 @@ from .textkit import BYTE_CODES, U64, Rolling, anchored_cells, merge_spans, mix
 from .windows import NULL_ID, by_document, by_print, cells, free_names, identified, list_parts, packed, removal, shared_cells, symbols, unpack
 
 #: bytes of context in one suffix array, and representatives of one key
-BATCH_BYTES, GROUP = 1 << 20, 1024
+BATCH_BYTES, GROUP = 1 << 20, 4096
 
 
 class SuffixArray:
@@ -282,6 +282,13 @@ def _array_spans(contexts: DataFrame, n: int, far: int) -> DataFrame:
     return contexts.repartition(F.xxhash64("grp")).sortWithinPartitions("grp", "doc", "s0").mapInArrow(run, "doc long, tag int, span long")
 
 
+def _whole(cells: DataFrame, n: int, far: int) -> DataFrame:
+    """(doc, tag, span) of cells (s0, s1, s2) that repeat whole."""
+    near = packed("s0", F.col("s1").cast("long") + n)
+    long = F.when(F.col("s2") - F.col("s0") >= far, packed("s0", F.col("s2").cast("long").bitwiseOR(F.lit(FAR))))
+    return cells.select("doc", "tag", F.explode(F.array_compact(F.array(near, long)) if far > n else F.array(near)).alias("span"))
+
+
 def partial_repeats(contexts: DataFrame, n: int, far: int, widths: tuple[int, ...] = (32, 1), group: int = GROUP) -> DataFrame:
     """(doc, tag, span) of the bytes in windows that occur in two contexts of one group."""
     found: DataFrame | None = None
@@ -292,7 +299,13 @@ def partial_repeats(contexts: DataFrame, n: int, far: int, widths: tuple[int, ..
         found = spans if found is None else found.unionByName(spans)
         if not large:
             return found
-        contexts = stored(_narrower(contexts.join(big, "grp", "left_semi"), n, far, width))
+        # near copies have most of these in common, so each different one goes on once
+        cut = stored(_narrower(contexts.join(big, "grp", "left_semi"), n, far, width).withColumn("print", F.xxhash64("windows", "part")))
+        count = cut.groupBy("grp", "print").agg(F.count(F.lit(1)).alias("size"), F.min(F.struct("doc", "tag", "s0")).alias("first"))
+        known = cut.join(count, ["grp", "print"])
+        whole = _whole(known.where("size > 1").withColumns({"s1": F.col("s0") + F.col("windows") - 1, "s2": F.col("s0") + F.octet_length("part")}), n, far)
+        found = found.unionByName(whole)
+        contexts = known.where(F.struct("doc", "tag", "s0") == F.col("first")).select(*_NAMES)
     # groups are single windows now: all of one with two members repeat, and those of ``far`` bytes if two of these are equal
     twice = lambda rows: rows.groupBy("grp").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select("grp")
     found = found.unionByName(contexts.join(twice(contexts), "grp", "left_semi").select("doc", "tag", packed("s0", F.col("s0").cast("long") + n).alias("span")))
@@ -338,10 +351,7 @@ def repeat_spans(texts: DataFrame, n: int, k: int, far: int | None = None) -> Da
     far = far or n
     shared = shared_cells(cells(texts, "byte", n, k, far))
     mixed = by_print(shared)
-    near = packed("s0", F.col("s1").cast("long") + n)
-    long = F.when(F.col("s2") - F.col("s0") >= far, packed("s0", F.col("s2").cast("long").bitwiseOR(F.lit(FAR))))
-    both = F.array_compact(F.array(near, long)) if far > n else F.array(near)
-    whole = [x.select("doc", "tag", F.explode(both).alias("span")) for x in (shared.where("not mixed"), mixed.where("n > 1"))]
+    whole = [_whole(x, n, far) for x in (shared.where("not mixed"), mixed.where("n > 1"))]
     asked = mixed.where("doc = first_doc").groupBy("doc", "tag").agg(F.collect_list(F.struct("key", "s0", "s1", "s2")).alias("cells"))
     contexts = stored(_contexts(texts.join(asked, ["doc", "tag"]).select("doc", "tag", "text", "cells")))
     return whole[0].unionByName(whole[1]).unionByName(partial_repeats(contexts, n, far))
