@@ -204,10 +204,10 @@ def _bucket_links(members: DataFrame) -> DataFrame:
 def candidates(nodes: DataFrame) -> DataFrame:
     """(a, b): links that join all sets that met in some run and look alike; from (node, tokens, sketch)."""
     whole = nodes.select("node", "tokens", F.explode(F.sequence(F.lit(0), F.lit(RUNS - 1))).alias("run"), F.lit(0).alias("branch"), F.lit(0).cast("long").alias("key"))
-    rows = _split(whole, 0)
+    rows, many = _split(whole, 0), RUNS * nodes.count()
     found: list[DataFrame] = []
     for step in range(1, len(FORKS) + 1):
-        met = stored(rows.join(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("least")).where("n > 1"), "key"))
+        met = stored(rows.join(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("least")).where("n > 1"), "key"), many)
         small = met.where(F.col("n") <= BUCKET).select("key", "node")
         found.append(_bucket_links(small.join(nodes.select("node", "sketch"), "node").select("key", "node", "sketch")))
         large = met.where(F.col("n") > BUCKET)
