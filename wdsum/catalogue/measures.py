@@ -118,6 +118,16 @@ def metric_rrmse_bits(spark, d):
     )
 
 
+_PREDICTED = "CASE method WHEN 'dense_exp' THEN sqrt(1 / (m - 2)) WHEN 'logbucket' THEN sqrt(ln(2) / (pi() * pi() / 6 - 1) / m) ELSE sqrt(ln(2) / m) END"
+
+
+@query(f"SELECT method, m, round(rrmse / ({_PREDICTED}), 4) AS ratio FROM ({_rrmse_sql(_FIRST_PARTS, ORDER, (64,))})")
+def metric_theory_ratio(spark, d):
+    """Measured errors as parts of the predicted ones."""
+    found = _rounded(metrics.rrmse(experiments.runs(_first_parts(spark, d), METHODS, (64,), SEEDS, portable(64), W.ARRIVAL), ["method", "m"]))
+    return _all(metrics.theory_ratio(found.where(F.col("method") == x), x, 64) for x in METHODS).select("method", "m", F.round("ratio", 4).alias("ratio"))
+
+
 #: float and integer sketches of 4,096 bits, the running estimate's without its counters
 EQUAL = (("dense_exp", 64), ("logbucket", 512), ("logbucket_live", 512))
 
