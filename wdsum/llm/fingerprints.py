@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .textkit import U64, Rolling, mix, utf8, word_codes, words
+from .textkit import U64, Rolling, mix, word_codes, words
 from .windows import NULL_ID
 
 TABLES = 3
