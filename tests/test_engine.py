@@ -122,14 +122,13 @@ def test_replay_does_not_raise_the_running_estimate(spark):
     assert live.estimate(twice, ["event_id"], P).first().est == pytest.approx(live.estimate(df, ["event_id"], P).first().est, rel=1e-12)
 
 
-@pytest.mark.parametrize("ttl", [None, 3_600_000])
-def test_keyed_state_goes_on_in_the_next_micro_batch(spark, tmp_path, ttl):
+def test_keyed_state_goes_on_in_the_next_micro_batch(spark, tmp_path):
     df = stream(spark, 400, 5).withColumn("stream", F.col("x").cast("int") % 2)
     for half in ("event_id < 350", "event_id >= 350"):
         df.where(half).coalesce(1).write.mode("append").parquet(str(tmp_path))
         time.sleep(1.1)  # files are taken in order of their time
     s = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path))
-    out = T.run(T.live_stream(s, ["event_id"], P, ttl_ms=ttl), "update")
+    out = T.run(T.live_stream(s, ["event_id"], P), "update")
     got = {r.stream: (r.est, r.rises) for r in out.groupBy("stream").agg(F.max("est").alias("est"), F.max("rises").alias("rises")).collect()}
     want = {r.stream: (r.est, r.rises) for r in live.estimate(df, ["event_id"], P, ["stream"]).collect()}
     assert out.where("expired").count() == 0 and got == {k: (pytest.approx(e, rel=1e-12), n) for k, (e, n) in want.items()}

@@ -53,7 +53,9 @@ def live_stream(stream: DataFrame, order_by: list[str], spec: SketchSpec = Sketc
     Rows of a micro-batch are taken in order; over micro-batches the order of
     arrival rules. State is the registers that were reached, from which the
     histogram follows, and two sums. With ``ttl_ms`` a stream that had no rows for
-    so long gives its estimate once more, marked expired, and is forgotten.
+    so long gives its estimate once more, marked expired, and is forgotten; such a
+    stream needs a trigger by processing time, since one that ends when all data
+    is read (as in ``run``) would wait for the silence of every stream.
     """
     rows = project(stream, order_by, spec, [by], shards=shards)
     per, low, high = spec.m // shards, spec.low, spec.high
