@@ -32,7 +32,7 @@ from .textkit import BYTE_CODES, U64, Rolling, anchored_cells, merge_spans, mix
 from .windows import NULL_ID, by_document, by_print, cells, free_names, identified, list_parts, packed, removal, shared_cells, symbols, unpack
 
 #: bytes of context in one suffix array, and representatives of one key
-BATCH_BYTES, GROUP = 1 << 20, 4096
+BATCH_BYTES, GROUP = 1 << 19, 2048
 
 
 class SuffixArray:
