@@ -116,6 +116,29 @@ def test_running_estimate_equals_a_loop(spark):
             assert got.rises == sum(s.rises for s in loops.values())
 
 
+def test_arrivals_of_tiny_weight_are_looked_at_too(spark):
+    """Those that no register can show are no rises, but each was looked at."""
+    df = spark.range(500).select(F.col("id").cast("string").alias("x"), F.when(F.col("id") % 5 == 0, 1e-60).otherwise(1.0).alias("w"), F.col("id").alias("event_id"))
+    assert live.placed(df, ["event_id"], P).count() == 500
+    assert live.project(df, ["event_id"], P).count() == 400
+
+
+@pytest.mark.parametrize("by", [None, ["stream"]])
+def test_running_sum_keeps_every_row_if_asked(spark, by):
+    """An element whose first row weighs nothing counts nothing later."""
+    rows = [(i, f"e{i % 7}", i % 2, None if i == 3 else 0.0 if i < 3 else float(i)) for i in range(200)]
+    df = spark.createDataFrame(rows, "event_id long, x string, stream int, w double")
+    seen, total, want = set(), {}, {}
+    for i, x, s, w in rows:
+        key = (s if by else 0, x)
+        total[key[0]] = total.get(key[0], 0.0) + (0.0 if key in seen else w or 0.0)
+        seen.add(key)
+        want[i] = total[key[0]]
+    got = {r.event_id: r.exact for r in exact.running(df, ["event_id"], by=by, every=True).collect()}
+    assert got == want
+    assert exact.running(df, ["event_id"], by=by).count() == 196
+
+
 def test_replay_does_not_raise_the_running_estimate(spark):
     df = stream(spark, 200, repeats=1)
     twice = df.unionByName(df.withColumn("event_id", F.col("event_id") + 1000))
