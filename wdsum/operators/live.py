@@ -32,14 +32,19 @@ from ..sources.weights import clean, first_arrivals
 from ..spec import SketchSpec
 
 
-def project(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", shards: int = 1) -> DataFrame:
-    """(by, s, j, y, w, order_by): each arrival's shard, register and bucket."""
+def placed(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", shards: int = 1) -> DataFrame:
+    """(by, s, j, y, w, order_by): each arrival's shard, register and bucket, also those that no register can show."""
     per = spec.m // shards
     if per * shards != spec.m:
         raise ValueError("the shards must divide the registers")
     rows = clean(df, w, spec).select(*(by or []), shard(F.col(x), shards, spec.seed, spec.hash).alias("s"), route(F.col(x), per, spec.seed, spec.hash).alias("j"), F.col(x).alias("_x"), F.col(w).alias("w"), *(c for c in order_by if c not in (by or [])))
     y = truncate(bucket(exponential(F.col("_x"), F.col("w"), F.col("j"), spec.seed, spec.hash)), spec)
-    return rows.withColumn("y", y).where(F.col("y") > spec.low).drop("_x")
+    return rows.withColumn("y", y).drop("_x")
+
+
+def project(df: DataFrame, order_by: list[str], spec: SketchSpec = SketchSpec(), by: list[str] | None = None, x: str = "x", w: str = "w", shards: int = 1) -> DataFrame:
+    """Those arrivals of ``placed`` that lie above the lowest value: no other can be a rise."""
+    return placed(df, order_by, spec, by, x, w, shards).where(F.col("y") > spec.low)
 
 
 #: stretches of time that have floors of their own, and the share of arrivals that these come from
@@ -60,14 +65,14 @@ def above_floors(rows: DataFrame, df: DataFrame, order_by: list[str], by: list[s
     if lo is None or not lo < hi:
         return rows
     keys = [*(by or []), "s", "j"]
-    placed = rows.withColumn("_at", F.floor(F.log2((linear(rows, order_by[0]) - lo) / (hi - lo) * (2 ** (STRETCHES - 1) - 1) + 1)).cast("int"))
+    dated = rows.withColumn("_at", F.floor(F.log2((linear(rows, order_by[0]) - lo) / (hi - lo) * (2 ** (STRETCHES - 1) - 1) + 1)).cast("int"))
     # any arrivals do for a lower bound, so it doesn't matter which ones the draw takes
-    top = placed.where(F.rand(1) < SHARE).groupBy(*keys, "_at").agg(F.max("y").alias("_y"))
+    top = dated.where(F.rand(1) < SHARE).groupBy(*keys, "_at").agg(F.max("y").alias("_y"))
     floors = top.groupBy(*keys).agg(F.array(*(F.max(F.when(F.col("_at") < k, F.col("_y"))) for k in range(STRETCHES + 1))).alias("_floors"))
     floors = small(floors) if by else F.broadcast(floors)  # without streams a row for each register
     if floors is None:
         return rows
-    known = placed.join(floors, keys, "left")
+    known = dated.join(floors, keys, "left")
     return known.where(F.coalesce(F.col("y") > F.get("_floors", "_at"), F.lit(True))).select(*rows.columns)
 
 
@@ -213,4 +218,4 @@ def states(found: DataFrame, order_by: list[str], spec: SketchSpec, by: list[str
     return held.select(*by, F.col("rise").cast("long").alias("rise"), "w", F.transform(F.sequence(F.lit(1), F.lit(spec.m)), lambda j: F.coalesce(F.element_at("_m", j), F.lit(spec.low))).alias("registers"))
 
 
-__all__ = ["project", "local_rises", "rises", "trajectory", "estimate", "as_of", "above_floors", "var_from_trace", "rise_prob_registers", "rise_prob_hist", "states"]
+__all__ = ["placed", "project", "local_rises", "rises", "trajectory", "estimate", "as_of", "above_floors", "var_from_trace", "rise_prob_registers", "rise_prob_hist", "states"]
