@@ -1,6 +1,7 @@
 import math
 import random
 import re
+import tracemalloc
 from collections import Counter, defaultdict
 
 import numpy as np
@@ -134,3 +135,21 @@ def test_common_pairs_are_split(spark):
 
 def test_empty_table(spark):
     assert C.score_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_asked_keys_take_bounded_memory():
+    """Different keys of a chunk, in order, in a few times their own size."""
+    rng = np.random.default_rng(1)
+    parts = [rng.integers(0, 1 << 21, 1 << 17).astype(np.uint64) << np.uint64(32) for _ in range(40)]
+    want = np.unique(np.concatenate(parts))
+    deal = np.ones(1 << 16, np.int64)
+    tracemalloc.start()
+    held = C.Keys()
+    for p in parts:
+        held.add(p)
+    rows = [(bucket, C.unpack_keys(raw)) for bucket, raw in C.packed_keys(held, C.GRAM, 64, C.DEPTH, deal)]
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.array_equal(np.sort(np.concatenate([k for _, k in rows])), want)
+    assert all((C.bucket_of(C.GRAM, k, 64, C.DEPTH, deal) == b).all() for b, k in rows)
+    assert peak < 9 * want.nbytes, peak / want.nbytes

@@ -235,6 +235,33 @@ class Tally:
         return keys[first], np.add.reduceat(counts[order], first)
 
 
+class Keys:
+    """Different keys of many, without counts: half the memory of a ``Tally``, and sorted in place."""
+
+    def __init__(self, limit: int = 1 << 19):
+        self.parts: list[np.ndarray] = []
+        self.size, self.limit = 0, limit
+
+    def add(self, keys: np.ndarray) -> None:
+        keys = np.sort(keys)
+        self.parts.append(keys[np.r_[True, keys[1:] != keys[:-1]]] if len(keys) else keys)
+        self.size += len(self.parts[-1])
+        if self.size > self.limit:
+            self.size = len(self.all())
+            self.limit = max(self.limit, self.size + self.size // 2)
+
+    def all(self) -> np.ndarray:
+        """Different keys in order."""
+        if len(self.parts) != 1:
+            keys = np.concatenate([np.zeros(0, U64), *self.parts])
+            self.parts = []
+            keys.sort(kind="stable")  # merges the parts, which are sorted
+            new = np.ones(len(keys), bool)
+            np.not_equal(keys[1:], keys[:-1], out=new[1:])
+            self.parts = [keys[new]]
+        return self.parts[0]
+
+
 class Lookup:
     """Places of many keys in a sorted array of different ones, by open addressing."""
 
@@ -297,15 +324,34 @@ def bucket_of(kind: int, keys: np.ndarray, buckets: int, depth: int, parts: np.n
     return (mix(place + U64(kind)) % U64(buckets)).astype(np.int64) * 2 + kind
 
 
+#: keys whose buckets are worked out at once
+PLACED = 1 << 18
+
+
+def _by_bucket(keys: np.ndarray, kind: int, buckets: int, depth: int, parts: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(bucket, places in ``keys``) of every bucket that has any; places ascend."""
+    at = np.empty(len(keys), np.int32 if buckets < 1 << 30 else np.int64)
+    for x in range(0, len(keys), PLACED):
+        at[x : x + PLACED] = bucket_of(kind, keys[x : x + PLACED], buckets, depth, parts)
+    order = np.argsort(at, kind="stable")
+    at = at[order]
+    edge = np.flatnonzero(np.r_[True, at[1:] != at[:-1], True]) if len(at) else []
+    for x, y in zip(edge[:-1], edge[1:], strict=True):
+        yield int(at[x]), order[x:y]
+
+
 def packed_rows(tally: Tally, kind: int, buckets: int, depth: int, parts: np.ndarray) -> Iterator[tuple[int, bytes, bytes]]:
     """(bucket, keys, counts) of a tally."""
     keys, counts = tally.all()
-    at = bucket_of(kind, keys, buckets, depth, parts)
-    order = np.argsort(at, kind="stable")
-    edge = np.flatnonzero(np.r_[True, np.diff(at[order]) != 0, True]) if len(at) else []
-    for x, y in zip(edge[:-1], edge[1:], strict=True):
-        rows = order[x:y]
-        yield int(at[rows[0]]), pack_keys(keys[rows]), pack(counts[rows])
+    for bucket, rows in _by_bucket(keys, kind, buckets, depth, parts):
+        yield bucket, pack_keys(keys[rows]), pack(counts[rows])
+
+
+def packed_keys(held: Keys, kind: int, buckets: int, depth: int, parts: np.ndarray) -> Iterator[tuple[int, bytes]]:
+    """(bucket, keys) of different keys."""
+    keys = held.all()
+    for bucket, rows in _by_bucket(keys, kind, buckets, depth, parts):
+        yield bucket, pack_keys(keys[rows])
 
 
 def whole(keys: np.ndarray, depth: int, parts: np.ndarray) -> np.ndarray:
@@ -320,7 +366,7 @@ def held_out(doc_id: Column, parts: int = 7, which: int = 2) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % parts == which
 
 
-def add_texts(grams: Tally, tokens: Tally, column: pa.Array, depth: int) -> None:
+def add_texts(grams: Tally | Keys, tokens: Tally | Keys, column: pa.Array, depth: int) -> None:
     data, at = utf8(column)
     for i, j in blocks(at):
         out, bounds, code, _ = spelled(data[at[i] : at[j]], at[i : j + 1] - at[i])
@@ -447,15 +493,21 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     shallow = _shallow(model, depth, deal)
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        asked: dict[int, tuple[Tally, Tally]] = {}
+        # a partition may have several chunks, which come one after the other: one is held at a time
+        held, asked = None, (Keys(), Keys())
+
+        def told() -> Iterator[pa.RecordBatch]:
+            for kind in (GRAM, WORD):
+                yield from _record(((r[0], held, r[1]) for r in packed_keys(asked[kind], kind, buckets, depth, deal)), ["bucket", "chunk", "keys"])
+
         for b in batches:
             chunk = b.column(0).to_numpy()
             for c in np.unique(chunk).tolist():
-                tallies = asked.setdefault(c, (Tally(), Tally()))
-                add_texts(*tallies, b.column(1).filter(pa.array(chunk == c)), depth)
-        for c in list(asked):
-            tallies = asked.pop(c)
-            yield from _record(((r[0], c, r[1]) for k in (GRAM, WORD) for r in packed_rows(tallies[k], k, buckets, depth, deal)), ["bucket", "chunk", "keys"])
+                if c != held:
+                    yield from told()
+                    held, asked = c, (Keys(), Keys())
+                add_texts(*asked, b.column(1).filter(pa.array(chunk == c)), depth)
+        yield from told()
 
     def answer(key: tuple, known: pa.Table, asked: pa.Table) -> pa.Table:
         kind = key[0].as_py() % 2
@@ -510,6 +562,6 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         )
 
     dealt = rows.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(chunks))).repartition("chunk")
-    asked = dealt.select("chunk", "text").mapInArrow(ask, "bucket long, chunk long, keys binary")
+    asked = dealt.sortWithinPartitions("chunk").select("chunk", "text").mapInArrow(ask, "bucket long, chunk long, keys binary")
     answers = model.select("bucket", "keys", "counts").groupBy("bucket").cogroup(asked.groupBy("bucket")).applyInArrow(answer, "chunk long, kind long, keys binary, values binary")
     return dealt.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(score, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double, n_bytes long, bits_per_byte double")
