@@ -2,6 +2,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from tests.llm import brute
 from tests.llm.test_windows import fixture
@@ -101,3 +102,16 @@ def test_a_text_of_more_than_16_mib(spark):
     df = spark.createDataFrame([(1, long), (2, "y" + long[-1100:])], "doc_id long, text string")
     got = sorted((r.doc_id, r.n_bytes, r.n_removed, r.n_spans) for r in suffixes.remove_repeats(df).collect())
     assert got == [(1, (1 << 24) + 100, 1100, 1), (2, 1101, 1100, 1)]
+
+
+def test_sub_cells_meet_their_count_once(spark, monkeypatch):
+    """Of equal sub-cells one goes on with its bytes; no join makes more rows than there are places that recur."""
+    rows = [(7, d, 0, 5, 4, bytes([65 + d % 3] * 20)) for d in range(30)] + [(7, 99, 0, 0, 4, b"unlike any other ....")]
+    df = spark.createDataFrame(rows, suffixes._CONTEXT)
+    monkeypatch.setattr(suffixes, "_narrower", lambda contexts, *_: contexts)
+    sent = []
+    monkeypatch.setattr(suffixes, "_array_spans", lambda contexts, n, far: sent.append(contexts) or contexts.limit(0).select("doc", "tag", F.lit(0).cast("long").alias("span")))
+    found = suffixes.partial_repeats(df, 17, 17, (1,), 8)
+    assert "Inner" not in "".join(x for x in found._jdf.queryExecution().optimizedPlan().toString().splitlines() if "Join" in x)
+    spans = {(r.doc, r.span >> 32, r.span & 0xFFFFFFFF) for r in found.collect()}
+    assert spans >= {(d, 5, 25) for d in range(30)} and not any(d == 99 and e - a > 17 for d, a, e in spans)
