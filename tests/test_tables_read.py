@@ -4,7 +4,7 @@ import pytest
 
 from wdsum.catalogue import QUERIES
 
-NAMES = ("dense_variance",)
+NAMES = ("dense_variance", "logbucket_cellprob")
 
 
 @pytest.mark.parametrize("name", NAMES)
