@@ -4,7 +4,7 @@ import pytest
 
 from wdsum.catalogue import QUERIES
 
-NAMES = ("choose_bits", "dense_variance", "logbucket_cellprob", "range_bounds")
+NAMES = ("choose_bits", "dense_variance", "logbucket_cellprob", "metric_memory", "range_bounds")
 
 
 @pytest.mark.parametrize("name", NAMES)
