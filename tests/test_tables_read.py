@@ -4,7 +4,7 @@ import pytest
 
 from wdsum.catalogue import QUERIES
 
-NAMES = ("choose_bits", "dense_variance", "logbucket_cellprob", "metric_memory", "metric_theory", "range_bounds", "stream_rate")
+NAMES = ("choose_bits", "dense_variance", "logbucket_cellprob", "metric_memory", "metric_theory", "range_bounds", "stream_rate", "udtf_values")
 
 
 @pytest.mark.parametrize("name", NAMES)
