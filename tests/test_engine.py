@@ -213,6 +213,16 @@ def accuracy(spark):
     return r, {x.method: x.rrmse for x in metrics.rrmse(r, ["method"]).collect()}, {x.method: x for x in metrics.bias(r, ["method"]).collect()}
 
 
+def test_registers_of_many_streams_do_not_travel(spark):
+    """A stream's rows are brought together once; no shuffle has rows by register."""
+    df = stream(spark, 200).withColumn("stream", F.col("x").cast("int") % 7)
+    found = experiments.by_stream(df, ("dense_exp", "logbucket"), (16,), P, order_by=["x"])
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    dealt = [line for line in plan.splitlines() if "Exchange hashpartitioning" in line]
+    assert dealt and all("REPARTITION_BY_COL" in line for line in dealt)
+    assert found.count() == 14
+
+
 def test_errors_follow_theory(accuracy):
     _, error, bias = accuracy
     kind = {"logbucket_ordered": "logbucket", "logbucket_routed": "logbucket"}
