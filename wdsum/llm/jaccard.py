@@ -34,6 +34,7 @@ from .graph import components
 from .stored import stored
 from .textkit import U64, Rolling, blocks, lower_ascii, mix, utf8, word_codes, words
 from .windows import NULL_ID, free_names, identified
+from .workers import kernel
 
 SHINGLE, THRESHOLD = 5, (4, 5)
 #: what a pair at the threshold is found with at least, and sets compared pair by pair
@@ -133,7 +134,7 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
                     names=["doc", "tag", "node", "size", "tokens", "sketch"],
                 )
 
-    return texts.mapInArrow(run, "doc long, tag int, node long, size int, tokens binary, sketch binary")
+    return texts.mapInArrow(kernel(run), "doc long, tag int, node long, size int, tokens binary, sketch binary")
 
 
 def _split(rows: DataFrame, step: int) -> DataFrame:
@@ -198,7 +199,7 @@ def _bucket_links(members: DataFrame) -> DataFrame:
             a, c = zip(*out, strict=True) if out else ((), ())
             yield pa.record_batch([pa.array(a, pa.int64()), pa.array(c, pa.int64())], names=["a", "b"])
 
-    return members.repartition("key").sortWithinPartitions("key", "node").mapInArrow(run, "a long, b long")
+    return members.repartition("key").sortWithinPartitions("key", "node").mapInArrow(kernel(run), "a long, b long")
 
 
 def candidates(nodes: DataFrame) -> DataFrame:
@@ -343,7 +344,7 @@ def _verified(members: DataFrame) -> DataFrame:
             yield pa.record_batch([pa.array(node_), pa.array(links), pa.array(to)], names=["node", "links", "to"])
 
     dealt = members.repartition("root", "stripe").sortWithinPartitions("root", "stripe", "block", "node")
-    return dealt.mapInArrow(run, "node long, links long, to long")
+    return dealt.mapInArrow(kernel(run), "node long, links long, to long")
 
 
 def _shingled(texts: DataFrame) -> DataFrame:
@@ -356,7 +357,7 @@ def _shingled(texts: DataFrame) -> DataFrame:
                 at = (8 * bounds).tolist()
                 yield pa.record_batch([b.column(0)[i:j], b.column(1)[i:j], pa.array([raw[x:y] for x, y in zip(at[:-1], at[1:], strict=True)], pa.binary())], names=["doc", "tag", "shingles"])
 
-    return texts.select("doc", "tag", "text").mapInArrow(run, "doc long, tag int, shingles binary")
+    return texts.select("doc", "tag", "text").mapInArrow(kernel(run), "doc long, tag int, shingles binary")
 
 
 def classes(texts: DataFrame) -> tuple[DataFrame, DataFrame]:

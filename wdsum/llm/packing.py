@@ -29,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .textkit import blocks, utf8
+from .workers import kernel, kept
 
 TOKENIZER = "word_bpe_49k.json"
 END_ID = 1
@@ -249,13 +250,10 @@ class WordEncoder:
         return out
 
 
-_encoders: dict[str, WordEncoder] = {}
-
-
 def encoder(path: str) -> WordEncoder:
-    if path not in _encoders:
-        _encoders[path] = WordEncoder(path)
-    return _encoders[path]
+    if path not in kept:
+        kept[path] = WordEncoder(path)
+    return kept[path]
 
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -318,7 +316,7 @@ def pack_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
             lay(sequence)
         yield take()
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, SCHEMA)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(kernel(run, keeps=True), SCHEMA)
 
 
 def pack_lengths(lengths: list[tuple[object, int, int]], limits: Limits = Limits()) -> list[list[object]]:
@@ -354,7 +352,7 @@ def pack_examples(examples: DataFrame, id_col: str, tokens_col: str, loss_col: s
             yield pa.record_batch([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.int64(), pa.int64()), strict=True)], names=["id", "sequence_id", "position"])
 
     whole = lambda c: F.coalesce(F.col(c).cast("long"), F.lit(0))
-    return examples.select(F.col(id_col).cast("string").alias("id"), whole(tokens_col).alias("t"), whole(loss_col).alias("l")).mapInArrow(run, "id string, sequence_id long, position long")
+    return examples.select(F.col(id_col).cast("string").alias("id"), whole(tokens_col).alias("t"), whole(loss_col).alias("l")).mapInArrow(kernel(run, keeps=True), "id string, sequence_id long, position long")
 
 
 def conversation_sizes(conversations: DataFrame, path: str | None = None, max_tokens: int = 2048) -> DataFrame:
@@ -376,7 +374,7 @@ def conversation_sizes(conversations: DataFrame, path: str | None = None, max_to
             columns = list(zip(*out, strict=True)) or [[]] * 4
             yield pa.record_batch([pa.array(x, k) for x, k in zip(columns, (pa.int64(), pa.int64(), pa.string(), pa.int64()), strict=True)], names=["conv_id", "turn", "role", "n"])
 
-    turns = conversations.select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), F.col("role").cast("string"), F.col("text").cast("string")).mapInArrow(count, "conv_id long, turn long, role string, n long")
+    turns = conversations.select(F.col("conv_id").cast("long"), F.col("turn").cast("long"), F.col("role").cast("string"), F.col("text").cast("string")).mapInArrow(kernel(count, keeps=True), "conv_id long, turn long, role string, n long")
     from pyspark.sql import Window as W
 
     run = F.sum("n").over(W.partitionBy("conv_id").orderBy("turn", "n").rowsBetween(W.unboundedPreceding, 0))

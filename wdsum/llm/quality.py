@@ -20,6 +20,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .textkit import blocks, utf8
+from .workers import kernel
 
 #: bounds of what is fitted on: labelled texts by class, bytes of one of them, bytes of a dictionary
 FIT_ROWS, FIT_BYTES, DICTIONARY_BYTES, LEVEL = 4000, 1 << 16, 112_640, 3
@@ -140,7 +141,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS
             yield pa.record_batch([b.column(0), b.column(1), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return rows.mapInArrow(kernel(run), "doc_id long, held_out boolean, score double, predicted int")
 
 
 def reject_bad(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, threshold: float = 0.5) -> DataFrame:
@@ -162,4 +163,4 @@ def reject_bad(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, thr
                 keep.append(model.score([raw[x - at[i] : y - at[i]] for x, y in zip(at[i:j].tolist(), at[i + 1 : j + 1].tolist(), strict=True)]) >= threshold)
             yield b.filter(pa.array(np.concatenate(keep) if keep else np.zeros(0, bool)))
 
-    return docs.mapInArrow(good, docs.schema)
+    return docs.mapInArrow(kernel(good), docs.schema)
