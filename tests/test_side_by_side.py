@@ -13,6 +13,7 @@ from wdsum.functions import kernels as K
 from wdsum.functions.md5 import bits52
 from wdsum.operators import experiments, live
 from wdsum.operators import sketches as S
+from wdsum.sources import weights as W
 from wdsum.spec import SketchSpec
 
 P = SketchSpec(m=16, hash="portable")
@@ -95,3 +96,29 @@ def test_streams_are_not_expanded_for_each_method(spark):
     plan = out._jdf.queryExecution().toString()
     assert "md5(" not in plan and "FlatMapGroupsIn" not in plan
     assert out.count() == 6 * 4
+
+
+def test_texts_are_cut_once(spark):
+    """Terms' counts and the number of their texts come from one shuffle."""
+    df = spark.createDataFrame([(1, "a b b"), (2, "b c"), (3, "")], "d long, t string")
+    out = W.tfidf(df, "d", "t")
+    assert {(r.d, r.x): round(r.w, 6) for r in out.collect()} == {(1, "a"): 1.098612, (1, "b"): 0.81093, (2, "b"): 0.405465, (2, "c"): 1.098612}
+    with_plan = W.tfidf(df, "d", "t")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        assert "ReusedExchange" in with_plan._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", "true")
+
+
+def test_streams_are_made_once(spark):
+    made = spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for b in batches:
+            made.add(b.num_rows)
+            yield b
+
+    df = spark.createDataFrame([(i % 3, str(i), 1.0 + i) for i in range(30)], "stream long, x string, w double").mapInArrow(seen, "stream long, x string, w double")
+    assert experiments.by_stream(df, ("dense_exp", "logbucket_live"), (4, 8), P, order_by=["x"]).count() == 12
+    assert made.value == 30

@@ -60,11 +60,12 @@ def by_stream(df: DataFrame, methods: Iterable[str], sizes: Iterable[int], spec:
     rows. A stream's rows are brought together once instead, for all methods, and
     no register travels; ``together``: they are dealt by stream already. Methods
     that take m variables of each element share these, drawn once for the largest
-    m and kept: m numbers a stream.
+    m and kept: m numbers a stream. Rows that are not dealt yet are kept too, as
+    what they are made from, such as tf-idf, is the larger part of the work.
     """
     methods, sizes = list(methods), list(sizes)
     if not together:
-        df = df.repartition(key)
+        df = kept(df, "streams").repartition(key)
     minima = kept(S.stream_minima(df, SketchSpec(max(sizes), spec.b, spec.seed, spec.hash), key)) if spec.hash == "portable" and {"dense_exp", "logbucket"} & set(methods) else None
     truth = weighted_distinct(df, by=[key]).select(key, "exact")
     out: DataFrame | None = None
